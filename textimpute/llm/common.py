@@ -11,6 +11,7 @@ import zlib
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 #: Bytes that end a word where words are runs of anything but ASCII letters and digits are cut: everything below 0x80
 #: that is no letter or digit becomes a blank, A-Z becomes a-z. Bytes of longer UTF-8 sequences stay.
@@ -49,6 +50,14 @@ def crc_of(value) -> int:
     return zlib.crc32(str(value).encode())
 
 
+def with_fields(schema: T.StructType, **kinds: str) -> T.StructType:
+    """schema and further fields (a DataFrame's own schema object must not be changed)."""
+    out = T.StructType(list(schema.fields))
+    for name, kind in kinds.items():
+        out = out.add(name, kind)
+    return out
+
+
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     ship(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
