@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, decontam, langid, licenses, quality, simhash, urlfilter
+from . import chat, decontam, langid, licenses, packing, quality, simhash, urlfilter
 from .common import crc_mod, read_table
 
 #: The conversation that holds the template's own control strings.
@@ -28,6 +28,10 @@ def op2_language_subwords(spark: SparkSession, sf_dir: str) -> DataFrame:
         "doc_id", F.coalesce(crc_mod(F.col("doc_id"), 4) == 2, F.lit(False)).alias("held_out"), "lang_pred", "score", "rejected")
 
 
+def op3_packing_bin_completion(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.packed(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op5_quality_ngram_ratio(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
     return quality.judged(docs, quality.fit(docs, read_table(spark, sf_dir, "labels"))).drop("text")
@@ -50,4 +54,4 @@ def op10_simhash_bk_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.linked(read_table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_chat_prefix_targets, op2_language_subwords, op5_quality_ngram_ratio, op6_benchmark_suffix_automaton, op7_license_rare_tokens, op9_url_redirect_equivalence, op10_simhash_bk_trees)}
+QUERIES = {f.__name__: f for f in (op1_chat_prefix_targets, op2_language_subwords, op3_packing_bin_completion, op5_quality_ngram_ratio, op6_benchmark_suffix_automaton, op7_license_rare_tokens, op9_url_redirect_equivalence, op10_simhash_bk_trees)}
