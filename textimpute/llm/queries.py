@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, decontam, langid, licenses, packing, quality, simhash, urlfilter
+from . import chat, decontam, langid, licenses, lm, packing, quality, simhash, urlfilter, warc
 from .common import crc_mod, read_table
 
 #: The conversation that holds the template's own control strings.
@@ -32,6 +32,12 @@ def op3_packing_bin_completion(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.packed(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op4_warc_splittable(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = read_table(spark, sf_dir, "pages").select("page_id", "url", "html")
+    archives = warc.write_archives(warc.duplicates(pages))
+    return warc.read_archives(spark, archives, payloads=False).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
 def op5_quality_ngram_ratio(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents").select("doc_id", "text")
     return quality.judged(docs, quality.fit(docs, read_table(spark, sf_dir, "labels"))).drop("text")
@@ -46,6 +52,10 @@ def op7_license_rare_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scanned(read_table(spark, sf_dir, "documents").select("doc_id", "text")).drop("text")
 
 
+def op8_log_bilinear_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lm.scored(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op9_url_redirect_equivalence(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlfilter.judge(read_table(spark, sf_dir, "pages").select("page_id", "url", "html")).drop("component")
 
@@ -54,4 +64,4 @@ def op10_simhash_bk_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.linked(read_table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_chat_prefix_targets, op2_language_subwords, op3_packing_bin_completion, op5_quality_ngram_ratio, op6_benchmark_suffix_automaton, op7_license_rare_tokens, op9_url_redirect_equivalence, op10_simhash_bk_trees)}
+QUERIES = {f.__name__: f for f in (op1_chat_prefix_targets, op2_language_subwords, op3_packing_bin_completion, op4_warc_splittable, op5_quality_ngram_ratio, op6_benchmark_suffix_automaton, op7_license_rare_tokens, op8_log_bilinear_scores, op9_url_redirect_equivalence, op10_simhash_bk_trees)}
