@@ -64,4 +64,10 @@ def op10_simhash_bk_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.linked(read_table(spark, sf_dir, "documents"))
 
 
-QUERIES = {f.__name__: f for f in (op1_chat_prefix_targets, op2_language_subwords, op3_packing_bin_completion, op4_warc_splittable, op5_quality_ngram_ratio, op6_benchmark_suffix_automaton, op7_license_rare_tokens, op8_log_bilinear_scores, op9_url_redirect_equivalence, op10_simhash_bk_trees)}
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
+QUERIES = {f.__name__: f for f in (op1_chat_prefix_targets, op2_language_subwords, op3_packing_bin_completion, op4_warc_splittable, op5_quality_ngram_ratio, op6_benchmark_suffix_automaton, op7_license_rare_tokens, op8_log_bilinear_scores, op9_url_redirect_equivalence, op10_simhash_bk_trees, pipeline)}

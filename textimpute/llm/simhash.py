@@ -314,3 +314,21 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, bi
         F.col("seq").alias("k"), *(F.col(x).alias(f"k_{x}") for x in f), F.coalesce("component", "id").alias("component_id"))
     on = [prints["seq"] == named["k"], *(prints[x] == named[f"k_{x}"] for x in f)]
     return prints.join(named, on, "left").select("doc_id", "component_id")
+
+
+def one_of_each(docs: DataFrame, groups: DataFrame, broadcast_ids: int = 500_000) -> DataFrame:
+    """The rows of docs that name their group (smallest doc_id), given near_duplicates(docs).
+
+    Of rows that repeat id and text one stays; a row without an id cannot be named and stays. The ids that go are
+    broadcast up to a checked number, so texts are only shuffled beyond it.
+    """
+    gone = written(groups.filter("doc_id is not null and doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct(), "copies")
+    side = F.broadcast(gone) if gone.count() <= broadcast_ids else gone
+    kept = docs.join(side, docs["doc_id"] == F.col("__gone"), "left_anti")
+    again = written(groups.filter("doc_id is not null").groupBy("doc_id").count().filter("count > 1").select(F.col("doc_id").alias("__again")), "repeated-ids")
+    n = again.count()
+    if not n:
+        return kept
+    side = F.broadcast(again) if n <= broadcast_ids else again
+    alone = kept.join(side, kept["doc_id"] == F.col("__again"), "left_anti")
+    return alone.unionByName(kept.join(side, kept["doc_id"] == F.col("__again"), "left_semi").dropDuplicates(["doc_id", "text"]))
