@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+import ctypes
 import os
 import tempfile
 import uuid
 import zipfile
 import zlib
+from collections.abc import Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -41,6 +43,26 @@ def as_bytes(column) -> list[bytes | None]:
     return column.to_pylist()
 
 
+def small(batches: Iterator[pa.RecordBatch], most_bytes: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+    """The batches cut into pieces of about most_bytes, and freed memory given back when they end: Python objects of a
+    whole batch of texts take several times its bytes, and workers live longer than their tasks."""
+    try:
+        for b in batches:
+            rows = max(1, int(len(b) * most_bytes / max(1, b.nbytes)))
+            for at in range(0, len(b), rows):
+                yield b.slice(at, rows)
+    finally:
+        give_back()
+
+
+def give_back() -> None:
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 def crc_mod(column: Column, n: int) -> Column:
     """crc32 of the value as text, modulo n; null for null."""
     return F.pmod(F.crc32(F.encode(column.cast("string"), "UTF-8")), F.lit(n))
@@ -50,7 +72,7 @@ def crc_of(value) -> int:
     return zlib.crc32(str(value).encode())
 
 
-def with_fields(schema: T.StructType, **kinds: str) -> T.StructType:
+def with_fields(schema: T.StructType, **kinds: str | T.DataType) -> T.StructType:
     """schema and further fields (a DataFrame's own schema object must not be changed)."""
     out = T.StructType(list(schema.fields))
     for name, kind in kinds.items():

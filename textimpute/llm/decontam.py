@@ -23,8 +23,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from .common import ALNUM_TABLE, alnum_words, as_bytes, with_fields
+from .common import ALNUM_TABLE, alnum_words, as_bytes, small, with_fields
 
 WINDOW = 10
 #: Words of benchmark items in one broadcast automaton (about 300 bytes each).
@@ -161,47 +162,51 @@ def scan_documents(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW,
     spark = docs.sparkSession
     names = docs.columns
     text_at = names.index("text")
-    work = docs.select("*", F.expr("cast(array() as array<struct<a:int,b:int>>)").alias("__spans"), F.expr("cast(array() as array<string>)").alias("__items"))
-    schema = work.schema
-    automata = _shards(benchmark, window, max_words)
-    for automaton in automata:
-        shared = spark.sparkContext.broadcast(automaton)
-
-        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+    span = T.StructType().add("a", "integer").add("b", "integer")
+    spans_schema = with_fields(docs.schema, __spans=T.ArrayType(span), __items=T.ArrayType(T.StringType()))
+    span_kind = pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32())]))
+    found = dict(zip(["n_words", "n_hit", "n_items", "items_sha256", "contaminated"], [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.bool_()]))
+    if clean:
+        found |= {"clean_text": pa.string(), "over_coverage": pa.bool_()}
+    kinds = ["long", "long", "long", "string", "boolean", "string", "boolean"]
+    out_schema = with_fields(docs.schema, **dict(zip(found, kinds)))
+
+    def stage(shared, first: bool, last: bool):
+        """One automaton's pass; the first starts without spans, the last makes the result of them."""
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             auto = shared.value
-            for b in batches:
-                spans, items = [], []
-                for text, old, had in zip(as_bytes(b.column(text_at)), b.column(len(names)).to_pylist(), b.column(len(names) + 1).to_pylist()):
-                    s, i = auto.scan(alnum_words(text)) if text else ([], set())
+            for b in small(batches):
+                texts = as_bytes(b.column(text_at))
+                before = [((), ())] * len(b) if first else list(zip(b.column(len(names)).to_pylist(), b.column(len(names) + 1).to_pylist()))
+                own = b.columns[:len(names)]
+                rows = []
+                for text, (old, had) in zip(texts, before):
+                    words = alnum_words(text) if text else []
+                    spans, items = auto.scan(words)
                     if old:
-                        s = merged(s + [(x["a"], x["b"]) for x in old])
-                    spans.append([{"a": x, "b": y} for x, y in s])
-                    items.append(sorted(i | set(had)))
-                kinds = [f.type for f in b.schema][-2:]
-                yield pa.RecordBatch.from_arrays([*b.columns[:-2], pa.array(spans, kinds[0]), pa.array(items, kinds[1])], b.schema.names)
-
-        work = work.mapInArrow(run, schema)
-
-    def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            out = []
-            for text, spans, items in zip(as_bytes(b.column(text_at)), b.column(len(names)).to_pylist(), b.column(len(names) + 1).to_pylist()):
-                n = len(alnum_words(text)) if text else 0
-                cut = [(s["a"], s["b"]) for s in spans]
-                hit = sum(y - x for x, y in cut)
-                long = [x for x in cut if x[1] - x[0] >= least_span]
-                out.append((n, hit, len(items), hashlib.sha256(",".join(items).encode()).hexdigest(), hit > 0,
-                            *((cut_spans(text, long) if long else text, hit > max_coverage * n) if clean else ())))
-            cols = list(zip(*out)) or [()] * (5 + 2 * clean)
-            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.bool_(), *([pa.binary(), pa.bool_()] if clean else [])]
-            arrays = [pa.array(c, t) for c, t in zip(cols, kinds)]
-            if clean:
-                arrays[5] = arrays[5].cast(pa.string())
-            yield pa.RecordBatch.from_arrays([*b.columns[:-2], *arrays], [*names, *found])
-
-    found = ["n_words", "n_hit", "n_items", "items_sha256", "contaminated", *(["clean_text", "over_coverage"] if clean else [])]
-    kinds = ["long", "long", "long", "string", "boolean", *(["string", "boolean"] if clean else [])]
-    return work.mapInArrow(finish, with_fields(docs.schema, **dict(zip(found, kinds))))
+                        spans = merged(spans + [(x["a"], x["b"]) for x in old])
+                    items = sorted(items | set(had))
+                    if not last:
+                        rows.append(([{"a": x, "b": y} for x, y in spans], items))
+                        continue
+                    hit = sum(y - x for x, y in spans)
+                    row = [len(words), hit, len(items), hashlib.sha256(",".join(items).encode()).hexdigest(), hit > 0]
+                    if clean:
+                        long = [x for x in spans if x[1] - x[0] >= least_span]
+                        row += [(cut_spans(text, long) if long else text or b"").decode("utf-8", "replace") if text is not None else None, hit > max_coverage * len(words)]
+                    rows.append(row)
+                target = list(found.values()) if last else [span_kind, pa.list_(pa.string())]
+                cols = list(zip(*rows)) or [()] * len(target)
+                yield pa.RecordBatch.from_arrays([*own, *(pa.array(c, t) for c, t in zip(cols, target))], [*names, *(found if last else ("__spans", "__items"))])
+
+        return run
+
+    work, waiting, first = docs, None, True
+    for automaton in _shards(benchmark, window, max_words):
+        if waiting is not None:
+            work, first = work.mapInArrow(stage(waiting, first, False), spans_schema), False
+        waiting = spark.sparkContext.broadcast(automaton)
+    return work.mapInArrow(stage(waiting, first, True), out_schema)
 
 
 def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:

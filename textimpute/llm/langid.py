@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, crc_mod, with_fields
+from .common import as_bytes, crc_mod, small, with_fields
 
 BUCKETS = 1 << 15
 ORDERS = (2, 3, 4)
@@ -98,7 +98,7 @@ def _views(text: bytes, key: int) -> list[np.ndarray]:
 
 def _features(sample: DataFrame) -> list:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches):
             rows = []
             for key, lang, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), as_bytes(b.column(2))):
                 for k, v in enumerate(_views(text, key)):
@@ -188,7 +188,7 @@ def predicted(docs: DataFrame, model: Model, text: str = "text", prefix: str = "
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
-        for b in batches:
+        for b in small(batches):
             langs, scores = m.predict(as_bytes(b.column(place)))
             gone = [x == "und" or s < m.threshold for x, s in zip(langs, scores)]
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(langs, pa.string()), pa.array(scores, pa.float64()), pa.array(gone, pa.bool_())], schema.names)

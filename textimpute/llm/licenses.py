@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import alnum_words, as_bytes, with_fields
+from .common import alnum_words, as_bytes, small, with_fields
 
 #: Base phrases and their labels.
 BASE = (("mit license", "mit"), ("apache license", "apache"), ("general public license", "gpl"))
@@ -119,7 +119,7 @@ def frequencies(docs: DataFrame, vocabulary: set[bytes]) -> tuple[dict[bytes, in
     """In how many of all documents each word of the vocabulary stands, and the number of documents."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         n, seen = 0, Counter()
-        for b in batches:
+        for b in small(batches):
             for text in as_bytes(b.column(0)):
                 n += 1
                 if text:
@@ -148,7 +148,7 @@ def scanned(docs: DataFrame, templates=TEMPLATES, base=BASE) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ix = shared.value
-        for b in batches:
+        for b in small(batches):
             rows = []
             for text in as_bytes(b.column(place)):
                 words = alnum_words(text) if text else []

@@ -31,7 +31,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, blank_words, crc_mod, written
+from .common import as_bytes, blank_words, crc_mod, small, written
 
 CLASSES = 64
 SINGLE = 31  # words that are a class of their own; class 0 is the end
@@ -55,7 +55,7 @@ def count_tokens(training: DataFrame) -> DataFrame:
         def out():
             return pa.RecordBatch.from_arrays([pa.array(list(seen), pa.binary()), pa.array(list(seen.values()), pa.int64())], ["token", "c"])
 
-        for b in batches:
+        for b in small(batches):
             for t in as_bytes(b.column(0)):
                 seen.update(tokens(t))
                 if len(seen) > FLUSH:
@@ -112,7 +112,7 @@ def lexicon(counts: DataFrame, most: int = HOT) -> tuple[Lexicon, int]:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         n, v = np.zeros(CLASSES, np.int64), np.zeros(CLASSES, np.int64)
-        for b in batches:
+        for b in small(batches):
             cls = np.array([single.get(w) or hashed_class(w) for w in b.column(0).to_pylist()], np.int64)
             v += np.bincount(cls, minlength=CLASSES)
             np.add.at(n, cls, b.column(1).to_numpy())
@@ -138,10 +138,10 @@ def class_trigrams(training: DataFrame, words: Lexicon) -> np.ndarray:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(CLASSES**3, np.int64)
         held: list[np.ndarray] = []
-        for b in batches:
+        for b in small(batches):
             for t in as_bytes(b.column(0)):
                 held.append(trigram_keys(shared.value.codes(tokens(t))[1]))
-            total += np.bincount(np.concatenate(held), minlength=CLASSES**3)
+            np.add.at(total, np.concatenate(held), 1)
             held = []
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], ["k", "n"])
@@ -212,7 +212,7 @@ def scored(docs: DataFrame, modulus: int = 10, hot: int = HOT) -> DataFrame:
         lex, log_table, log_inside = shared.value
         log_count = np.log10(lex.counts + SMOOTHING)
         place = TaskContext.get().partitionId() << 40
-        for b in batches:
+        for b in small(batches):
             rows, rare_words, rare_times, ends = [], [], [], [0]
             for doc, text, out in zip(b.column(0).to_pylist(), as_bytes(b.column(1)), b.column(2).to_pylist()):
                 ws = tokens(text)

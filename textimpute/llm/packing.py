@@ -21,6 +21,7 @@ each by itself; ids may be null.
 from __future__ import annotations
 
 import base64
+import json
 import re
 import struct
 import zlib
@@ -34,7 +35,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, written
+from .common import as_bytes, small, written
 
 CAPACITY = 1024
 END_ID = 2
@@ -56,18 +57,27 @@ class Encoder:
     to the tokenizer file.
     """
 
-    def __init__(self, tokenizer_file: str | None = None, rank_file: str | None = None):
+    def __init__(self, tokenizer_file: str | None = None, rank_file: str | None = None, special: list[str] | None = None):
         import public_tokenizers
         import tiktoken
-        from tokenizers import Tokenizer
 
-        self.full = Tokenizer.from_file(tokenizer_file or vocabulary_path(VOCABULARY + ".json"))
+        self.tokenizer_file = tokenizer_file or vocabulary_path(VOCABULARY + ".json")
         with open(rank_file or vocabulary_path(VOCABULARY + ".tiktoken"), "rb") as f:
             ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
         self.quick = tiktoken.Encoding("words", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
-        self.special = [t.content for t in self.full.get_added_tokens_decoder().values()]
+        self._full = None
+        self.special = special_strings(self.tokenizer_file) if special is None else special
         self.other = re.compile(r"[^\x20-\x7e\n\u00a1-\u024f]")
 
+    @property
+    def full(self):
+        """The tokenizer file, loaded when a text first needs it."""
+        if self._full is None:
+            from tokenizers import Tokenizer
+
+            self._full = Tokenizer.from_file(self.tokenizer_file)
+        return self._full
+
     def encode(self, text: str) -> bytes:
         if not text:
             return b""
@@ -78,6 +88,11 @@ class Encoder:
         return np.array(ids, "<u4").tobytes()
 
 
+def special_strings(tokenizer_file: str) -> list[str]:
+    with open(tokenizer_file, encoding="utf-8") as f:
+        return [t["content"] for t in json.load(f).get("added_tokens", ())]
+
+
 # ---------------------------------------------------------------- the packing problem
 def best_fit_decreasing(counts: dict[int, int], capacity: int) -> list[tuple[dict[int, int], int]]:
     """Patterns of best-fit decreasing over a histogram: each pattern is applied as often as its lengths allow."""
@@ -251,11 +266,12 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, end_id: int = END_ID, toke
     """docs (doc_id, text) -> doc_id, piece, start, length, ids_crc32, task, local_rank (the piece's number among the
     pieces of its length in its task), and with keep_ids the ids as little-endian bytes. Write it before use."""
     end = struct.pack("<I", end_id)
+    special = special_strings(tokenizer_file or vocabulary_path(VOCABULARY + ".json"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = Encoder(tokenizer_file, rank_file)
+        encoder = Encoder(tokenizer_file, rank_file, special)
         task, ranks = TaskContext.get().partitionId(), [0] * (capacity + 1)
-        for b in batches:
+        for b in small(batches):
             rows = []
             ids = b.column(0).to_pylist()
             for k, text in enumerate(b.column(1).to_pylist()):
@@ -302,7 +318,7 @@ def packed(docs: DataFrame, capacity: int = CAPACITY, **options) -> DataFrame:
     joined = table.join(starts, table["task"] == starts["t"]).select(*names, (F.col("local_rank") + F.col("firsts")[F.col("length")]).alias("rank"))
 
     def run_place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches):
             at = {n: k for k, n in enumerate(b.schema.names)}
             sequence, offset = plan.value.place(b.column(at["length"]).to_numpy(), b.column(at["rank"]).to_numpy())
             yield pa.RecordBatch.from_arrays([*(b.column(at[n]) for n in names), pa.array(sequence), pa.array(offset)], [*names, "sequence_id", "offset"])

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, with_fields
+from .common import as_bytes, small, with_fields
 
 BUCKETS = 1 << 16
 MAX_TRUSTED = 20_000
@@ -89,7 +89,7 @@ def fit(docs: DataFrame, labels: DataFrame, max_trusted: int = MAX_TRUSTED) -> n
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         trusted = shared.value
         total, some = np.zeros(BUCKETS, np.int64), np.zeros(BUCKETS, np.int64)
-        for b in batches:
+        for b in small(batches):
             for doc, text in zip(b.column(0).to_pylist(), as_bytes(b.column(1))):
                 words = text.lower().split() if text else []
                 if words:
@@ -123,7 +123,7 @@ def judged(docs: DataFrame, ratio: np.ndarray | None, threshold: float = THRESHO
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = shared.value
-        for b in batches:
+        for b in small(batches):
             rows = []
             for text in as_bytes(b.column(place)):
                 counts = base_counts(text) if text else (0, 0, 0, 0, 0)
