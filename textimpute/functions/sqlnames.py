@@ -41,7 +41,7 @@ def common_substring(value: pd.Series, share: pd.Series) -> str:
     return min(found, key=lambda x: (-len(x[0]), x[0]))[0] if found else ""
 
 
-@F.udtf(returnType=T.StructType().add("pattern", "string").add("length", "int"))
+@F.udtf(returnType=T.StructType().add("pattern", "string").add("length", "integer"))
 class SharedSubstrings:
     """Maximal substrings of at least min_len characters that two texts share."""
 
@@ -52,7 +52,7 @@ class SharedSubstrings:
                     yield pattern, len(pattern)
 
 
-@F.udtf(returnType=T.StructType().add("pattern", "string").add("support", "int"))
+@F.udtf(returnType=T.StructType().add("pattern", "string").add("support", "integer"))
 class GroupPatterns:
     """Maximal substrings in at least a share q of the texts of an array: the patterns of one group."""
 

@@ -14,7 +14,7 @@ from ..functions.text import hash32
 from .problem import Task
 
 #: Pairs times characters that a nested-loop comparison may cost before the planner asks for the index.
-PAIR_BUDGET = 2e9
+PAIR_BUDGET = 1e8
 
 
 def collapse_pool(pool: DataFrame, task: Task, attributes: list[str]) -> DataFrame:
@@ -86,10 +86,15 @@ def retrieve(queries: DataFrame, pool: DataFrame, task: Task, attributes: list[s
     if longest is None:
         longest = max(longest_cell(queries, attributes), longest_cell(pool, attributes))
     left, right = collapse_queries(queries, attributes), collapse_pool(pool, task, attributes) if diverse else plain_pool(pool, task, attributes)
-    scored = left.crossJoin(right).select("cells_id", "target_value", "example_id", similarity(attributes, longest).alias("similarity"))
+    scored = left.crossJoin(spread(right)).select("cells_id", "target_value", "example_id", similarity(attributes, longest).alias("similarity"))
     return _for_queries(_ranked(scored, k, diverse), queries, task, attributes)
 
 
+def spread(rows: DataFrame) -> DataFrame:
+    """Rows over all cores: their bytes are few, so a shuffle by size would leave the comparisons to a task or two."""
+    return rows.repartition(2 * rows.sparkSession.sparkContext.defaultParallelism)
+
+
 def plain_pool(pool: DataFrame, task: Task, attributes: list[str]) -> DataFrame:
     """Every complete row, not collapsed."""
     return pool.filter(F.col(task.target).isNotNull()).select(
@@ -128,9 +133,9 @@ def retrieve_indexed(queries: DataFrame, pool: DataFrame, task: Task, attributes
         rare = of_pool.groupBy("attribute", "gram").count().filter(F.col("count") <= max_posting)
         of_pool = of_pool.join(rare, ["attribute", "gram"], "left_semi")
     pairs = postings(left, "q", "cells_id").join(of_pool, ["attribute", "gram"]).select("cells_id", "pool_key").distinct()
-    scored = (pairs.join(left, "cells_id").join(numbered, "pool_key")
+    scored = (spread(pairs).join(left, "cells_id").join(numbered, "pool_key")
               .select("cells_id", "target_value", "example_id", similarity(attributes, longest).alias("similarity")))
-    found = _ranked(scored, k, True)
+    found = _ranked(scored, k, True).persist()  # k rows a query, read three times
     bound = F.lit(0.0)
     for i in index:
         size = F.length(f"q{i}")
@@ -140,7 +145,7 @@ def retrieve_indexed(queries: DataFrame, pool: DataFrame, task: Task, attributes
     sure = bounds.join(last, "cells_id").filter((F.col("n") >= k) & (F.col("least") > F.col("bound"))).select("cells_id")
     if max_posting is None:
         rest = left.join(sure, "cells_id", "left_anti")
-        again = _ranked(rest.crossJoin(right).select("cells_id", "target_value", "example_id", similarity(attributes, longest).alias("similarity")), k, True)
+        again = _ranked(rest.crossJoin(spread(right)).select("cells_id", "target_value", "example_id", similarity(attributes, longest).alias("similarity")), k, True)
         found = found.join(sure, "cells_id", "left_semi").unionByName(again)
     out = _for_queries(found, queries, task, attributes)
     if report:
