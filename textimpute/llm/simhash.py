@@ -30,7 +30,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, blank_words, written
+from .common import as_bytes, blank_words, removed, small, written
 from .components import connected_components
 
 SEEDS = (42, 43, 44, 45)
@@ -38,6 +38,8 @@ SEEDS = (42, 43, 44, 45)
 CHUNK = 2000
 #: Number of hot shard keys up to which their list is broadcast (16 bytes each).
 BROADCAST_KEYS = 50_000
+#: Number of ids (8 bytes each) up to which a list of ids is broadcast; beyond it is joined.
+BROADCAST_IDS = 1_000_000
 LEAF = 32
 
 
@@ -72,7 +74,7 @@ def fingerprints(docs: DataFrame, words: int = 4, bits: int = 64, lower: bool =
     seeds = SEEDS[: bits // 64]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches):
             prints, seqs, sets = [[] for _ in seeds], [], []
             for t in as_bytes(b.column(1)):
                 ws = blank_words(t.lower() if lower else t) if t else []
@@ -112,7 +114,7 @@ def sampled_keys(bits: int, rows: int, differs: float, recall: float, least_bits
 def keyed(nodes: DataFrame, keys: list[np.ndarray], width: int) -> DataFrame:
     """nodes (id, f0..) -> a row (key, id, f0..) for each shard key. The key holds the number of its table."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in small(batches):
             f = [b.column(1 + w).to_numpy(zero_copy_only=False).view(np.uint64) for w in range(width)]
             for t, positions in enumerate(keys):
                 key = np.zeros(len(b), np.uint64)
@@ -183,14 +185,14 @@ def forest(f: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
     return member, root[member]
 
 
-def witnesses(f: np.ndarray, radius: int, small: int = 64) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs to be verified: all pairs of a group of up to `small` rows; in a denser group each row with its nearest
-    earlier and nearest later row and with the rows nearest to the group's majority fingerprint."""
+def witnesses(f: np.ndarray, radius: int, small: int = 16) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs to be verified: all pairs of a group of up to `small` rows; in a denser group each row with its nearest row
+    and with the row nearest to the group's majority fingerprint (other shards propose other such pairs)."""
     root, a, b = np.arange(len(f)), [], []
     kept = 0
     for i, j in close_pairs(f, radius):
         root = merge(root, i, j)
-        if kept <= 4 * small * len(f):
+        if kept <= small * len(f):
             a.append(i), b.append(j)
             kept += len(i)
     if not a:
@@ -199,20 +201,19 @@ def witnesses(f: np.ndarray, radius: int, small: int = 64) -> tuple[np.ndarray,
     size = np.bincount(root, minlength=len(f))
     few = size[root[i]] <= small
     left, right = [i[few]], [j[few]]
-    for r in np.flatnonzero(size > small):
+    groups = np.flatnonzero((size > small) | ((size > 1) & (kept > small * len(f))))
+    for r in groups:
         m = np.flatnonzero(root == r)
         bits = np.unpackbits(f[m].view(np.uint8).reshape(len(m), -1), axis=1).mean(0) > 0.5
-        centre = np.packbits(bits).view(np.uint64)
-        middle = m[np.argsort(distances(f[m], centre), kind="stable")[:3]]
-        near = np.empty((len(m), 2), int)
+        middle = m[np.argmin(distances(f[m], np.packbits(bits).view(np.uint64)))]
+        near = np.empty(len(m), int)
         for at in range(0, len(m), 256):
             d = distances(f[m[at:at + 256]][:, None], f[m][None])
             d[np.arange(len(d)), at + np.arange(len(d))] = 1 << 20
-            near[at:at + 256] = np.argpartition(d, 1, axis=1)[:, :2] if len(m) > 2 else 0
-        for other in (*(np.full(len(m), c) for c in middle), m[near[:, 0]], m[near[:, 1]]):
-            ok = m != other
-            left.append(np.minimum(m, other)[ok])
-            right.append(np.maximum(m, other)[ok])
+            near[at:at + 256] = d.argmin(1)
+        for other in (np.full(len(m), middle), m[near]):
+            left.append(np.minimum(m, other)[m != other])
+            right.append(np.maximum(m, other)[m != other])
     return np.concatenate(left), np.concatenate(right)
 
 
@@ -297,14 +298,17 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, bi
     """
     width, differs = bits // 64, expected_difference(similarity)
     radius = math.ceil(bits * differs + 2.6 * math.sqrt(bits * differs * (1 - differs)))
-    prints = written(fingerprints(docs, words, bits, shingles=True), "fingerprints")
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
+    prints = written(fingerprints(docs, words, bits), "fingerprints")
     f = [f"f{w}" for w in range(width)]
     nodes = written(prints.groupBy("seq", *f).agg(F.min("doc_id").alias("id")).filter("id is not null"), "distinct-texts")
     keys = sampled_keys(bits, nodes.count(), differs, recall)
     proposed = written(shard_edges(nodes, keys, radius, width, pairs=True), "proposed")
-    ends = proposed.select(F.explode(F.array("u", "v")).alias("id")).distinct()
-    # one row per node carries its shingle set: the row whose doc_id names the node
-    sets = written(prints.join(ends, prints["doc_id"] == ends["id"], "left_semi").select(F.col("doc_id").alias("id"), "shingles").dropDuplicates(["id"]), "shingle-sets")
+    ends = written(proposed.select(F.explode(F.array("u", "v")).alias("id")).distinct(), "proposed-ids")
+    side = F.broadcast(ends) if ends.count() <= BROADCAST_IDS else ends
+    # shingle sets are made for the proposed texts only; the row whose doc_id names a node stands for it
+    some = docs.join(side, docs["doc_id"] == F.col("id"), "left_semi")
+    sets = written(fingerprints(some, words, 64, shingles=True).select(F.col("doc_id").alias("id"), "shingles").dropDuplicates(["id"]), "shingle-sets")
     left, right = sets.toDF("lu", "ls"), sets.toDF("rv", "rs")
     common = F.size(F.array_intersect("ls", "rs"))
     checked = (proposed.join(left, F.col("u") == F.col("lu")).select("u", "v", "ls").join(right, F.col("v") == F.col("rv"))
@@ -313,10 +317,13 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, bi
     named = nodes.join(parts, nodes["id"] == parts["node"], "left").select(
         F.col("seq").alias("k"), *(F.col(x).alias(f"k_{x}") for x in f), F.coalesce("component", "id").alias("component_id"))
     on = [prints["seq"] == named["k"], *(prints[x] == named[f"k_{x}"] for x in f)]
-    return prints.join(named, on, "left").select("doc_id", "component_id")
+    out = written(prints.join(named, on, "left").select("doc_id", "component_id"), "near-duplicates")
+    for table in (prints, nodes, proposed, ends, sets):
+        removed(docs.sparkSession, table)
+    return out
 
 
-def one_of_each(docs: DataFrame, groups: DataFrame, broadcast_ids: int = 500_000) -> DataFrame:
+def one_of_each(docs: DataFrame, groups: DataFrame, broadcast_ids: int = BROADCAST_IDS) -> DataFrame:
     """The rows of docs that name their group (smallest doc_id), given near_duplicates(docs).
 
     Of rows that repeat id and text one stays; a row without an id cannot be named and stays. The ids that go are

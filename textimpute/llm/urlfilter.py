@@ -12,12 +12,9 @@ links; repeated rows give repeated rows; an empty table gives an empty result; o
 
 from __future__ import annotations
 
-from functools import reduce
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import shared_folder, written  # noqa: F401
 from .components import connected_components
 
 #: Rules of the contract.
