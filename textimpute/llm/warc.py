@@ -30,12 +30,13 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import as_bytes, shared_folder, written
+from .common import as_bytes, shared_folder, small, written
 
 LEAST = 1000
 BROADCAST_GROUPS = 50_000
 ARCHIVE_BYTES = 1 << 30
 SPLIT_BYTES = 8 << 20
+MAX_TASKS = 20_000
 MAGIC = b"\x1f\x8b\x08"
 #: Longest WARC header that is looked for in a candidate member.
 HEADER_BYTES = 1 << 16
@@ -89,7 +90,7 @@ def write_archives(pages: DataFrame, folder: str | None = None, archive_bytes: i
         store.create_dir(base, recursive=True)
         done, out, name = [], None, ""
         size = records = 0
-        for b in batches:
+        for b in small(batches):
             for page, url, html, keeper in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), as_bytes(b.column(2)), b.column(3).to_pylist()):
                 if out is None:
                     name = f"{base}/part-{TaskContext.get().partitionId():06d}-{uuid.uuid4().hex}.warc.gz"
@@ -182,7 +183,9 @@ def read_archives(spark: SparkSession, archives: DataFrame, split_bytes: int = S
     """archives (archive, bytes) -> one row per record, RECORD_SCHEMA. Digest and length of a response are those of the
     payload that was read; a revisit carries them in its header."""
     ranges = archives.filter("bytes > 0").select("archive", "bytes", F.explode(F.sequence(F.lit(0).cast("long"), F.col("bytes") - 1, F.lit(split_bytes).cast("long"))).alias("start"))
-    ranges = ranges.withColumn("end", F.least(F.col("start") + split_bytes, F.col("bytes"))).repartition("archive", "start")
+    # the rows are tiny, so a shuffle by size would read everything in one task: a task for each range, as far as MAX_TASKS
+    n = archives.agg(F.sum(F.ceil(F.col("bytes") / split_bytes))).first()[0] or 1
+    ranges = ranges.withColumn("end", F.least(F.col("start") + split_bytes, F.col("bytes"))).repartition(min(int(n), MAX_TASKS))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kinds = [pa.int64(), pa.string(), pa.string(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.binary(), pa.string(), pa.int64()]
