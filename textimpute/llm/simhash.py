@@ -102,7 +102,7 @@ def block_keys(bits: int, radius: int, blocks: int) -> list[np.ndarray]:
     return [np.concatenate(c) for c in combinations(cut, blocks - radius)]
 
 
-def sampled_keys(bits: int, rows: int, differs: float, recall: float, least_bits: int = 12, per_shard: int = 4000) -> list[np.ndarray]:
+def sampled_keys(bits: int, rows: int, differs: float, recall: float, least_bits: int = 12, per_shard: int = 1000) -> list[np.ndarray]:
     """Random bit positions: key length from the number of rows, number of tables from the recall that pairs with a
     share `differs` of differing bits are to have."""
     k = max(least_bits, math.ceil(math.log2(max(rows, 1) / per_shard)))
@@ -289,20 +289,22 @@ def expected_difference(similarity: float) -> float:
     return math.acos(min(1.0, 2 * similarity / (1 + similarity))) / math.pi
 
 
-def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, bits: int = 128, recall: float = 0.97) -> DataFrame:
+def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, bits: int = 192, recall: float = 0.999) -> DataFrame:
     """docs (doc_id, text) -> doc_id, component_id: groups of texts linked by a Jaccard similarity of their word shingles
     of `similarity` or more, exact copies included; the component's id is its smallest doc_id.
 
-    Wide SimHash fingerprints propose pairs (within 2.6 standard deviations of the expected number of differing bits);
-    the shingle sets of each proposed pair decide. Texts of the same words are one node.
+    Wide SimHash fingerprints propose pairs (within 3.5 standard deviations of the expected number of differing bits;
+    shard tables reach `recall` for pairs that differ in one deviation more bits than expected at `similarity`); the
+    shingle sets of each proposed pair decide. Texts of the same words are one node.
     """
     width, differs = bits // 64, expected_difference(similarity)
-    radius = math.ceil(bits * differs + 2.6 * math.sqrt(bits * differs * (1 - differs)))
+    deviation = math.sqrt(differs * (1 - differs) / bits)
+    radius = math.ceil(bits * (differs + 3.5 * deviation))
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     prints = written(fingerprints(docs, words, bits), "fingerprints")
     f = [f"f{w}" for w in range(width)]
     nodes = written(prints.groupBy("seq", *f).agg(F.min("doc_id").alias("id")).filter("id is not null"), "distinct-texts")
-    keys = sampled_keys(bits, nodes.count(), differs, recall)
+    keys = sampled_keys(bits, nodes.count(), differs + deviation, recall)
     proposed = written(shard_edges(nodes, keys, radius, width, pairs=True), "proposed")
     ends = written(proposed.select(F.explode(F.array("u", "v")).alias("id")).distinct(), "proposed-ids")
     side = F.broadcast(ends) if ends.count() <= BROADCAST_IDS else ends
