@@ -134,6 +134,19 @@ oracle("pages_host_selection", fractions(f"{PAGES}, {group_sample('pag', 'page_i
 TITLES = """tit AS (SELECT p_partkey, p_brand, CASE p_partkey % 3 WHEN 0 THEN p_brand||' '||p_name||' '||p_type WHEN 1 THEN p_name||' by '||p_brand||', '||p_type
  ELSE p_type||' '||p_name||' ('||p_brand||')' END AS p_title, p_name, p_type, p_size::VARCHAR AS p_size, cast(cast(round(p_retailprice,2) AS decimal(18,2)) AS varchar) AS p_retailprice FROM part)"""
 oracle("part_selection", fractions(f"{TITLES}, {group_sample('tit', 'p_partkey', 'p_brand', 10, 10)}", "sample", "p_partkey", "p_brand", ["p_title", "p_name", "p_type", "p_size", "p_retailprice"]))
+oracle("geo_selection", fractions(f"{GEO}, {group_sample('geo', 'c_custkey', 'n_name', 10, 10)}", "sample", "c_custkey", "n_name", [*SHORT, "c_reviews"]).replace(" AS holds", " AS holds, coalesce(c.covered,0)/g.groups >= 0.75 AS kept"))
+TURNS = "tur AS (SELECT conv_id * 1000 + turn AS id, role, text, turn::VARCHAR AS turn FROM conversations)"
+oracle("conversation_role_selection", fractions(f"{TURNS}, {group_sample('tur', 'id', 'role', 10, 10)}", "sample", "id", "role", ["text", "turn"]))
+_money = lambda c: f"cast(cast(round({c},2) AS decimal(18,2)) AS varchar) AS {c}"
+_stamp = lambda c: f"strftime({c}, '%Y-%m-%d %H:%M:%S') AS {c}"
+WIDE = f"""{GEO}, wide AS (SELECT concat_ws('-', l_orderkey, l_linenumber, l_partkey, l_suppkey) AS row_id, n_name, c_phone, c_reviews, c_name, c_mktsegment, c_acctbal, o_orderstatus, o_orderpriority,
+ {_money('o_totalprice')}, {_stamp('o_orderdate')}, {_money('l_quantity')}, l_returnflag, {_stamp('l_shipdate')}, p_name, p_brand, p_type, s_name
+ FROM lineitem JOIN orders ON l_orderkey=o_orderkey JOIN geo ON o_custkey=c_custkey JOIN part ON l_partkey=p_partkey JOIN supplier ON l_suppkey=s_suppkey)"""
+WIDE_COLUMNS = ["c_phone", "c_reviews", "c_name", "c_mktsegment", "c_acctbal", "o_orderstatus", "o_orderpriority", "o_totalprice",
+                "o_orderdate", "l_quantity", "l_returnflag", "l_shipdate", "p_name", "p_brand", "p_type", "s_name"]
+oracle("wide_orders_selection", fractions(f"{WIDE}, {group_sample('wide', 'row_id', 'n_name', 10, 10)}", "sample", "row_id", "n_name", WIDE_COLUMNS))
+MOBILE = f"{TITLES}, mob AS (SELECT concat_ws('-', l_orderkey, l_linenumber, l_partkey, l_suppkey) AS row_id, p_brand, p_title, p_name, p_type, p_size, {_money('l_quantity')} FROM lineitem JOIN tit ON l_partkey = p_partkey)"
+oracle("mobile_selection", fractions(f"{MOBILE}, {group_sample('mob', 'row_id', 'p_brand', 10, 10)}", "sample", "row_id", "p_brand", ["p_title", "p_name", "p_type", "p_size", "l_quantity"]))
 oracle("part_dependency_negative", fractions(TITLES, "tit", "p_partkey", "p_brand", ["p_type", "p_size"]))
 oracle("events_dependency_negative", fractions("eve AS (SELECT event_id, event_type, props, user_id::VARCHAR AS user_id FROM events)", "eve", "event_id", "event_type", ["props", "user_id"]))
 _grid = [f"g{i} AS ({verdict(0.5).replace('uniq', f'uniq{i}')})" for i in range(3)]

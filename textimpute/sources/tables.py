@@ -69,6 +69,9 @@ def part_titles(spark: SparkSession, sf_dir: str) -> DataFrame:
                        as_text(part, "p_retailprice").alias("p_retailprice"))
 
 
+#: The order lines' own keys: an order may hold one line number more than once.
+LINE_KEYS = ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
+
 WIDE_CANDIDATES = ("c_phone", "c_reviews", "c_name", "c_mktsegment", "c_acctbal", "o_orderstatus", "o_orderpriority", "o_totalprice",
                    "o_orderdate", "l_quantity", "l_returnflag", "l_shipdate", "p_name", "p_brand", "p_type", "s_name")
 
@@ -80,7 +83,7 @@ def wide_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
     joined = (lines.join(orders, lines["l_orderkey"] == orders["o_orderkey"]).join(geo, F.col("o_custkey") == F.col("c_custkey"))
               .join(part.select("p_partkey", "p_name", "p_brand", "p_type"), F.col("l_partkey") == F.col("p_partkey"))
               .join(supplier.select("s_suppkey", "s_name"), F.col("l_suppkey") == F.col("s_suppkey")))
-    return joined.select((F.col("l_orderkey") * 8 + F.col("l_linenumber")).alias("row_id"), "n_name", "c_custkey",
+    return joined.select(F.concat_ws("-", *LINE_KEYS).alias("row_id"), "n_name", "c_custkey",
                          *(as_text(joined, c).alias(c) for c in WIDE_CANDIDATES))
 
 
@@ -88,7 +91,7 @@ def mobile_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Order lines with the part's titles, the largest table; target p_brand."""
     lines, part = load(spark, sf_dir, "lineitem"), titled(load(spark, sf_dir, "part"))
     joined = lines.join(part, lines["l_partkey"] == part["p_partkey"])
-    return joined.select((F.col("l_orderkey") * 8 + F.col("l_linenumber")).alias("row_id"), "p_brand", "p_title", "p_name", "p_type",
+    return joined.select(F.concat_ws("-", *LINE_KEYS).alias("row_id"), "p_brand", "p_title", "p_name", "p_type",
                          F.col("p_size").cast("string").alias("p_size"), as_text(joined, "l_quantity").alias("l_quantity"))
 
 
