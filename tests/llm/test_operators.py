@@ -407,3 +407,15 @@ def test_near_duplicates_recall_and_one_of_each(spark):
     assert kept.columns == df.columns
     ids = [r["doc_id"] for r in kept.collect()]
     assert 500 not in ids and 0 in ids and ids.count(504) == 1 and ids.count(None) == 1
+
+
+def test_pairs_among_many_siblings_of_one_template(spark):
+    # each text shares 350 shingles with all others and most of the rest with one partner: 0.83 to it, about 0.7 to others
+    rng = random.Random(13)
+    stem, rows = speak(rng, 354, "t"), []
+    for g in range(120):
+        both = speak(rng, 42, "p")
+        rows += [(2 * g + k, f"{stem} {both} {speak(rng, 38, 'o')}") for k in range(2)]
+    part = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(docs_of(spark, rows).select("doc_id", "text")).collect()}
+    assert sum(part[2 * g] == part[2 * g + 1] for g in range(120)) >= 119
+    assert len(set(part.values())) >= 119

@@ -10,7 +10,9 @@ Wider fingerprints join several seeds. Candidates meet in shards whose keys are
 
 In a shard a BK-tree (children keyed by their integer Hamming distance to the parent) answers all its queries at once and
 follows only edges within the radius. A shard above `chunk` rows is cut into chunks; each pair of chunks is a task of its
-own, so hot shards spread and nothing is capped. A shard reports a spanning forest, never all pairs of a dense group.
+own, so hot shards spread and nothing is capped. Where links need no check, a shard reports a spanning forest, never all
+pairs of a dense group. Where they do (`near_duplicates`), it first reports a few pairs of each row of a dense group; then
+all pairs of such groups that the verified links have not joined are reported and verified too, so no pair is left out.
 Components come from a distributed iteration over written tables; driver memory holds nothing that grows with documents.
 
 Defined edge results: null and empty texts have no words and fingerprint zero; they are linked like any other row, all
@@ -112,7 +114,7 @@ def sampled_keys(bits: int, rows: int, differs: float, recall: float, least_bits
 
 
 def keyed(nodes: DataFrame, keys: list[np.ndarray], width: int) -> DataFrame:
-    """nodes (id, f0..) -> a row (key, id, f0..) for each shard key. The key holds the number of its table."""
+    """nodes (id, f0..; maybe component) -> a row of them and `key` for each shard key. The key holds the number of its table."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in small(batches):
             f = [b.column(1 + w).to_numpy(zero_copy_only=False).view(np.uint64) for w in range(width)]
@@ -123,8 +125,8 @@ def keyed(nodes: DataFrame, keys: list[np.ndarray], width: int) -> DataFrame:
                 key = key * np.uint64(len(keys)) + np.uint64(t)
                 yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), *b.columns], ["key", *b.schema.names])
 
-    names = ", ".join(f"f{w} long" for w in range(width))
-    return nodes.select("id", *(f"f{w}" for w in range(width))).mapInArrow(run, f"key long, id long, {names}")
+    names = [*(f"f{w}" for w in range(width)), *(["component"] if "component" in nodes.columns else [])]
+    return nodes.select("id", *names).mapInArrow(run, "key long, id long, " + ", ".join(f"{n} long" for n in names))
 
 
 # ---------------------------------------------------------------- BK-trees
@@ -185,9 +187,10 @@ def forest(f: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
     return member, root[member]
 
 
-def witnesses(f: np.ndarray, radius: int, small: int = 16) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs to be verified: all pairs of a group of up to `small` rows; in a denser group each row with its nearest row
-    and with the row nearest to the group's majority fingerprint (other shards propose other such pairs)."""
+def witnesses(f: np.ndarray, radius: int, small: int = 16) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Pairs to be verified first, and the rows of groups of which not all pairs are among them: all pairs of a group of
+    up to `small` rows; in a denser group each row with its nearest row and with the row nearest to the group's majority
+    fingerprint."""
     root, a, b = np.arange(len(f)), [], []
     kept = 0
     for i, j in close_pairs(f, radius):
@@ -196,13 +199,13 @@ def witnesses(f: np.ndarray, radius: int, small: int = 16) -> tuple[np.ndarray,
             a.append(i), b.append(j)
             kept += len(i)
     if not a:
-        return np.empty(0, int), np.empty(0, int)
+        return np.empty(0, int), np.empty(0, int), np.empty(0, int)
     i, j = np.concatenate(a), np.concatenate(b)
     size = np.bincount(root, minlength=len(f))
     few = size[root[i]] <= small
     left, right = [i[few]], [j[few]]
-    groups = np.flatnonzero((size > small) | ((size > 1) & (kept > small * len(f))))
-    for r in groups:
+    dense = (size > small) | ((size > 1) & (kept > small * len(f)))
+    for r in np.flatnonzero(dense):
         m = np.flatnonzero(root == r)
         bits = np.unpackbits(f[m].view(np.uint8).reshape(len(m), -1), axis=1).mean(0) > 0.5
         middle = m[np.argmin(distances(f[m], np.packbits(bits).view(np.uint64)))]
@@ -214,12 +217,19 @@ def witnesses(f: np.ndarray, radius: int, small: int = 16) -> tuple[np.ndarray,
         for other in (np.full(len(m), middle), m[near]):
             left.append(np.minimum(m, other)[m != other])
             right.append(np.maximum(m, other)[m != other])
-    return np.concatenate(left), np.concatenate(right)
+    return np.concatenate(left), np.concatenate(right), np.flatnonzero(dense[root])
 
 
 def shard_edges(nodes: DataFrame, keys: list[np.ndarray], radius: int, width: int, pairs: bool, chunk: int = CHUNK) -> DataFrame:
-    """nodes (id, f0..; ids unique) -> edges (u, v) of linked ids, not yet distinct."""
+    """nodes (id, f0..; ids unique) -> distinct edges (u, v) of linked ids.
+
+    Without `pairs` the edges are a spanning forest of each shard. With them they are pairs to be verified: if the nodes
+    have a `component`, all pairs of different components; else those of witnesses(), and a row (u, null) for each u of
+    which a shard left out pairs.
+    """
     entries = keyed(nodes, keys, width)
+    apart = "component" in nodes.columns
+    names = ["id", *(f"f{w}" for w in range(width)), *(["component"] if apart else [])]
     hot = written(entries.groupBy("key").count().filter(F.col("count") > chunk)
                   .select(F.col("key").alias("hot_key"), F.ceil(F.col("count") / chunk).cast("int").alias("chunks")), "hot-shards")
     n_hot = hot.count()
@@ -229,28 +239,54 @@ def shard_edges(nodes: DataFrame, keys: list[np.ndarray], radius: int, width: in
             F.sequence(F.lit(0), F.col("chunks") - 1),
             lambda o: F.least(o, chunk_of) * F.col("chunks") + F.greatest(o, chunk_of)))
         entries = (entries.join(F.broadcast(hot) if n_hot <= BROADCAST_KEYS else hot, F.col("key") == F.col("hot_key"), "left")
-                   .select("key", F.explode(spread).alias("part"), "id", *(f"f{w}" for w in range(width))))
+                   .select("key", F.explode(spread).alias("part"), *names))
     else:
-        entries = entries.select("key", F.lit(0).alias("part"), "id", *(f"f{w}" for w in range(width)))
-    find = witnesses if pairs else forest
+        entries = entries.select("key", F.lit(0).alias("part"), *names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def edges(key, ids, f):
+        def found(f):
+            if apart:
+                yield from ((i, j, i[:0]) for i, j in close_pairs(f, radius))
+            elif pairs:
+                yield witnesses(f, radius)
+            else:
+                yield *forest(f, radius), np.empty(0, int)
+
+        no = np.empty(0, np.int64)
+
+        def batch(us, vs, dense):
+            both = np.unique(np.stack([np.concatenate([*us, no]), np.concatenate([*vs, no])], 1), axis=0)
+            some = np.unique(np.concatenate(dense))
+            v = pa.array(np.r_[both[:, 1], some], mask=np.arange(len(both) + len(some)) >= len(both))
+            return pa.RecordBatch.from_arrays([pa.array(np.r_[both[:, 0], some]), v], ["u", "v"])
+
+        def edges(key, ids, f, part):
             """Of whole shards, one after the other in sorted arrays."""
             starts = np.flatnonzero(np.r_[True, (key[1:] != key[:-1]).any(1)])
             sizes = np.diff(np.r_[starts, len(key)])
-            us, vs = [], []
+            us, vs, dense, held = [], [], [ids[:0]], 0
+
+            def add(i, j):
+                differ = part[i] != part[j]
+                u, v = ids[i[differ]], ids[j[differ]]
+                us.append(np.maximum(u, v)), vs.append(np.minimum(u, v))
+                return len(u)
+
             little = np.repeat(sizes <= 8, sizes)
             for s in range(1, 8):  # small shards all together: each row with the s-th next of its shard
                 i = np.flatnonzero(little[:-s] & (key[s:] == key[:-s]).all(1)) if len(key) > s else np.empty(0, int)
                 i = i[distances(f[i], f[i + s]) <= radius]
-                us.append(ids[i]), vs.append(ids[i + s])
+                held += add(i, i + s)
             for at, n in zip(starts[sizes > 8].tolist(), sizes[sizes > 8].tolist()):
-                i, j = find(np.ascontiguousarray(f[at:at + n]), radius)
-                us.append(ids[at + i]), vs.append(ids[at + j])
-            u, v = np.concatenate(us), np.concatenate(vs)
-            both = np.unique(np.stack([np.maximum(u, v), np.minimum(u, v)], 1)[u != v], axis=0)
-            return pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], ["u", "v"])
+                if apart and (part[at:at + n] == part[at]).all():
+                    continue
+                for i, j, some in found(np.ascontiguousarray(f[at:at + n])):
+                    held += add(at + i, at + j)
+                    dense.append(ids[at + some])
+                    if held > 1 << 20:
+                        yield batch(us, vs, dense)
+                        us[:], vs[:], dense[:], held = [], [], [ids[:0]], 0
+            yield batch(us, vs, dense)
 
         rest = None
         for b in batches:
@@ -259,14 +295,16 @@ def shard_edges(nodes: DataFrame, keys: list[np.ndarray], radius: int, width: in
             key = np.stack([b.column(0).to_numpy(), b.column(1).to_numpy().astype(np.int64)], 1)
             ids = b.column(2).to_numpy()
             f = np.stack([b.column(3 + w).to_numpy() for w in range(width)], 1).view(np.uint64)
+            now = key, ids, f, b.column(3 + width).to_numpy() if apart else ids
             if rest:
-                key, ids, f = (np.concatenate(x) for x in zip(rest, (key, ids, f)))
+                now = tuple(np.concatenate(x) for x in zip(rest, now))
+                key = now[0]
             last = len(key) - int(np.argmax((key[::-1] != key[-1]).any(1))) if (key != key[-1]).any() else 0
             if last:
-                yield edges(key[:last], ids[:last], f[:last])
-            rest = key[last:], ids[last:], f[last:]
+                yield from edges(*(x[:last] for x in now))
+            rest = tuple(x[last:] for x in now)
         if rest:
-            yield edges(*rest)
+            yield from edges(*rest)
 
     return entries.repartition("key", "part").sortWithinPartitions("key", "part").mapInArrow(run, "u long, v long").distinct()
 
@@ -289,13 +327,30 @@ def expected_difference(similarity: float) -> float:
     return math.acos(min(1.0, 2 * similarity / (1 + similarity))) / math.pi
 
 
+def verified(docs: DataFrame, proposed: DataFrame, words: int, similarity: float) -> DataFrame:
+    """The pairs (u, v) of doc_ids whose texts' shingle sets have that Jaccard similarity, written."""
+    ends = written(proposed.select(F.explode(F.array("u", "v")).alias("id")).distinct(), "proposed-ids")
+    side = F.broadcast(ends) if ends.count() <= BROADCAST_IDS else ends
+    # shingle sets are made for the proposed texts only; the row whose doc_id names a node stands for it
+    some = docs.join(side, docs["doc_id"] == F.col("id"), "left_semi")
+    sets = written(fingerprints(some, words, 64, shingles=True).select(F.col("doc_id").alias("id"), "shingles").dropDuplicates(["id"]), "shingle-sets")
+    left, right = sets.toDF("lu", "ls"), sets.toDF("rv", "rs")
+    common = F.size(F.array_intersect("ls", "rs"))
+    links = written(proposed.join(left, F.col("u") == F.col("lu")).select("u", "v", "ls").join(right, F.col("v") == F.col("rv"))
+                    .filter(common >= similarity * (F.size("ls") + F.size("rs") - common)).select("u", "v"), "links")
+    for table in (ends, sets):
+        removed(docs.sparkSession, table)
+    return links
+
+
 def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, bits: int = 192, recall: float = 0.999) -> DataFrame:
     """docs (doc_id, text) -> doc_id, component_id: groups of texts linked by a Jaccard similarity of their word shingles
     of `similarity` or more, exact copies included; the component's id is its smallest doc_id.
 
     Wide SimHash fingerprints propose pairs (within 3.5 standard deviations of the expected number of differing bits;
     shard tables reach `recall` for pairs that differ in one deviation more bits than expected at `similarity`); the
-    shingle sets of each proposed pair decide. Texts of the same words are one node.
+    shingle sets of each proposed pair decide. Every pair that meets in a shard within that distance is decided: by its
+    sets, or because links verified before join its ends. Texts of the same words are one node.
     """
     width, differs = bits // 64, expected_difference(similarity)
     deviation = math.sqrt(differs * (1 - differs) / bits)
@@ -306,21 +361,23 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, bi
     nodes = written(prints.groupBy("seq", *f).agg(F.min("doc_id").alias("id")).filter("id is not null"), "distinct-texts")
     keys = sampled_keys(bits, nodes.count(), differs + deviation, recall)
     proposed = written(shard_edges(nodes, keys, radius, width, pairs=True), "proposed")
-    ends = written(proposed.select(F.explode(F.array("u", "v")).alias("id")).distinct(), "proposed-ids")
-    side = F.broadcast(ends) if ends.count() <= BROADCAST_IDS else ends
-    # shingle sets are made for the proposed texts only; the row whose doc_id names a node stands for it
-    some = docs.join(side, docs["doc_id"] == F.col("id"), "left_semi")
-    sets = written(fingerprints(some, words, 64, shingles=True).select(F.col("doc_id").alias("id"), "shingles").dropDuplicates(["id"]), "shingle-sets")
-    left, right = sets.toDF("lu", "ls"), sets.toDF("rv", "rs")
-    common = F.size(F.array_intersect("ls", "rs"))
-    checked = (proposed.join(left, F.col("u") == F.col("lu")).select("u", "v", "ls").join(right, F.col("v") == F.col("rv"))
-               .filter(common >= similarity * (F.size("ls") + F.size("rs") - common)).select("u", "v"))
-    parts = connected_components(checked)
+    links = verified(docs, proposed.filter("v is not null"), words, similarity)
+    parts = connected_components(links)
+    dense = written(proposed.filter("v is null").select(F.col("u").alias("dense_id")), "dense-ids")
+    tables = [prints, nodes, proposed, links, dense]
+    if (n := dense.count()):
+        side = F.broadcast(dense) if n <= BROADCAST_IDS else dense
+        some = nodes.join(side, nodes["id"] == F.col("dense_id"), "left_semi")
+        some = written(some.join(parts, some["id"] == parts["node"], "left").select("id", *f, F.coalesce("component", "id").alias("component")), "dense-texts")
+        undecided = written(shard_edges(some, keys, radius, width, pairs=True), "undecided")
+        more = verified(docs, undecided, words, similarity)
+        parts = connected_components(links.unionAll(more))
+        tables += [some, undecided, more]
     named = nodes.join(parts, nodes["id"] == parts["node"], "left").select(
         F.col("seq").alias("k"), *(F.col(x).alias(f"k_{x}") for x in f), F.coalesce("component", "id").alias("component_id"))
     on = [prints["seq"] == named["k"], *(prints[x] == named[f"k_{x}"] for x in f)]
     out = written(prints.join(named, on, "left").select("doc_id", "component_id"), "near-duplicates")
-    for table in (prints, nodes, proposed, ends, sets):
+    for table in tables:
         removed(docs.sparkSession, table)
     return out
 
