@@ -265,6 +265,20 @@ def test_license_labels(spark):
     assert got[11]["n_words"] == 0 and got[11]["score"] == 0
 
 
+def test_license_lines_beside_a_long_notice(spark):
+    texts = {label: [t[1] for t in licenses.TEMPLATES if t[0] == label][-1] for label in ("mit-license", "bsd", "isc", "cc-by-nc-4.0", "gpl-3.0", "apache-2.0")}
+    texts["cc-by-nc-4.0"] = "Licensed under CC BY-NC 4.0."
+    pairs = [(a, b) for a in ("mit-license", "bsd", "isc") for b in ("cc-by-nc-4.0", "gpl-3.0", "apache-2.0")]
+    rows = [(k, f"{texts[a]}. {speak(random.Random(k), 30)} {texts[b]}") for k, (a, b) in enumerate(pairs)]
+    # the short lines stand in further documents, so that their words are less rare than those of the notices
+    rows += [(50 + k, texts[("cc-by-nc-4.0", "gpl-3.0", "apache-2.0")[k % 3]]) for k in range(15)]
+    rows += [(100 + k, speak(random.Random(k), 50)) for k in range(400)]
+    got = {r["doc_id"]: r for r in licenses.scanned(docs_of(spark, rows).select("doc_id", "text")).collect()}
+    for k, pair in enumerate(pairs):
+        assert set(pair) <= set(got[k]["labels"].split(",")), pair
+    assert not any(got[100 + k]["labels"] for k in range(400))
+
+
 # ---------------------------------------------------------------- language model
 def test_scores_against_plain_counts(spark):
     rng = random.Random(8)

@@ -2,9 +2,10 @@
 
 Words are lower-cased runs of ASCII letters, digits and non-ASCII characters. From all documents the document frequency of
 every template word is counted (the vocabulary is that of the templates, so it is bounded); words in more than a share of
-the documents are not looked up. Each document looks up its rarest licence words: postings (template, position) of words
-that agree on the relative position vote for an alignment. An alignment with enough votes counts if every mandatory phrase
-of the template stands near its place; its score is the share of the template's words found at their aligned places.
+the documents are not looked up. Each template has postings (template, position) of its rarest places, so many of them that
+an alignment of enough score has two at least among them, and all of them are looked up wherever they stand in a text:
+postings that agree on the relative position vote for an alignment. An alignment with two votes counts if every mandatory
+phrase of the template stands near its place; its score is the share of the template's words found at their aligned places.
 Besides, the base phrases are looked for everywhere in the text.
 
 Defined edge results: null and empty texts have no words, no labels and score 0; ties between alignments are settled by
@@ -13,7 +14,6 @@ score, then by template order; every place is examined, however long the text.
 
 from __future__ import annotations
 
-import math
 from collections import Counter, defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -48,8 +48,8 @@ TEMPLATES = (
 )
 #: Template words found in more than this share of the documents are not looked up.
 COMMON = 0.05
-#: Distinct rare words that one document looks up, rarest first.
-LOOKUPS = 12
+#: Share of a template's words that have to stand at their aligned places.
+LEAST_SCORE = 0.6
 
 
 @dataclass
@@ -57,8 +57,9 @@ class Index:
     labels: list[str]
     texts: list[list[bytes]]
     phrases: list[list[list[bytes]]]
-    weight: dict[bytes, float] = field(default_factory=dict)
     postings: dict[bytes, list[tuple[int, int]]] = field(default_factory=dict)
+    votes: list[int] = field(default_factory=list)
+    mandatory: list[set[bytes]] = field(default_factory=list)
 
     @classmethod
     def of(cls, templates) -> Index:
@@ -66,38 +67,44 @@ class Index:
         return cls([t[0] for t in templates], [cut(t[1]) for t in templates], [[cut(p) for p in t[2]] for t in templates])
 
     def weighed(self, frequency: dict[bytes, int], documents: int, common: float = COMMON) -> Index:
-        """Keeps postings of words that are rare in the documents."""
+        """Keeps postings of each template's rarest places: as many as the score lets miss, and two (the votes)."""
         postings = defaultdict(list)
+        self.votes, self.mandatory = [], [{w for p in phrases for w in p} for phrases in self.phrases]
         for t, words in enumerate(self.texts):
-            for p, w in enumerate(words):
-                postings[w].append((t, p))
-        self.weight = {w: math.log((documents + 1) / (frequency.get(w, 0) + 1)) for w in postings if frequency.get(w, 0) <= common * documents or documents < 20}
-        self.postings = {w: postings[w] for w in self.weight}
+            hits = next(n for n in range(len(words) + 1) if n / len(words) >= LEAST_SCORE)
+            rarest = sorted(range(len(words)), key=lambda p: (frequency.get(words[p], 0), words[p], p))
+            rarest = [p for p in rarest if frequency.get(words[p], 0) <= common * documents or documents < 20]
+            anchors = rarest[:len(words) - hits + 2]
+            for p in anchors:
+                postings[words[p]].append((t, p))
+            self.votes.append(max(1, min(2, len(anchors))))
+        self.postings = dict(postings)
         return self
 
     def scan(self, words: list[bytes], slack: int = 3) -> tuple[set[str], float]:
         """Labels of accepted alignments and the best score."""
-        present = self.weight.keys() & words
+        present = set(words)
         labels, best = set(), 0.0
-        if not present:
+        # a template can only count where all words of its mandatory phrases stand
+        open_ = {t for t, m in enumerate(self.mandatory) if m <= present}
+        if not open_:
             return labels, best
-        rare = set(sorted(present, key=lambda w: (-self.weight[w], w))[:LOOKUPS])
+        postings = {w: near for w in self.postings.keys() & present if (near := [x for x in self.postings[w] if x[0] in open_])}
         votes: Counter[tuple[int, int]] = Counter()
         for at, w in enumerate(words):
-            if w in rare:
-                for t, p in self.postings[w]:
+            if w in postings:
+                for t, p in postings[w]:
                     votes[t, at - p] += 1
         for (t, offset), n in sorted(votes.items()):
-            template = self.texts[t]
-            known = sum(w in rare for w in set(template))
-            if n < min(2, known):
+            if n < self.votes[t]:
                 continue
+            template = self.texts[t]
             lo, hi = max(0, offset - slack), offset + len(template) + slack
             near = words[lo:hi]
             if not all(places(near, p) for p in self.phrases[t]):
                 continue
             score = sum(0 <= offset + k < len(words) and words[offset + k] == w for k, w in enumerate(template)) / len(template)
-            if score >= 0.6:
+            if score >= LEAST_SCORE:
                 labels.add(self.labels[t])
                 best = max(best, score)
         return labels, best
