@@ -279,6 +279,13 @@ def test_license_lines_beside_a_long_notice(spark):
     assert not any(got[100 + k]["labels"] for k in range(400))
 
 
+def test_license_lines_that_a_third_of_the_documents_carry(spark):
+    lines = ["Licensed under CC BY 4.0.", "Released under the MIT License."]
+    rows = [(k, speak(random.Random(k), 40) + (f" {lines[k // 3 % 2]} " if not k % 3 else " ") + speak(random.Random(-k), 20)) for k in range(90)]
+    got = {r["doc_id"]: r for r in licenses.scanned(docs_of(spark, rows).select("doc_id", "text")).collect()}
+    assert all(got[k]["labels"] == (("cc-by-4.0", "mit,mit-license")[k // 3 % 2] if not k % 3 else "") for k in range(90))
+
+
 # ---------------------------------------------------------------- language model
 def test_scores_against_plain_counts(spark):
     rng = random.Random(8)

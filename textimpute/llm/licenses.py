@@ -1,9 +1,9 @@
 """License scans with a positional rare-token index over licence templates.
 
 Words are lower-cased runs of ASCII letters, digits and non-ASCII characters. From all documents the document frequency of
-every template word is counted (the vocabulary is that of the templates, so it is bounded); words in more than a share of
-the documents are not looked up. Each template has postings (template, position) of its rarest places, so many of them that
-an alignment of enough score has two at least among them, and all of them are looked up wherever they stand in a text:
+every template word is counted (the vocabulary is that of the templates, so it is bounded). Each template has postings (template, position) of its rarest places, so many of them that
+an alignment of enough score has two at least among them, however frequent they are, and all of them are looked up wherever
+they stand in a text:
 postings that agree on the relative position vote for an alignment. An alignment with two votes counts if every mandatory
 phrase of the template stands near its place; its score is the share of the template's words found at their aligned places.
 Besides, the base phrases are looked for everywhere in the text.
@@ -46,8 +46,6 @@ TEMPLATES = (
     ("isc", "Permission to use, copy, modify, and or distribute this software for any purpose with or without fee is hereby granted", ("permission to use copy modify",)),
     ("unlicense", "This is free and unencumbered software released into the public domain", ("free and unencumbered software",)),
 )
-#: Template words found in more than this share of the documents are not looked up.
-COMMON = 0.05
 #: Share of a template's words that have to stand at their aligned places.
 LEAST_SCORE = 0.6
 
@@ -66,18 +64,16 @@ class Index:
         cut = lambda s: alnum_words(s.encode())
         return cls([t[0] for t in templates], [cut(t[1]) for t in templates], [[cut(p) for p in t[2]] for t in templates])
 
-    def weighed(self, frequency: dict[bytes, int], documents: int, common: float = COMMON) -> Index:
+    def weighed(self, frequency: dict[bytes, int]) -> Index:
         """Keeps postings of each template's rarest places: as many as the score lets miss, and two (the votes)."""
         postings = defaultdict(list)
         self.votes, self.mandatory = [], [{w for p in phrases for w in p} for phrases in self.phrases]
         for t, words in enumerate(self.texts):
             hits = next(n for n in range(len(words) + 1) if n / len(words) >= LEAST_SCORE)
             rarest = sorted(range(len(words)), key=lambda p: (frequency.get(words[p], 0), words[p], p))
-            rarest = [p for p in rarest if frequency.get(words[p], 0) <= common * documents or documents < 20]
-            anchors = rarest[:len(words) - hits + 2]
-            for p in anchors:
+            for p in rarest[:len(words) - hits + 2]:
                 postings[words[p]].append((t, p))
-            self.votes.append(max(1, min(2, len(anchors))))
+            self.votes.append(min(2, hits))
         self.postings = dict(postings)
         return self
 
@@ -122,27 +118,24 @@ def places(words: list[bytes], phrase: list[bytes]) -> list[int]:
             out.append(at)
 
 
-def frequencies(docs: DataFrame, vocabulary: set[bytes]) -> tuple[dict[bytes, int], int]:
-    """In how many of all documents each word of the vocabulary stands, and the number of documents."""
+def frequencies(docs: DataFrame, vocabulary: set[bytes]) -> dict[bytes, int]:
+    """In how many of all documents each word of the vocabulary stands."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        n, seen = 0, Counter()
+        seen = Counter()
         for b in small(batches):
             for text in as_bytes(b.column(0)):
-                n += 1
                 if text:
                     seen.update(vocabulary.intersection(alnum_words(text)))
-        words = [b"", *seen]
-        yield pa.RecordBatch.from_arrays([pa.array(words, pa.binary()), pa.array([n, *seen.values()], pa.int64())], ["word", "n"])
+        yield pa.RecordBatch.from_arrays([pa.array(list(seen), pa.binary()), pa.array(list(seen.values()), pa.int64())], ["word", "n"])
 
     rows = docs.select("text").mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n")).collect()
-    found = {bytes(r["word"]): r["n"] for r in rows}
-    return found, found.pop(b"", 0)
+    return {bytes(r["word"]): r["n"] for r in rows}
 
 
 def scanned(docs: DataFrame, templates=TEMPLATES, base=BASE) -> DataFrame:
     """docs (text, ...) and n_words, n_base, first_word, last_word, base_labels, labels, score."""
     index = Index.of(templates)
-    index.weighed(*frequencies(docs, {w for t in index.texts for w in t}))
+    index.weighed(frequencies(docs, {w for t in index.texts for w in t}))
     shared = docs.sparkSession.sparkContext.broadcast(index)
     place = docs.columns.index("text")
     phrases = [(alnum_words(p.encode()), label) for p, label in base]
