@@ -440,3 +440,13 @@ def test_pairs_among_many_siblings_of_one_template(spark):
     part = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(docs_of(spark, rows).select("doc_id", "text")).collect()}
     assert sum(part[2 * g] == part[2 * g + 1] for g in range(120)) >= 119
     assert len(set(part.values())) >= 119
+
+
+def test_copies_that_differ_in_how_often_a_passage_repeats(spark):
+    rng = random.Random(14)
+    rows = []
+    for g in range(30):
+        text, passage = speak(rng, 400), speak(rng, 50)
+        rows += [(2 * g, f"{text} {passage}"), (2 * g + 1, f"{text} {' '.join([passage] * 8)}")]
+    part = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(docs_of(spark, rows).select("doc_id", "text")).collect()}
+    assert part == {i: i - i % 2 for i in range(60)}

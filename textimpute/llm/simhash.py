@@ -70,9 +70,10 @@ def majority(hashes: np.ndarray) -> int:
     return int(np.packbits(2 * total > len(hashes), bitorder="little").view(np.uint64)[0]) if len(hashes) else 0
 
 
-def fingerprints(docs: DataFrame, words: int = 4, bits: int = 64, lower: bool = True, shingles: bool = False) -> DataFrame:
+def fingerprints(docs: DataFrame, words: int = 4, bits: int = 64, lower: bool = True, shingles: bool = False,
+                 distinct: bool = False) -> DataFrame:
     """docs (doc_id, text) -> doc_id, f0..f(bits/64-1) signed longs, seq (hash of the word sequence), and with
-    `shingles` the sorted distinct low 32 bits of the shingle hashes."""
+    `shingles` the sorted distinct low 32 bits of the shingle hashes. If `distinct`, a repeated shingle votes once."""
     seeds = SEEDS[: bits // 64]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -82,7 +83,7 @@ def fingerprints(docs: DataFrame, words: int = 4, bits: int = 64, lower: bool =
                 ws = blank_words(t.lower() if lower else t) if t else []
                 for k, s in enumerate(seeds):
                     h = shingle_hashes(ws, words, s)
-                    prints[k].append(majority(h))
+                    prints[k].append(majority(np.unique(h) if distinct else h))
                     if not k and shingles:
                         sets.append(np.unique(h.astype(np.uint32)).view(np.int32))
                 seqs.append(xxhash.xxh64_intdigest(b" ".join(ws), 7))
@@ -347,7 +348,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, bi
     """docs (doc_id, text) -> doc_id, component_id: groups of texts linked by a Jaccard similarity of their word shingles
     of `similarity` or more, exact copies included; the component's id is its smallest doc_id.
 
-    Wide SimHash fingerprints propose pairs (within 3.5 standard deviations of the expected number of differing bits;
+    Wide SimHash fingerprints of the distinct shingles propose pairs (within 3.5 standard deviations of the expected number of differing bits;
     shard tables reach `recall` for pairs that differ in one deviation more bits than expected at `similarity`); the
     shingle sets of each proposed pair decide. Every pair that meets in a shard within that distance is decided: by its
     sets, or because links verified before join its ends. Texts of the same words are one node.
@@ -356,7 +357,7 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, bi
     deviation = math.sqrt(differs * (1 - differs) / bits)
     radius = math.ceil(bits * (differs + 3.5 * deviation))
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    prints = written(fingerprints(docs, words, bits), "fingerprints")
+    prints = written(fingerprints(docs, words, bits, distinct=True), "fingerprints")
     f = [f"f{w}" for w in range(width)]
     nodes = written(prints.groupBy("seq", *f).agg(F.min("doc_id").alias("id")).filter("id is not null"), "distinct-texts")
     keys = sampled_keys(bits, nodes.count(), differs + deviation, recall)
