@@ -199,6 +199,20 @@ def test_warc_ranges_own_each_record_once_and_skip_damage(tmp_path):
     assert gzip.decompress(members[0]).startswith(b"WARC/1.1\r\n")
 
 
+def test_warc_headers_of_any_length_and_record_count(spark):
+    rng = random.Random(5)
+    long = "".join(chr(rng.randrange(0x4E00, 0x9FFF)) for _ in range(30_000))
+    rows = [(1, "http://a/1", "one"), (2, f"http://b/{long}", "two"), (3, "http://c/?" + "x" * 300_000, "three"), (4, "http://d", None)]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").coalesce(1)
+    archives = warc.write_archives(warc.duplicates(pages))
+    for split in (1000, 1 << 20):
+        got = warc.complete(warc.read_archives(spark, archives, split_bytes=split), archives).collect()
+        assert sorted((r["page_id"], r["payload"]) for r in got) == [(1, b"one"), (2, b"two"), (3, b"three"), (4, b"")]
+        assert [r["url"] for r in got if r["page_id"] == 3] == [rows[2][1]]
+    with pytest.raises(RuntimeError):
+        warc.complete(warc.read_archives(spark, archives).filter("page_id <> 2"), archives)
+
+
 # ---------------------------------------------------------------- quality
 def test_base_counts_against_plain_version():
     rng = random.Random(5)

@@ -35,7 +35,8 @@ def op3_packing_bin_completion(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op4_warc_splittable(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = read_table(spark, sf_dir, "pages").select("page_id", "url", "html")
     archives = warc.write_archives(warc.duplicates(pages))
-    return warc.read_archives(spark, archives, payloads=False).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+    records = warc.read_archives(spark, archives, payloads=False).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+    return warc.complete(records, archives)
 
 
 def op5_quality_ngram_ratio(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -8,6 +8,8 @@ Reader: the archives are cut into byte ranges. A task scans its range for the gz
 decompresses to a WARC header, and owns the records that start inside its range, reading past its end where the last one
 does; a member that fails to decode is skipped by scanning on. No index and no whole-file read is needed.
 
+The writer's list says how many records it wrote; complete() fails if another number was read.
+
 Duplicates: payloads of at least `least` bytes with equal SHA-1 and length; the largest page_id among them is the response.
 Only groups of two or more rows are kept for that, and they are broadcast up to BROADCAST_GROUPS rows, joined beyond.
 
@@ -38,8 +40,8 @@ ARCHIVE_BYTES = 1 << 30
 SPLIT_BYTES = 8 << 20
 MAX_TASKS = 20_000
 MAGIC = b"\x1f\x8b\x08"
-#: Longest WARC header that is looked for in a candidate member.
-HEADER_BYTES = 1 << 16
+#: Bytes of a candidate member that are decompressed at a time until its WARC header ends.
+HEADER_STEP = 1 << 14
 DATE = "2024-01-01T00:00:00Z"
 
 RECORD_SCHEMA = ("page_id long, url string, record_type string, record_id string, refers_to long, payload_bytes long, "
@@ -130,11 +132,22 @@ class RangeReader:
 
     def _header(self, offset: int) -> bool:
         """Whether a WARC record's header can be decoded from a gzip member at offset."""
+        z, text, here = zlib.decompressobj(31), bytearray(), offset
         try:
-            text = zlib.decompressobj(31).decompress(self._at(offset, HEADER_BYTES), HEADER_BYTES)
+            while not z.eof and b"\r\n\r\n" not in text[-HEADER_STEP - 3:]:
+                piece = z.unconsumed_tail
+                if not piece:
+                    piece = self._at(here, HEADER_STEP)
+                    here += len(piece)
+                    if not piece:
+                        return False
+                text += z.decompress(piece, HEADER_STEP)
+                if not text[:7] == b"WARC/1."[:len(text)]:
+                    return False
         except zlib.error:
             return False
-        return text.startswith(b"WARC/1.") and b"\r\n\r\n" in text and b"\r\nWARC-Type:" in text
+        head, end, _ = text.partition(b"\r\n\r\n")
+        return head.startswith(b"WARC/1.") and bool(end) and b"\r\nWARC-Type:" in head
 
     def _find(self, offset: int, end: int) -> int | None:
         """The first valid member that starts in [offset, end)."""
@@ -217,3 +230,12 @@ def read_archives(spark: SparkSession, archives: DataFrame, split_bytes: int = S
                 yield batch(rows)
 
     return ranges.mapInArrow(run, RECORD_SCHEMA)
+
+
+def complete(records: DataFrame, archives: DataFrame) -> DataFrame:
+    """The records read from the archives, written; fails if they are not as many as the archives' list says."""
+    records = written(records, "warc-records")
+    read, wrote = records.count(), archives.agg(F.sum("records")).first()[0] or 0
+    if read != wrote:
+        raise RuntimeError(f"{read} records were read of {wrote} written")
+    return records
