@@ -418,6 +418,72 @@ def test_bk_tree_finds_all_pairs():
         assert got == want
 
 
+def test_trees_of_shards_find_what_all_pairs_of_the_shards_hold():
+    rng = np.random.default_rng(12)
+    base = rng.integers(0, 1 << 63, 20, dtype=np.uint64)
+    f = np.unique(base[rng.integers(0, 20, 700)] ^ (np.uint64(1) << rng.integers(0, 64, 700).astype(np.uint64)) ^ (np.uint64(1) << rng.integers(0, 64, 700).astype(np.uint64)))
+    f = rng.permutation(f)[:, None]
+    shard = rng.integers(0, 5, len(f))
+    trees = simhash.Trees(f, shard)
+    got = {(int(a), int(b)) for q, r in trees.within(np.arange(len(f)), 4) for a, b in zip(q, r)}
+    near = (simhash.distances(f[:, None], f[None]) <= 4) & (shard[:, None] == shard[None])
+    assert got == {(int(a), int(b)) for a, b in zip(*np.nonzero(near))}
+    assert trees.visited < (shard[:, None] == shard[None]).sum()
+    assert len(simhash.Trees(f[:0], shard[:0]).stars(4)[0]) == 0
+
+
+def test_whole_table_is_searched_through_trees(spark):
+    """At sf0.1 every fingerprint walks trees of many nodes, and the layout's trees find every close pair."""
+    docs = read_table(spark, "/root/testdata/sf0.1", "documents")
+    f = simhash.fingerprints(docs, 4).select("f0").distinct().toPandas()["f0"].to_numpy().view(np.uint64)[:, None]
+    got, visited, wide = set(), 0, 0
+    for positions in simhash.block_layout(64, 4, len(f)):
+        key = sum((f[:, 0] >> np.uint64(p) & np.uint64(1)) << np.uint64(k) for k, p in enumerate(positions.tolist()))
+        shard = np.unique(key, return_inverse=True)[1]
+        trees = simhash.Trees(f, shard)
+        got |= {(int(a), int(b)) for q, r in trees.within(np.arange(len(f)), 4) for a, b in zip(q, r) if a < b}
+        visited, wide = visited + trees.visited, wide + (np.bincount(shard).astype(float) ** 2).sum()
+    assert 20 * len(f) < visited < 0.5 * wide
+    want = set()
+    for at in range(0, len(f), 500):
+        i, j = np.nonzero(simhash.distances(f[at:at + 500, None], f[None]) <= 4)
+        want |= {(int(a), int(b)) for a, b in zip(i + at, j) if a < b}
+    assert got == want
+
+
+@pytest.mark.parametrize("rows", [0, 1, 256, 257, 10**5, 10**8, 10**12])
+def test_layout_loses_no_pair_within_the_radius(rows):
+    rng = np.random.default_rng(rows % 97)
+    keys = simhash.block_layout(64, 4, rows)
+    assert len(keys) <= 500 and len({len(k) for k in keys}) == 1
+    for _ in range(300):
+        flipped = set(rng.choice(64, 4, replace=False).tolist())
+        assert any(flipped.isdisjoint(k.tolist()) for k in keys)
+
+
+def test_one_of_each_tells_rows_by_id_and_text(spark):
+    rng = random.Random(15)
+    a, b, c = (speak(rng, 80) for _ in range(3))
+    rows = [(3, a), (7, a), (7, b), (9, c), (9, c), (11, c + " end"), (None, a), (12, None), (13, None)]
+    for extra in (False, True):
+        df = docs_of(spark, rows, extra)
+        if extra:
+            df = df.withColumns({x: F.lit(0) for x in ("__gone", "__again", "__doc", "__mark", "mark", "seq", "component_id", "stays", "id", "first")})
+        kept = simhash.one_of_each(df, simhash.near_duplicates(df.select("doc_id", "text")))
+        assert kept.columns == df.columns
+        assert sorted((str(r["doc_id"]), r["text"]) for r in kept.collect() if r["text"]) == sorted([("3", a), ("7", b), ("9", c), ("None", a)])
+        assert [r["doc_id"] for r in kept.collect() if r["text"] is None] == [12]
+
+
+def test_a_doc_id_of_two_texts_joins_nothing(spark):
+    rng = random.Random(16)
+    a, b = speak(rng, 60), speak(rng, 60)
+    got = {(r["doc_id"], r["fingerprint"]): r["component_id"] for r in simhash.linked(docs_of(spark, [(5, a), (5, b), (6, a), (9, b)])).collect()}
+    assert sorted(got.values()) == [5, 5, 5, 5] and len(got) == 4
+    got = {(r["doc_id"], r["fingerprint"]): r["component_id"] for r in simhash.linked(docs_of(spark, [(5, a), (5, b), (4, a), (9, b)])).collect()}
+    assert sorted(got.values()) == [4, 4, 5, 5]
+
+
 def test_near_duplicates_recall_and_one_of_each(spark):
     rng = random.Random(12)
     rows, group = [], {}

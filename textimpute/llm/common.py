@@ -4,11 +4,12 @@ from __future__ import annotations
 
 import ctypes
 import os
+import re
 import tempfile
 import uuid
 import zipfile
 import zlib
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -106,9 +107,12 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_folder(spark: SparkSession, label: str) -> str:
-    """A fresh path in the folder that driver and executors share (spark.checkpoint.dir; own one only if unset)."""
+    """A fresh path in the folder that driver and executors share (spark.checkpoint.dir; own one only if unset, and only
+    where driver and executors are one process)."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = tempfile.mkdtemp(prefix="textimpute-shared-")
         spark.sparkContext.setCheckpointDir(base)
     return f"{base.rstrip('/')}/{label}-{uuid.uuid4().hex}"
@@ -122,6 +126,30 @@ def written(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def free_prefix(df: DataFrame, names: Iterable[str], prefix: str = "__") -> str:
+    """A prefix under which none of the names is a column of df (names are compared without case)."""
+    taken = {c.lower() for c in df.columns}
+    while any((prefix + n).lower() in taken for n in names):
+        prefix += "_"
+    return prefix
+
+
+def hot_join(left: DataFrame, right: DataFrame, left_key: str, right_key: str, weight: str, rows: int, how: str = "inner") -> DataFrame:
+    """left joined to right, which has one row a key and in `weight` the number of left's rows with that key.
+
+    Keys with more than a two-thousandth of `rows` (so fewer than 2000 keys, which are broadcast) are dealt over several
+    tasks: left's rows get a salt, right's row is repeated for each. The column of weights is dropped.
+    """
+    cut = max(1000, rows // 2000)
+    parts = F.ceil(F.col(weight) / cut).cast("int")
+    heavy = right.filter(F.col(weight) > cut).select(F.col(right_key).alias("__hot"), parts.alias("__parts"))
+    dealt = left.join(F.broadcast(heavy), F.col(left_key) == F.col("__hot"), "left").withColumn(
+        "__salt", F.when(F.col("__parts").isNotNull(), F.pmod(F.monotonically_increasing_id(), F.col("__parts"))).otherwise(F.lit(0)).cast("int"))
+    repeated = right.withColumn("__copy", F.explode(F.when(F.col(weight) > cut, F.sequence(F.lit(0), parts - 1)).otherwise(F.array(F.lit(0))))).drop(weight)
+    same = (F.col(left_key) == F.col(right_key)) & (F.col("__salt") == F.col("__copy"))
+    return dealt.join(repeated, same, how).drop("__hot", "__parts", "__salt", "__copy")
+
+
 def removed(spark: SparkSession, df: DataFrame) -> None:
     """Deletes the files of a table made by written() that nothing reads any more."""
     jvm = spark.sparkContext._jvm

@@ -3,21 +3,29 @@
 Fingerprints: each word shingle votes with the 64 bits of its XXH64; a bit is set if more than half of the votes have it.
 Wider fingerprints join several seeds. Candidates meet in shards whose keys are parts of the fingerprint:
 
-* `exact`: the bits are cut in blocks; two fingerprints that differ in at most `radius` bits agree on some
-  blocks - radius whole blocks, so one shard per choice of blocks loses no link (`linked`, the op10 contract).
-* `sampled`: keys of key_bits randomly chosen bits, with as many tables as the wanted recall at the wanted similarity
+* `block_layout`: the bits are cut in blocks; two fingerprints that differ in at most `radius` bits agree on some
+  blocks - radius whole blocks, so one shard per choice of blocks loses no link (`linked`, the op10 contract). Of those
+  blocks the key takes as many bits as give shards of about PER_TREE rows, so keys follow the number of rows.
+* `sampled_keys`: keys of key_bits randomly chosen bits, with as many tables as the wanted recall at the wanted similarity
   takes (`near_duplicates`); both follow from the number of rows, so recall is the same at every size.
 
-In a shard a BK-tree (children keyed by their integer Hamming distance to the parent) answers all its queries at once and
-follows only edges within the radius. A shard above `chunk` rows is cut into chunks; each pair of chunks is a task of its
-own, so hot shards spread and nothing is capped. Where links need no check, a shard reports a spanning forest, never all
-pairs of a dense group. Where they do (`near_duplicates`), it first reports a few pairs of each row of a dense group; then
-all pairs of such groups that the verified links have not joined are reported and verified too, so no pair is left out.
+`linked`: every shard is a BK-tree (`Trees`; a node's children are keyed by their integer Hamming distance to it). All
+fingerprints of the shard search it from the root and follow only edges within the radius of their own distance. A tree
+meets its queries by the shard key instead of being broadcast: fingerprints of all documents must not pass the driver. A
+shard above CHUNK rows is cut into chunks; each pair of chunks is a task of its own, so hot shards spread and nothing is
+capped. A shard reports a spanning forest, never all pairs of a dense group.
+
+`near_duplicates`: the radius there (47 of 192 bits) is wider than the spread of distances, so hardly an edge can be left
+out and nodes of LEAF rows or fewer are compared directly. Its links need a check, so a shard first reports a few pairs of
+each row of a dense group; then all pairs of such groups that the verified links have not joined are reported and verified
+too, so no pair is left out.
+
 Components come from a distributed iteration over written tables; driver memory holds nothing that grows with documents.
 
 Defined edge results: null and empty texts have no words and fingerprint zero; they are linked like any other row, all
-rows of one fingerprint being one node. Ids may be null: such a row takes the component of its fingerprint if another
-row of it has an id, else null. Repeated rows stay repeated. Empty tables give empty results. Only id and text are read.
+rows of one fingerprint being one node (so a doc_id that stands for several texts joins nothing). Ids may be null: such a
+row takes the component of its fingerprint if another row of it has an id, else null. Repeated rows stay repeated. Empty
+tables give empty results. Only id and text are read, so other columns may have any name.
 """
 
 from __future__ import annotations
@@ -32,7 +40,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_bytes, blank_words, removed, small, written
+from .common import as_bytes, blank_words, free_prefix, hot_join, removed, small, written
 from .components import connected_components
 
 SEEDS = (42, 43, 44, 45)
@@ -43,6 +51,10 @@ BROADCAST_KEYS = 50_000
 #: Number of ids (8 bytes each) up to which a list of ids is broadcast; beyond it is joined.
 BROADCAST_IDS = 1_000_000
 LEAF = 32
+#: Rows that a shard's BK-tree is to have on average.
+PER_TREE = 256
+#: Rows of whole shards whose trees are built and searched together.
+TOGETHER = 1 << 16
 
 
 # ---------------------------------------------------------------- fingerprints
@@ -72,8 +84,9 @@ def majority(hashes: np.ndarray) -> int:
 
 def fingerprints(docs: DataFrame, words: int = 4, bits: int = 64, lower: bool = True, shingles: bool = False,
                  distinct: bool = False) -> DataFrame:
-    """docs (doc_id, text) -> doc_id, f0..f(bits/64-1) signed longs, seq (hash of the word sequence), and with
-    `shingles` the sorted distinct low 32 bits of the shingle hashes. If `distinct`, a repeated shingle votes once."""
+    """docs (doc_id, text) -> doc_id, mark (hash of the text), f0..f(bits/64-1) signed longs, seq (hash of the word
+    sequence), and with `shingles` the sorted distinct low 32 bits of the shingle hashes. If `distinct`, a repeated shingle
+    votes once."""
     seeds = SEEDS[: bits // 64]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -87,22 +100,29 @@ def fingerprints(docs: DataFrame, words: int = 4, bits: int = 64, lower: bool =
                     if not k and shingles:
                         sets.append(np.unique(h.astype(np.uint32)).view(np.int32))
                 seqs.append(xxhash.xxh64_intdigest(b" ".join(ws), 7))
-            cols = [b.column(0), *(pa.array(np.array(p, np.uint64).view(np.int64)) for p in prints), pa.array(np.array(seqs, np.uint64).view(np.int64))]
-            names = ["doc_id", *(f"f{k}" for k in range(len(seeds))), "seq"]
+            cols = [b.column(0), b.column(2), *(pa.array(np.array(p, np.uint64).view(np.int64)) for p in prints), pa.array(np.array(seqs, np.uint64).view(np.int64))]
+            names = ["doc_id", "mark", *(f"f{k}" for k in range(len(seeds))), "seq"]
             if shingles:
                 cols.append(pa.array(sets, pa.list_(pa.int32())))
                 names.append("shingles")
             yield pa.RecordBatch.from_arrays(cols, names)
 
-    schema = "doc_id long, " + "".join(f"f{k} long, " for k in range(len(seeds))) + "seq long" + ", shingles array<int>" * shingles
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, schema)
+    schema = "doc_id long, mark long, " + "".join(f"f{k} long, " for k in range(len(seeds))) + "seq long" + ", shingles array<int>" * shingles
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64("text").alias("mark")).mapInArrow(run, schema)
 
 
 # ---------------------------------------------------------------- shard keys
-def block_keys(bits: int, radius: int, blocks: int) -> list[np.ndarray]:
-    """Bit positions of each shard key: every choice of blocks - radius of the blocks."""
-    cut = np.array_split(np.arange(bits), blocks)
-    return [np.concatenate(c) for c in combinations(cut, blocks - radius)]
+def block_layout(bits: int, radius: int, rows: int, per_tree: int = PER_TREE) -> list[np.ndarray]:
+    """Bit positions of each shard key: as many bits as leave about per_tree rows in a shard, taken evenly from every
+    choice of blocks - radius blocks, of the fewest blocks that have so many bits. Few rows are one shard."""
+    wanted = max(0, math.ceil(math.log2(max(rows, 1) / per_tree)))
+    if not wanted:
+        return [np.empty(0, np.int64)]
+    for blocks in range(radius + 1, bits + 1):
+        choices = [np.concatenate(c) for c in combinations(np.array_split(np.arange(bits), blocks), blocks - radius)]
+        if min(map(len, choices)) >= min(wanted, bits // 2):
+            return [c[np.linspace(0, len(c) - 1, min(wanted, len(c))).astype(np.int64)] for c in choices]
+    raise ValueError("the radius is too wide for the bits")
 
 
 def sampled_keys(bits: int, rows: int, differs: float, recall: float, least_bits: int = 12, per_shard: int = 1000) -> list[np.ndarray]:
@@ -135,6 +155,62 @@ def distances(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.bitwise_count(a ^ b).sum(-1, dtype=np.int64)
 
 
+class Trees:
+    """The BK-trees of shards in flat arrays: a node is a row, its children are keyed by their distance to it, and a
+    shard's first row is its root. Built and searched level by level, all shards at once."""
+
+    def __init__(self, f: np.ndarray, shard: np.ndarray):
+        """f: n x words; shard: a number from 0 for each row."""
+        n, self.f, self.width = len(f), f, 64 * f.shape[1] + 2
+        parent, edge = np.full(n, -1), np.zeros(n, np.int64)
+        self.root = np.zeros(int(shard.max()) + 1 if n else 0, np.int64)
+        self.shard = shard
+        rows, group, above, by = np.arange(n), shard, None, None
+        while len(rows):
+            groups, first, member = np.unique(group, return_index=True, return_inverse=True)
+            nodes = rows[first]
+            if above is None:
+                self.root[groups] = nodes
+            else:
+                parent[nodes], edge[nodes] = above[first], by[first]
+            later = np.ones(len(rows), bool)
+            later[first] = False
+            above, rows = nodes[member[later]], rows[later]
+            by = distances(f[rows], f[above])
+            group = above * self.width + by
+        child = np.flatnonzero(parent >= 0)
+        key = parent[child] * self.width + edge[child]
+        self.child = child[np.argsort(key, kind="stable")]
+        #: where the children of (node, edge) begin in `child`
+        self.begin = np.r_[0, np.cumsum(np.bincount(key, minlength=n * self.width))]
+        self.visited = 0
+
+    def within(self, queries: np.ndarray, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """(query, row) pairs of rows of one shard that differ in at most `radius` bits, the query itself included."""
+        q, at = queries, self.root[self.shard[queries]]
+        while len(q):
+            self.visited += len(q)
+            d = distances(self.f[q], self.f[at])
+            hit = d <= radius
+            yield q[hit], at[hit]
+            base = at * self.width
+            lo = self.begin[base + np.maximum(d - radius, 0)]
+            n = self.begin[base + np.minimum(d + radius, self.width - 2) + 1] - lo
+            ends = np.cumsum(n)
+            at = self.child[np.repeat(lo - ends + n, n) + np.arange(ends[-1])]
+            q = np.repeat(q, n)
+
+    def stars(self, radius: int) -> tuple[np.ndarray, np.ndarray]:
+        """A spanning star (member, root) of each group of rows that are linked within the radius."""
+        root = np.arange(len(self.f))
+        step = max(64, (1 << 20) // max(1, int(np.bincount(self.shard).max()) if len(self.shard) else 1))
+        for at in range(0, len(root), step):
+            found = [(q[q > r], r[q > r]) for q, r in self.within(np.arange(at, min(at + step, len(root))), radius)]
+            root = merge(root, np.concatenate([q for q, _ in found]), np.concatenate([r for _, r in found]))
+        member = np.flatnonzero(root != np.arange(len(root)))
+        return member, root[member]
+
+
 def close_pairs(f: np.ndarray, radius: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """Pairs i < j of rows of f (n x words) within the radius, block by block.
 
@@ -175,19 +251,10 @@ def merge(root: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
         first = np.full(len(root), len(root))
         np.minimum.at(first, hi, lo)
         root = np.where(first < len(root), np.minimum(first, root), root)
-        while (again := root[root]).tolist() != root.tolist():
+        while not np.array_equal(again := root[root], root):
             root = again
 
 
-def forest(f: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
-    """A spanning star (member, root) of each group of rows linked within the radius."""
-    root = np.arange(len(f))
-    for i, j in close_pairs(f, radius):
-        root = merge(root, i, j)
-    member = np.flatnonzero(root != np.arange(len(f)))
-    return member, root[member]
-
-
 def witnesses(f: np.ndarray, radius: int, small: int = 16) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Pairs to be verified first, and the rows of groups of which not all pairs are among them: all pairs of a group of
     up to `small` rows; in a denser group each row with its nearest row and with the row nearest to the group's majority
@@ -248,10 +315,8 @@ def shard_edges(nodes: DataFrame, keys: list[np.ndarray], radius: int, width: in
         def found(f):
             if apart:
                 yield from ((i, j, i[:0]) for i, j in close_pairs(f, radius))
-            elif pairs:
-                yield witnesses(f, radius)
             else:
-                yield *forest(f, radius), np.empty(0, int)
+                yield witnesses(f, radius)
 
         no = np.empty(0, np.int64)
 
@@ -261,6 +326,20 @@ def shard_edges(nodes: DataFrame, keys: list[np.ndarray], radius: int, width: in
             v = pa.array(np.r_[both[:, 1], some], mask=np.arange(len(both) + len(some)) >= len(both))
             return pa.RecordBatch.from_arrays([pa.array(np.r_[both[:, 0], some]), v], ["u", "v"])
 
+        def linked_edges(key, ids, f, _):
+            """Spanning stars of whole shards, one after the other in sorted arrays."""
+            new = np.r_[True, (key[1:] != key[:-1]).any(1)]
+            starts = np.flatnonzero(new)
+            shard = np.cumsum(new) - 1
+            at = 0
+            while at < len(key):  # whole shards, about TOGETHER rows
+                k = np.searchsorted(starts, at + TOGETHER)
+                end = int(starts[k]) if k < len(starts) else len(key)
+                i, j = Trees(np.ascontiguousarray(f[at:end]), shard[at:end] - shard[at]).stars(radius)
+                u, v = ids[at + i], ids[at + j]
+                yield batch([np.maximum(u, v)], [np.minimum(u, v)], [ids[:0]])
+                at = end
+
         def edges(key, ids, f, part):
             """Of whole shards, one after the other in sorted arrays."""
             starts = np.flatnonzero(np.r_[True, (key[1:] != key[:-1]).any(1)])
@@ -289,7 +368,7 @@ def shard_edges(nodes: DataFrame, keys: list[np.ndarray], radius: int, width: in
                         us[:], vs[:], dense[:], held = [], [], [ids[:0]], 0
             yield batch(us, vs, dense)
 
-        rest = None
+        rest, of_shards = None, edges if pairs else linked_edges
         for b in batches:
             if not len(b):
                 continue
@@ -302,25 +381,32 @@ def shard_edges(nodes: DataFrame, keys: list[np.ndarray], radius: int, width: in
                 key = now[0]
             last = len(key) - int(np.argmax((key[::-1] != key[-1]).any(1))) if (key != key[-1]).any() else 0
             if last:
-                yield from edges(*(x[:last] for x in now))
+                yield from of_shards(*(x[:last] for x in now))
             rest = tuple(x[last:] for x in now)
         if rest:
-            yield from edges(*rest)
+            yield from of_shards(*rest)
 
     return entries.repartition("key", "part").sortWithinPartitions("key", "part").mapInArrow(run, "u long, v long").distinct()
 
 
 # ---------------------------------------------------------------- operators
-def linked(docs: DataFrame, words: int = 4, radius: int = 4, blocks: int = 6) -> DataFrame:
+def linked(docs: DataFrame, words: int = 4, radius: int = 4, per_tree: int = PER_TREE) -> DataFrame:
     """doc_id, fingerprint (16 hex digits), component_id (smallest doc_id reachable over links of at most `radius` bits)."""
     prints = written(fingerprints(docs, words).select("doc_id", "f0"), "fingerprints")
-    nodes = written(prints.groupBy("f0").agg(F.min("doc_id").alias("id")), "distinct-fingerprints")
-    found = shard_edges(nodes.filter("id is not null"), block_keys(64, radius, blocks), radius, 1, pairs=False)
-    parts = connected_components(found)
-    named = nodes.join(parts, nodes["id"] == parts["node"], "left").select(
-        F.col("f0").alias("k"), F.coalesce("component", "id").alias("component_id"))
-    return prints.join(named, prints["f0"] == named["k"]).select(
-        "doc_id", F.lower(F.lpad(F.hex("f0"), 16, "0")).alias("fingerprint"), "component_id")
+    nodes = written(prints.groupBy(F.col("f0").alias("id")).agg(F.min("doc_id").alias("first"), F.count("*").alias("n")), "distinct-fingerprints")
+    n = nodes.count()
+    found = shard_edges(nodes.select("id", F.col("id").alias("f0")), block_layout(64, radius, n, per_tree), radius, 1, pairs=False)
+    named = _named(nodes, connected_components(found), n).withColumnRenamed("id", "k")
+    return hot_join(prints, named, "f0", "k", "n", prints.count()).select(
+        "doc_id", F.lower(F.lpad(F.hex("f0"), 16, "0")).alias("fingerprint"), F.col("head").alias("component_id"))
+
+
+def _named(nodes: DataFrame, parts: DataFrame, n: int) -> DataFrame:
+    """nodes (id, first, n) and the components of some of them -> id, n, head: the least `first` of the node's component."""
+    placed = parts.select(F.col("node"), "component").join(nodes.select("id", "first"), F.col("node") == F.col("id")).drop("id")
+    heads = placed.groupBy(F.col("component").alias("c")).agg(F.min("first").alias("head"), F.count("*").alias("members"))
+    of_node = hot_join(placed, heads, "component", "c", "members", n).select("node", "head")
+    return written(nodes.join(of_node, nodes["id"] == of_node["node"], "left").select("id", "n", F.coalesce("head", "first").alias("head")), "named-groups")
 
 
 def expected_difference(similarity: float) -> float:
@@ -328,13 +414,15 @@ def expected_difference(similarity: float) -> float:
     return math.acos(min(1.0, 2 * similarity / (1 + similarity))) / math.pi
 
 
-def verified(docs: DataFrame, proposed: DataFrame, words: int, similarity: float) -> DataFrame:
-    """The pairs (u, v) of doc_ids whose texts' shingle sets have that Jaccard similarity, written."""
-    ends = written(proposed.select(F.explode(F.array("u", "v")).alias("id")).distinct(), "proposed-ids")
+def verified(docs: DataFrame, nodes: DataFrame, proposed: DataFrame, words: int, similarity: float) -> DataFrame:
+    """The pairs (u, v) of node ids whose texts' shingle sets have that Jaccard similarity, written. docs has doc_id and
+    text, nodes has id (the hash of the word sequence) and first (doc_id and mark of one of its rows)."""
+    ends = proposed.select(F.explode(F.array("u", "v")).alias("end")).distinct()
+    ends = written(nodes.join(ends, nodes["id"] == ends["end"], "left_semi").select(F.col("first.doc_id").alias("d"), F.col("first.mark").alias("m")).distinct(), "proposed-rows")
     side = F.broadcast(ends) if ends.count() <= BROADCAST_IDS else ends
-    # shingle sets are made for the proposed texts only; the row whose doc_id names a node stands for it
-    some = docs.join(side, docs["doc_id"] == F.col("id"), "left_semi")
-    sets = written(fingerprints(some, words, 64, shingles=True).select(F.col("doc_id").alias("id"), "shingles").dropDuplicates(["id"]), "shingle-sets")
+    # shingle sets are made for the proposed texts only; one row stands for a node
+    some = docs.join(side, (docs["doc_id"] == F.col("d")) & (F.xxhash64(docs["text"]) == F.col("m")), "left_semi")
+    sets = written(fingerprints(some, words, 64, shingles=True).select(F.col("seq").alias("id"), "shingles").dropDuplicates(["id"]), "shingle-sets")
     left, right = sets.toDF("lu", "ls"), sets.toDF("rv", "rs")
     common = F.size(F.array_intersect("ls", "rs"))
     links = written(proposed.join(left, F.col("u") == F.col("lu")).select("u", "v", "ls").join(right, F.col("v") == F.col("rv"))
@@ -345,13 +433,15 @@ def verified(docs: DataFrame, proposed: DataFrame, words: int, similarity: float
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, bits: int = 192, recall: float = 0.999) -> DataFrame:
-    """docs (doc_id, text) -> doc_id, component_id: groups of texts linked by a Jaccard similarity of their word shingles
-    of `similarity` or more, exact copies included; the component's id is its smallest doc_id.
-
-    Wide SimHash fingerprints of the distinct shingles propose pairs (within 3.5 standard deviations of the expected number of differing bits;
-    shard tables reach `recall` for pairs that differ in one deviation more bits than expected at `similarity`); the
-    shingle sets of each proposed pair decide. Every pair that meets in a shard within that distance is decided: by its
-    sets, or because links verified before join its ends. Texts of the same words are one node.
+    """docs (doc_id, text) -> doc_id, mark (xxhash64 of the text), component_id, stays: groups of texts linked by a Jaccard
+    similarity of their word shingles of `similarity` or more, exact copies included. component_id is the group's smallest
+    doc_id; `stays` marks the rows of one text of the group, that with this doc_id (several: the smallest mark).
+
+    Wide SimHash fingerprints of the distinct shingles propose pairs (within 3.5 standard deviations of the expected number
+    of differing bits; shard tables reach `recall` for pairs that differ in one deviation more bits than expected at
+    `similarity`); the shingle sets of each proposed pair decide. Every pair that meets in a shard within that distance is
+    decided: by its sets, or because links verified before join its ends. Texts of the same words are one node, named by
+    the hash of their words, so several texts of one doc_id stay apart.
     """
     width, differs = bits // 64, expected_difference(similarity)
     deviation = math.sqrt(differs * (1 - differs) / bits)
@@ -359,43 +449,49 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, bi
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     prints = written(fingerprints(docs, words, bits, distinct=True), "fingerprints")
     f = [f"f{w}" for w in range(width)]
-    nodes = written(prints.groupBy("seq", *f).agg(F.min("doc_id").alias("id")).filter("id is not null"), "distinct-texts")
-    keys = sampled_keys(bits, nodes.count(), differs + deviation, recall)
-    proposed = written(shard_edges(nodes, keys, radius, width, pairs=True), "proposed")
-    links = verified(docs, proposed.filter("v is not null"), words, similarity)
+    row = F.when(F.col("doc_id").isNotNull(), F.struct("doc_id", "mark"))
+    nodes = written(prints.groupBy(F.col("seq").alias("id")).agg(*(F.min(x).alias(x) for x in f), F.min(row).alias("first"), F.count("*").alias("n"))
+                    .filter("first is not null"), "distinct-texts")
+    n = nodes.count()
+    keys = sampled_keys(bits, n, differs + deviation, recall)
+    proposed = written(shard_edges(nodes.select("id", *f), keys, radius, width, pairs=True), "proposed")
+    links = verified(docs, nodes, proposed.filter("v is not null"), words, similarity)
     parts = connected_components(links)
     dense = written(proposed.filter("v is null").select(F.col("u").alias("dense_id")), "dense-ids")
     tables = [prints, nodes, proposed, links, dense]
-    if (n := dense.count()):
-        side = F.broadcast(dense) if n <= BROADCAST_IDS else dense
+    if (many := dense.count()):
+        side = F.broadcast(dense) if many <= BROADCAST_IDS else dense
         some = nodes.join(side, nodes["id"] == F.col("dense_id"), "left_semi")
         some = written(some.join(parts, some["id"] == parts["node"], "left").select("id", *f, F.coalesce("component", "id").alias("component")), "dense-texts")
         undecided = written(shard_edges(some, keys, radius, width, pairs=True), "undecided")
-        more = verified(docs, undecided, words, similarity)
+        more = verified(docs, nodes, undecided, words, similarity)
         parts = connected_components(links.unionAll(more))
         tables += [some, undecided, more]
-    named = nodes.join(parts, nodes["id"] == parts["node"], "left").select(
-        F.col("seq").alias("k"), *(F.col(x).alias(f"k_{x}") for x in f), F.coalesce("component", "id").alias("component_id"))
-    on = [prints["seq"] == named["k"], *(prints[x] == named[f"k_{x}"] for x in f)]
-    out = written(prints.join(named, on, "left").select("doc_id", "component_id"), "near-duplicates")
+    named = _named(nodes.select("id", "first", "n"), parts, n)
+    out = hot_join(prints.select("doc_id", "mark", "seq"), named, "seq", "id", "n", prints.count(), "left")
+    own = F.col("doc_id").isNull() | (F.struct("doc_id", "mark") == F.col("head"))
+    out = written(out.select("doc_id", "mark", F.col("head.doc_id").alias("component_id"), own.alias("stays")), "near-duplicates")
     for table in tables:
         removed(docs.sparkSession, table)
     return out
 
 
-def one_of_each(docs: DataFrame, groups: DataFrame, broadcast_ids: int = BROADCAST_IDS) -> DataFrame:
-    """The rows of docs that name their group (smallest doc_id), given near_duplicates(docs).
+def one_of_each(docs: DataFrame, groups: DataFrame, broadcast_rows: int = BROADCAST_IDS) -> DataFrame:
+    """The rows of docs that name their group, given near_duplicates(docs).
 
-    Of rows that repeat id and text one stays; a row without an id cannot be named and stays. The ids that go are
-    broadcast up to a checked number, so texts are only shuffled beyond it.
+    A row is known by its doc_id and its text, so other texts of the same doc_id are not touched. Of rows that repeat id
+    and text one stays; a row without an id cannot be named and stays. The rows that go are broadcast (16 bytes each) up to
+    a checked number, so texts are only shuffled beyond it.
     """
-    gone = written(groups.filter("doc_id is not null and doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct(), "copies")
-    side = F.broadcast(gone) if gone.count() <= broadcast_ids else gone
-    kept = docs.join(side, docs["doc_id"] == F.col("__gone"), "left_anti")
-    again = written(groups.filter("doc_id is not null").groupBy("doc_id").count().filter("count > 1").select(F.col("doc_id").alias("__again")), "repeated-ids")
-    n = again.count()
-    if not n:
+    p = free_prefix(docs, ["doc", "mark"])
+    doc, mark = F.col(f"{p}doc"), F.col(f"{p}mark")
+    same = docs["doc_id"].cast("long").eqNullSafe(doc) & F.xxhash64(docs["text"]).eqNullSafe(mark)
+    listed = lambda rows, label: written(rows.select(F.col("doc_id").alias(f"{p}doc"), F.col("mark").alias(f"{p}mark")).distinct(), label)
+    side = lambda rows: F.broadcast(rows) if rows.count() <= broadcast_rows else rows
+    gone = listed(groups.filter("not stays"), "copies")
+    again = listed(groups.filter("stays and doc_id is not null").groupBy("doc_id", "mark").count().filter("count > 1"), "repeated-rows")
+    kept = docs.join(side(gone), same, "left_anti")
+    if again.isEmpty():
         return kept
-    side = F.broadcast(again) if n <= broadcast_ids else again
-    alone = kept.join(side, kept["doc_id"] == F.col("__again"), "left_anti")
-    return alone.unionByName(kept.join(side, kept["doc_id"] == F.col("__again"), "left_semi").dropDuplicates(["doc_id", "text"]))
+    once = side(again)
+    return kept.join(once, same, "left_anti").unionByName(kept.join(once, same, "left_semi").dropDuplicates(["doc_id", "text"]))
