@@ -369,6 +369,50 @@ def test_components_of_paths_stars_and_cycles(spark):
     assert got == {x: find(x) for x in parent}
 
 
+# ---------------------------------------------------------------- packing, continued
+def test_best_fit_decreasing_against_one_piece_at_a_time():
+    rng = random.Random(21)
+    for _ in range(300):
+        capacity = rng.choice([20, 50, 100])
+        sizes = [rng.randint(1, capacity) for _ in range(rng.randint(1, 50))]
+        rooms = []
+        for s in sorted(sizes, reverse=True):
+            fits = [r for r in rooms if r >= s]
+            if fits:
+                rooms.remove(min(fits))
+            rooms.append((min(fits) if fits else capacity) - s)
+        patterns = packing.best_fit_decreasing(dict(Counter(sizes)), capacity)
+        assert sorted(capacity - sum(s * n for s, n in f.items()) for f, t in patterns for _ in range(t)) == sorted(rooms)
+        used = sum(t for _, t in packing.bin_completion(dict(Counter(sizes)), capacity))
+        assert packing.lower_bound(dict(Counter(sizes)), capacity) <= used <= len(rooms)
+
+
+def test_dominance_against_all_subsets():
+    rng = random.Random(22)
+    for _ in range(400):
+        capacity = 40
+        left = Counter(rng.randint(1, 25) for _ in range(8))
+        head = max(left)
+        fill, room = Counter([head]), capacity - head
+        for s in rng.sample(sorted(left.elements()), 5):
+            if s <= room and fill[s] < left[s]:
+                fill[s] += 1
+                room -= s
+        others = list((fill - Counter([head])).elements())
+        sets = [[o for k, o in enumerate(others) if mask >> k & 1] for mask in range(1 << len(others))]
+        outside = [s for s in left if left[s] > fill[s]]
+        want = any(sum(some) <= o <= sum(some) + room and some != [o] for o in outside for some in sets)
+        open_ = sum(1 << s for s in outside)
+        assert packing.dominated(open_, head, room, dict(fill)) == want
+
+
+def test_long_runs_of_blanks_and_letters_are_encoded():
+    encoder = packing.Encoder()
+    for text in (" " * 1_000_000, "a" + "\n" * 900_000 + "b", "x" * 200_000, "- " * 300_000):
+        ids = encoder.full.encode(text, add_special_tokens=False).ids
+        assert encoder.encode(text) == np.array(ids, "<u4").tobytes()
+
+
 # ---------------------------------------------------------------- near-duplicates
 def plain_print(text):
     words = (text or "").encode().lower().split()

@@ -5,17 +5,21 @@ of which the first may be shorter. Only the lengths matter for the packing, and
 the whole problem is a histogram: the driver solves it with bin completion and gets a few thousand patterns (a multiset of
 lengths that fills one sequence, and how many sequences are filled that way), however many documents there are.
 
-Bin completion: around the largest open length, all undominated fillings of the rest are enumerated (largest first,
-pruned where even the largest remaining lengths cannot lift the fill); they are tried in best-fit order, and a branch is
-cut when the waste it has collected exceeds what the incumbent's number of sequences allows.  Best-fit decreasing gives
-the first incumbent.
+Bin completion: around the largest open length, undominated fillings of the rest are enumerated (largest first); the
+fullest are tried first, and a branch is cut when the waste it has collected exceeds what the incumbent's number of
+sequences allows. Best-fit decreasing gives the first incumbent, and open branches are finished by it from time to time:
+the better of both is the new incumbent. The search stops when the incumbent meets the lower bound.
+
+The search is exact only while its documented effort lasts: LIMIT fillings a node, FILLING_STEPS steps to enumerate them,
+EFFORT such steps in all, and at most MAX_OPEN open branches. What ends there can only cost sequences, never pieces: the
+branch at hand is then finished by best fit.
 
 Each piece knows its rank among pieces of its length: tasks number their own pieces while tokenizing, and a prefix sum over
 (task, length) counts gives the task's first rank. Ranks are dealt to patterns by binary search, so no window runs over a
 group of equal lengths and no piece is moved. Tokenized pieces are written to the shared folder, which fixes the numbering.
 
 Defined edge results: a null or empty text is the end id alone; an empty table gives no pieces; repeated rows are packed
-each by itself; ids may be null.
+each by itself; ids may be null; of the documents only doc_id and text are read, so other columns may have any name.
 """
 
 from __future__ import annotations
@@ -25,7 +29,7 @@ import json
 import re
 import struct
 import zlib
-from bisect import bisect_right
+from bisect import bisect_left, bisect_right, insort
 from collections import Counter
 from collections.abc import Iterator
 
@@ -40,6 +44,8 @@ from .common import as_bytes, small, written
 CAPACITY = 1024
 END_ID = 2
 VOCABULARY = "byte_bpe_50k"
+#: Limits of the search: fillings that a node branches into, steps to enumerate them, such steps in all, open branches.
+LIMIT, FILLING_STEPS, EFFORT, MAX_OPEN = 3, 500, 200_000, 256
 
 
 # ---------------------------------------------------------------- tokens
@@ -53,10 +59,13 @@ class Encoder:
     """Token ids as little-endian unsigned 32-bit bytes.
 
     Texts of Latin letters, ASCII and newlines go to the rank file of the vocabulary, which gives the same ids several
-    times faster; others, where the two libraries' character classes could differ, and texts that hold a special token go
-    to the tokenizer file.
+    times faster; others, where the two libraries' character classes could differ, texts that hold a special token and
+    texts with a run of over RUN blanks or over RUN other characters (which the rank file's matcher cannot take) go to the
+    tokenizer file.
     """
 
+    RUN = 20_000
+
     def __init__(self, tokenizer_file: str | None = None, rank_file: str | None = None, special: list[str] | None = None):
         import public_tokenizers
         import tiktoken
@@ -68,6 +77,7 @@ class Encoder:
         self._full = None
         self.special = special_strings(self.tokenizer_file) if special is None else special
         self.other = re.compile(r"[^\x20-\x7e\n\u00a1-\u024f]")
+        self.run = re.compile(rf"[ \n]{{{self.RUN}}}|[^ \n]{{{self.RUN}}}")
 
     @property
     def full(self):
@@ -81,7 +91,7 @@ class Encoder:
     def encode(self, text: str) -> bytes:
         if not text:
             return b""
-        if self.other.search(text) or any(s in text for s in self.special):
+        if self.other.search(text) or len(text) >= self.RUN and self.run.search(text) or any(s in text for s in self.special):
             ids = self.full.encode(text, add_special_tokens=False).ids
         else:
             ids = self.quick(text)
@@ -95,48 +105,97 @@ def special_strings(tokenizer_file: str) -> list[str]:
 
 # ---------------------------------------------------------------- the packing problem
 def best_fit_decreasing(counts: dict[int, int], capacity: int) -> list[tuple[dict[int, int], int]]:
-    """Patterns of best-fit decreasing over a histogram: each pattern is applied as often as its lengths allow."""
-    left, patterns = dict(counts), []
-    while left:
-        fill, room = Counter(), capacity
-        for s in sorted(left, reverse=True):
-            take = min(left[s], room // s)
-            if take:
-                fill[s] = take
-                room -= take * s
-        times = min(left[s] // n for s, n in fill.items())
-        for s, n in fill.items():
-            left[s] -= n * times
-            if not left[s]:
-                del left[s]
-        patterns.append((dict(fill), times))
-    return patterns
-
-
-def completions(left: dict[int, int], capacity: int, limit: int = 3, effort: int = 2000) -> list[dict[int, int]]:
-    """Up to `limit` undominated fillings of a sequence around the largest open length, best fit first.
-
-    A filling is dominated if one of its lengths could be swapped for a larger open one, or one more be added. They are
-    enumerated largest length first; a branch is left when nothing open fits its room. A perfect filling cannot be
-    dominated, so the search ends with `limit` of them, at the latest after `effort` steps (which can only cost sequences,
-    never correctness).
+    """Patterns of best-fit decreasing over a histogram: the pieces, largest first, each go to the fullest sequence that
+    still has room. Equal sequences are handled together: one that takes a piece is the fullest for its equals, too, and so
+    is filled until none fits."""
+    by_room: dict[int, list[tuple[tuple, int]]] = {}  # room -> (chain of (length, times), how many sequences)
+    rooms: list[int] = []  # sorted
+
+    def put(room: int, fill: tuple, n: int) -> None:
+        if room not in by_room:
+            by_room[room] = []
+            insort(rooms, room)
+        by_room[room].append((fill, n))
+
+    for s in sorted(counts, reverse=True):
+        left, made = counts[s], []
+        at = bisect_left(rooms, s)
+        while left and at < len(rooms):
+            room = rooms[at]
+            groups, each = by_room[room], room // s
+            while left and groups:
+                fill, n = groups.pop()
+                full = min(n, left // each)
+                rest = left - full * each if full < n else 0
+                if full:
+                    made.append((room - each * s, (fill, (s, each)), full))
+                if rest:
+                    made.append((room - rest * s, (fill, (s, rest)), 1))
+                left -= full * each + rest
+                if n - full - bool(rest):
+                    groups.append((fill, n - full - bool(rest)))
+            if groups:
+                at += 1
+            else:
+                del by_room[room], rooms[at]
+        if left:
+            each = capacity // s
+            if left // each:
+                made.append((capacity - each * s, ((), (s, each)), left // each))
+            if left % each:
+                made.append((capacity - left % each * s, ((), (s, left % each)), 1))
+        for m in made:
+            put(*m)
+    return [({s: n for s, n in _flat(fill)}, times) for groups in by_room.values() for fill, times in groups]
+
+
+def lower_bound(counts: dict[int, int], capacity: int) -> int:
+    """No packing uses fewer sequences: for each threshold t, lengths above capacity - t and those above half each need a
+    sequence of their own; the lengths from t to half go where the latter leave room."""
+    best = 0
+    for t in sorted({0, *(s for s in counts if 2 * s <= capacity), *(capacity - s + 1 for s in counts if 2 * s > capacity and 2 * (capacity - s + 1) <= capacity)}):
+        alone = sum(n for s, n in counts.items() if s > capacity - t)
+        large = sum(n for s, n in counts.items() if 2 * s > capacity and s <= capacity - t)
+        room = large * capacity - sum(s * n for s, n in counts.items() if 2 * s > capacity and s <= capacity - t)
+        small = sum(s * n for s, n in counts.items() if 2 * s <= capacity and s >= t)
+        best = max(best, alone + large + max(0, -(-(small - room) // capacity)))
+    return best
+
+
+def dominated(open_: int, head: int, room: int, fill: dict[int, int]) -> bool:
+    """Whether an open length (a bit of open_) could take the place of some of the filling's lengths (the head excepted)
+    that are together no longer than it, and still fit: the lengths set free then fit wherever that length would have
+    gone. One of the same length as another changes nothing and does not count."""
+    sums, several = 1, 0  # bit x is set if some (two or more) of the lengths add up to x
+    for s, n in fill.items():
+        for _ in range(n - (s == head)):
+            several |= (several << s) | ((sums & ~1) << s)
+            sums |= sums << s
+    near, wide = sums << 1, 1  # bit x is set if x is 1 to `room` above a sum
+    while wide < room:
+        more = min(wide, room - wide)
+        near |= near << more
+        wide += more
+    return bool((near if room else 0) & open_ or several & open_)
+
+
+def completions(left: dict[int, int], capacity: int, limit: int = LIMIT, effort: int = FILLING_STEPS) -> tuple[list[dict[int, int]], int]:
+    """Up to `limit` undominated fillings of a sequence around the largest open length, fullest first, and the steps taken.
+
+    They are enumerated largest length first; a branch is left when nothing open fits its room. A perfect filling of one
+    length more than the branch holds ends the search when there are `limit` of them; it ends after `effort` steps at the
+    latest.
     """
     sizes = sorted(left, reverse=True)
     rising = sizes[::-1]
     head = sizes[0]
+    open_ = sum(1 << s for s in sizes)
     found: list[tuple[int, dict[int, int]]] = []
     perfect = steps = 0
 
     def can_take(s: int, fill: dict[int, int]) -> bool:
         return left.get(s, 0) > fill.get(s, 0)
 
-    def dominated(room: int, fill: dict[int, int]) -> bool:
-        for s in fill:
-            for o in rising[bisect_right(rising, s):bisect_right(rising, s + room)]:
-                if s != head and can_take(o, fill):
-                    return True
-        return False
-
     def grow(room: int, most: int, fill: dict[int, int]) -> bool:
         """Fills the room with lengths up to `most`; True when the search is to end."""
         nonlocal perfect, steps
@@ -153,7 +212,7 @@ def completions(left: dict[int, int], capacity: int, limit: int = 3, effort: int
                     return True
                 if steps > effort:
                     return True
-        if not took and not dominated(room, fill):
+        if not took and not dominated(open_ & ~sum(1 << s for s, n in fill.items() if left[s] == n), head, room, fill):
             found.append((room, dict(fill)))
         return steps > effort
 
@@ -165,22 +224,23 @@ def completions(left: dict[int, int], capacity: int, limit: int = 3, effort: int
             out.append(f)
         if len(out) == limit:
             break
-    if not out:  # effort ran out before the first leaf: fill greedily
+    if not out:  # the steps ran out before the first leaf: the largest that fit
         room, fill = capacity - head, {head: 1}
         for s in sizes:
             while s <= room and can_take(s, fill):
                 fill[s] = fill.get(s, 0) + 1
                 room -= s
         out = [fill]
-    return out
+    return out, steps
 
 
-def bin_completion(counts: dict[int, int], capacity: int = CAPACITY, effort: int = 6000) -> list[tuple[dict[int, int], int]]:
-    """Patterns (filling, times) that use as few sequences as the search finds; `effort` bounds the fillings it asks for.
+def bin_completion(counts: dict[int, int], capacity: int = CAPACITY, effort: int = EFFORT, finish_every: int = 200) -> list[tuple[dict[int, int], int]]:
+    """Patterns (filling, times) that use as few sequences as the search finds; `effort` bounds the steps of
+    its nodes.
 
-    Waste bound: sequences are at least total / capacity, rounded up; a branch may waste at most what lies between the
-    total and one sequence fewer than the incumbent uses. A perfect filling is applied as often as its lengths allow; a
-    wasteful one once at a time while better ones may follow it.
+    Waste bound: a branch may waste at most what lies between the total and one sequence fewer than the incumbent uses. A
+    perfect filling is applied as often as its lengths allow; a wasteful one once at a time while better ones may follow
+    it. Every `finish_every` nodes, and where the effort ends, the branch at hand is finished by best fit.
     """
     counts = {s: n for s, n in counts.items() if n}
     if not counts:
@@ -188,15 +248,15 @@ def bin_completion(counts: dict[int, int], capacity: int = CAPACITY, effort: int
     if max(counts) > capacity or min(counts) < 1:
         raise ValueError("lengths have to be between 1 and the capacity")
     total = sum(s * n for s, n in counts.items())
-    least = -(-total // capacity)
+    least = max(-(-total // capacity), lower_bound(counts, capacity))
     best = best_fit_decreasing(counts, capacity)
     used = sum(n for _, n in best)
     stack: list[tuple[dict[int, int], dict[int, int], tuple, int, int]] = [(counts, {}, (), 0, 0)]
-    asked = 0
+    asked = nodes = 0
     while stack and asked < effort and used > least:
         left, fill, done, number, waste = stack.pop()
         left = dict(left)
-        while asked < effort:
+        while True:
             if fill:
                 room = capacity - sum(s * n for s, n in fill.items())
                 times = min(left[s] // n for s, n in fill.items())
@@ -213,9 +273,15 @@ def bin_completion(counts: dict[int, int], capacity: int = CAPACITY, effort: int
                 break
             if waste > (used - 1) * capacity - total:
                 break
-            fill, *others = completions(left, capacity)
-            asked += 1
-            if others and len(stack) < 256:
+            if asked >= effort or nodes % finish_every == finish_every - 1:
+                rest = best_fit_decreasing(left, capacity)
+                if (whole := number + sum(n for _, n in rest)) < used:
+                    best, used = _flat(done) + rest, whole
+                if asked >= effort or used == least:
+                    break
+            (fill, *others), steps = completions(left, capacity)
+            asked, nodes = asked + steps, nodes + 1
+            if others and len(stack) < MAX_OPEN:
                 state = dict(left)
                 stack += [(state, o, done, number, waste) for o in reversed(others)]
     return best
