@@ -2,8 +2,11 @@
 
 import gzip
 import hashlib
+import math
 import random
+import re
 import struct
+import urllib.parse
 import zlib
 from collections import Counter
 
@@ -369,6 +372,151 @@ def test_components_of_paths_stars_and_cycles(spark):
     assert got == {x: find(x) for x in parent}
 
 
+def test_aliases_against_a_plain_search(spark):
+    """Random pages with every kind of link target, against urllib's resolution and a search of the link graph."""
+    rng = random.Random(31)
+    hosts = ["a.example.org", "b.com", "c.net", "d.io", "shop.e.com"]
+    urls = [f"http://{rng.choice(hosts)}{rng.choice(['', '/', '/es/x', '/en/1', '/fr/', '/de/q/z.html', '/p/q/r', '/p/q/'])}" for _ in range(60)]
+    kinds = ["c.html", "../x", "./y", "?id=3&amp;k=1", "//c.net/p/q/r", "/de/q/z.html", "http://B.com/fr/", "#top", "", "mailto:me@b.com", "../../../up/", "z/../w/."]
+    rows = []
+    for k, u in enumerate(urls):
+        t = rng.choice([*kinds, *urls, *urls])
+        tag = rng.choice([f'<link rel="canonical" href="{t}">', f"<META http-equiv=refresh content='0; url={t}'>", "", None])
+        rows.append((k, u, tag))
+    got = {r["page_id"]: r["verdict"] for r in urlfilter.judge(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+
+    def key(u):
+        p = urllib.parse.urlsplit(u)
+        return (p.netloc.lower() + (p.path or "/") + (f"?{p.query}" if p.query else "")) if p.netloc else None
+
+    def rule(k):
+        host, _, path = k.partition("/")
+        path = "/" + path.split("?")[0]
+        fit = [(len(h) + len(q), a) for a, h, q in urlfilter.RULES if (host == h or host.endswith("." + h)) and path.startswith(q)]
+        return max(fit)[1] if fit else None
+
+    parent = {}
+
+    def find(x):
+        parent.setdefault(x, x)
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for _, u, tag in rows:
+        find(key(u))
+        if tag:
+            t = re.search(r"href=\"([^\"]*)|url=([^']*)", tag)
+            t = (t[1] if t[1] is not None else t[2]).replace("&amp;", "&")
+            full = urllib.parse.urljoin(u if urllib.parse.urlsplit(u).path else u + "/", t) if t else None
+            if full and key(full):
+                parent[find(key(full))] = find(key(u))
+    verdicts = {}
+    for k in list(parent):
+        verdicts.setdefault(find(k), set()).add(rule(k))
+    for page, u, _ in rows:
+        shared = verdicts[find(key(u))]
+        own = rule(key(u)) if urllib.parse.urlsplit(u).path else None
+        assert got[page] == (own or ("allow" if "allow" in shared else "block" if "block" in shared else "allow")), (page, u)
+    assert {"allow", "block"} <= set(got.values())
+
+
+# ---------------------------------------------------------------- plain versions of the models
+def test_language_model_against_a_plain_average(spark):
+    rng = random.Random(32)
+    rows = [(k, " ".join(rng.choice(["über", "straße", "nicht"] if k % 2 else ["the", "house", "street"]) for _ in range(30)), "de" if k % 2 else "en") for k in range(120)]
+    rows += [(0, "the the the", "de"), (0, "the the the", "en")]  # one id, several rows
+    labelled = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = langid.fit(labelled)
+    again = langid.fit(labelled.repartition(5))
+    assert np.array_equal(model.table, again.table) and model.threshold == again.threshold
+    for text in ("The house, in 1999!", "straße", "x", "nicht the über"):
+        c = langid.code_points(text.encode())
+        total = np.zeros(len(model.languages))
+        for row in langid.buckets(c):
+            for b in row:
+                total += model.table[b]
+        z = (total / (len(langid.ORDERS) * len(c)) + model.bias) / model.temperature
+        p = np.exp(z - z.max()) / np.exp(z - z.max()).sum()
+        lang, score = model.predict([text.encode()])
+        assert lang == [model.languages[int(p.argmax())]] and abs(score[0] - p.max()) < 1e-4
+
+
+def test_every_language_is_learned(spark):
+    rows = [(k, f"{'abcdefghijklmnopqrstuvwxyz'[k % 26]}{'aeiou'[k % 5]}{'bcdfg'[k % 230 // 46]} " * 20, f"l{k % 230:03}") for k in range(460)]
+    assert len(langid.fit(spark.createDataFrame(rows, "doc_id long, text string, lang string"), epochs=1).languages) == 230
+
+
+def test_ratio_against_plain_multinomials(spark):
+    rng = random.Random(33)
+    rows = [(k, speak(rng, 70, "q" if k % 3 else "")) for k in range(90)] + [(200, None), (201, "")]
+    labels = [(k, int(k % 3 == 0)) for k in range(60)] + [(None, 1)]
+    docs = docs_of(spark, rows, extra=True)
+    got = {r["doc_id"]: r for r in quality.judged(docs.select("doc_id", "text"), quality.fit(docs, spark.createDataFrame(labels, "doc_id long, quality int"))).collect()}
+    raw, good = Counter(), Counter()
+    grams = {k: quality.ngram_buckets((t or "").lower().encode().split()).tolist() if t else [] for k, t in rows}
+    trusted = {k for k, q in labels if q and k is not None}
+    for k, g in grams.items():
+        raw.update(g)
+        if k in trusted:
+            good.update(g)
+    n, m, s, size = sum(raw.values()), sum(good.values()), quality.SMOOTHING, quality.BUCKETS
+    p_raw = lambda b: (raw[b] + s) / (n + s * size)
+    p_good = lambda b: (good[b] + s * size * p_raw(b)) / (m + s * size)
+    for k, g in grams.items():
+        score = sum(math.log(p_good(b) / p_raw(b)) for b in g) / len(g) if g else 0.0
+        assert abs(got[k]["score"] - score) < 1e-5
+        assert got[k]["kept"] == (not got[k]["base_failed"] and got[k]["score"] >= quality.THRESHOLD)
+    assert {r["kept"] for r in got.values()} == {True, False}
+
+
+def test_licences_against_every_alignment(spark):
+    rng = random.Random(34)
+    cut = lambda s: alnum_words(s.encode())
+    rows = []
+    for k in range(150):
+        words = speak(rng, rng.randint(0, 40)).split()
+        for t in rng.sample(licenses.TEMPLATES, rng.choice([0, 1, 1, 2])):
+            notice = t[1].split()
+            for _ in range(rng.choice([0, 1, 2, len(notice) // 3])):
+                notice[rng.randrange(len(notice))] = rng.choice(["other", "the", "license"])
+            if rng.random() < 0.2:
+                del notice[rng.randrange(len(notice))]
+            at = rng.randint(0, len(words))
+            words[at:at] = notice
+        rows.append((k, " ".join(words)))
+    got = {r["doc_id"]: r for r in licenses.scanned(docs_of(spark, rows).select("doc_id", "text")).collect()}
+    labels_seen = set()
+    for k, text in rows:
+        words, labels, best = cut(text), set(), 0.0
+        for label, template, phrases in licenses.TEMPLATES:
+            t = cut(template)
+            for offset in range(-len(t), len(words) + 1):
+                score = sum(0 <= offset + i < len(words) and words[offset + i] == w for i, w in enumerate(t)) / len(t)
+                near = words[max(0, offset - 3):max(0, offset + len(t) + 3)]
+                if score >= licenses.LEAST_SCORE and all(licenses.places(near, cut(p)) for p in phrases):
+                    labels.add(label)
+                    best = max(best, score)
+        base = set(filter(None, got[k]["base_labels"].split(",")))
+        assert set(filter(None, got[k]["labels"].split(","))) == labels | base and abs(got[k]["score"] - best) < 1e-12
+        labels_seen |= labels
+    assert len(labels_seen) > 8
+
+
+def test_long_items_are_cut_without_losing_windows(spark):
+    rng = random.Random(35)
+    item = speak(rng, 400)
+    benchmark = spark.createDataFrame([("long", item), ("short", "only four words here"), ("none", ""), (None, speak(rng, 30))], "item_id string, text string")
+    words = item.split()
+    docs = docs_of(spark, [(k, " ".join(words[k:k + 10 + k % 3])) for k in range(0, 380, 7)] + [(1000, "x only four words here y"), (1001, None)])
+    clash = docs.withColumns({c: F.lit(1) for c in ("n_words", "contaminated", "clean_text", "__spans", "__items", "spans")})
+    whole = decontam.scan_documents(docs.select("doc_id", "text"), benchmark).drop("text").collect()
+    cut = decontam.scan_documents(docs.select("doc_id", "text"), benchmark, max_words=25).drop("text").collect()
+    assert sorted(map(str, whole)) == sorted(map(str, cut)) and sum(r["contaminated"] for r in whole) == len(whole) - 1
+    prefixed = decontam.scan_documents(clash, benchmark, max_words=25, prefix="_d_").select("doc_id", "_d_n_hit", "_d_items_sha256").collect()
+    assert sorted((r[0], r[1], r[2]) for r in prefixed) == sorted((r["doc_id"], r["n_hit"], r["items_sha256"]) for r in whole)
+
+
 # ---------------------------------------------------------------- packing, continued
 def test_best_fit_decreasing_against_one_piece_at_a_time():
     rng = random.Random(21)

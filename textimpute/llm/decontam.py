@@ -5,11 +5,12 @@ document's words in one pass and always knows the longest suffix of the words re
 length reaches the window, the window's words are hit, and the state that stands for the window names its items. Items
 shorter than a window count as one window of their own length.
 
-Documents are never shuffled. The automaton is broadcast; its size is checked first, and items beyond MAX_WORDS words are
-dealt over several automata that the documents pass one after the other.
+Documents are never shuffled. The automaton is broadcast and has a bounded size: items beyond MAX_WORDS words are dealt
+over several automata that the documents pass one after the other, a longer item in pieces that overlap by a window.
 
 Defined edge results: null and empty texts have no words and no hits; items without words never match; repeated items
-and repeated documents are treated alike, each document for itself; item ids count once; other columns are not read.
+and repeated documents are treated alike, each document for itself; item ids count once; other columns are passed on, and
+the operator's own take a prefix (common.free_prefix gives one that clashes with none).
 """
 
 from __future__ import annotations
@@ -25,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import ALNUM_TABLE, alnum_words, as_bytes, small, with_fields
+from .common import ALNUM_TABLE, alnum_words, as_bytes, free_prefix, small, with_fields
 
 WINDOW = 10
 #: Words of benchmark items in one broadcast automaton (about 300 bytes each).
@@ -137,12 +138,19 @@ class Automaton:
 
 
 def _shards(benchmark: DataFrame, window: int, max_words: int) -> Iterator[Automaton]:
+    """Automata of at most max_words words (and a window) each; at least one."""
     given = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("")).alias("i"), F.coalesce("text", F.lit("")).alias("t"))
-    size = given.agg(F.sum(F.octet_length("t"))).first()[0] or 0
-    n = max(1, -(-size // (max_words * 6)))
-    for k in range(n):
-        part = given if n == 1 else given.filter(F.pmod(F.xxhash64("i", "t"), F.lit(n)) == k)
-        yield Automaton([(r["i"], alnum_words(r["t"].encode())) for r in part.toLocalIterator()], window)
+    held, size = [], 0
+    for r in given.toLocalIterator():
+        words = alnum_words(r["t"].encode())
+        for at in range(0, max(1, len(words) - window + 1), max_words):
+            piece = words[at:at + max_words + window - 1]
+            if held and size + len(piece) > max_words:
+                yield Automaton(held, window)
+                held, size = [], 0
+            held.append((r["i"], piece))
+            size += len(piece)
+    yield Automaton(held, window)
 
 
 def cut_spans(text: bytes, spans: list[tuple[int, int]]) -> bytes:
@@ -156,18 +164,22 @@ def cut_spans(text: bytes, spans: list[tuple[int, int]]) -> bytes:
 
 
 def scan_documents(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, max_words: int = MAX_WORDS,
-                   max_coverage: float = 0.8, least_span: int = 1, clean: bool = True) -> DataFrame:
+                   max_coverage: float = 0.8, least_span: int = 1, clean: bool = True, prefix: str = "") -> DataFrame:
     """docs (doc_id, text, ...) -> the same columns and n_words, n_hit, n_items, items_sha256, contaminated, and with
-    `clean`: clean_text (hit spans of least_span words or more removed) and over_coverage (n_hit > max_coverage * n_words)."""
+    `clean`: clean_text (hit spans of least_span words or more removed) and over_coverage (n_hit > max_coverage * n_words);
+    the names of the new columns begin with `prefix`."""
     spark = docs.sparkSession
     names = docs.columns
     text_at = names.index("text")
     span = T.StructType().add("a", "integer").add("b", "integer")
-    spans_schema = with_fields(docs.schema, __spans=T.ArrayType(span), __items=T.ArrayType(T.StringType()))
+    own_prefix = free_prefix(docs, ["spans", "items"])
+    between = (f"{own_prefix}spans", f"{own_prefix}items")
+    spans_schema = with_fields(docs.schema, **dict(zip(between, (T.ArrayType(span), T.ArrayType(T.StringType())))))
     span_kind = pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32())]))
     found = dict(zip(["n_words", "n_hit", "n_items", "items_sha256", "contaminated"], [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.bool_()]))
     if clean:
         found |= {"clean_text": pa.string(), "over_coverage": pa.bool_()}
+    found = {prefix + name: kind for name, kind in found.items()}
     kinds = ["long", "long", "long", "string", "boolean", "string", "boolean"]
     out_schema = with_fields(docs.schema, **dict(zip(found, kinds)))
 
@@ -197,7 +209,7 @@ def scan_documents(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW,
                     rows.append(row)
                 target = list(found.values()) if last else [span_kind, pa.list_(pa.string())]
                 cols = list(zip(*rows)) or [()] * len(target)
-                yield pa.RecordBatch.from_arrays([*own, *(pa.array(c, t) for c, t in zip(cols, target))], [*names, *(found if last else ("__spans", "__items"))])
+                yield pa.RecordBatch.from_arrays([*own, *(pa.array(c, t) for c, t in zip(cols, target))], [*names, *(found if last else between)])
 
         return run
 

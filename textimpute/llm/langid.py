@@ -4,11 +4,13 @@ A text (lower-cased, everything but letters read as one blank) is the average of
 4-grams; a linear layer and a softmax give the language. Training is stochastic gradient descent in numpy over a bounded
 sample of labelled rows (`max_train`, chosen by a hash of the id; each row as its whole text and as a few short windows of
 it, so that short texts are learned too). A third of the sample sets the softmax temperature and the rejection threshold.
-Because average and layer are linear, prediction needs one table (buckets x languages), which is broadcast (its size is
-fixed), and no shuffle.
+Because average and layer are linear, prediction needs one table (buckets x languages: 128 KB a language), which is
+broadcast, and no shuffle. Every language of the learning rows is learned; the sample is at most about
+max(max_train, least_each * languages) rows.
 
 Defined edge results: a null text or one without a letter is `und` with score 0; with nothing to learn from every text
-is `und`; null ids are predicted but not learned from; repeated rows are predicted alike.
+is `und`; null ids are predicted but not learned from; repeated rows are predicted alike; `predicted` keeps all columns,
+and its own take a prefix (common.free_prefix gives one that clashes with none).
 """
 
 from __future__ import annotations
@@ -26,9 +28,10 @@ from .common import as_bytes, crc_mod, small, with_fields
 BUCKETS = 1 << 15
 ORDERS = (2, 3, 4)
 DIM = 12
-#: Bound of the training sample, in rows (each has at most BUCKETS features for every view of its text).
+#: Bound of the training sample, in rows (each has at most BUCKETS features for every view of its text), and the rows that
+#: a language has in it at least, however many languages there are (as far as the language has so many).
 MAX_TRAIN = 2000
-MAX_LANGUAGES = 200
+LEAST_EACH = 20
 BLOCK = 1 << 19
 
 _letters: list[np.ndarray] = []
@@ -113,23 +116,23 @@ def _features(sample: DataFrame) -> list:
     i, w = got["i"].combine_chunks(), got["w"].combine_chunks()
     cut = lambda a: np.split(a.flatten().to_numpy(), np.cumsum(pa.compute.list_value_length(a).to_numpy())[:-1]) if n else []
     rows = zip(got["key"].to_pylist(), got["view"].to_pylist(), got["lang"].to_pylist(), cut(i), cut(w))
-    return sorted(rows, key=lambda r: r[:2])
+    return sorted(rows, key=lambda r: (*r[:3], r[3].tobytes(), r[4].tobytes()))
 
 
-def fit(labelled: DataFrame, max_train: int = MAX_TRAIN, epochs: int = 12, rate: float = 0.6, reject: float = 0.0005, seed: int = 1) -> Model:
+def fit(labelled: DataFrame, max_train: int = MAX_TRAIN, epochs: int = 12, rate: float = 0.6, reject: float = 0.0005, seed: int = 1, least_each: int = LEAST_EACH) -> Model:
     """labelled (doc_id, text, lang): rows with a null in any of these are not used."""
     rows = labelled.select("doc_id", "text", "lang").filter("doc_id is not null and text is not null and lang is not null")
-    counts = rows.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MAX_LANGUAGES).collect()
+    counts = rows.groupBy("lang").agg(F.count("*").alias("n")).collect()  # one row a language
     languages = sorted(r["lang"] for r in counts)
-    # an even share for each language, as far as it has rows
-    each = -(-max_train // max(1, len(languages)))
-    share = {r["lang"]: min(1.0, each / r["count"]) for r in counts}
     if not languages:
         return Model([], np.zeros((BUCKETS, 0), np.float32), np.zeros(0), 1.0, 0.0)
+    # an even share for each language, as far as it has rows
+    each = max(-(-max_train // len(languages)), least_each)
+    share = rows.sparkSession.createDataFrame([(r["lang"], min(1.0, each / r["n"])) for r in counts], "of_lang string, share double")
     key = F.xxhash64(F.col("doc_id").cast("string"))
-    part = F.create_map(*[x for k, v in share.items() for x in (F.lit(k), F.lit(v))])
-    chosen = rows.filter((F.pmod(key, F.lit(1 << 30)) < part[F.col("lang")] * float(1 << 30))).select(key.alias("key"), "lang", "text")
-    views = [r for r in _features(chosen) if r[2] in share]
+    chosen = (rows.join(F.broadcast(share), F.col("lang") == F.col("of_lang"))
+              .filter(F.pmod(key, F.lit(1 << 30)) < F.col("share") * float(1 << 30)).select(key.alias("key"), "lang", "text"))
+    views = _features(chosen)
     rng = np.random.default_rng(seed)
     at = {lang: k for k, lang in enumerate(languages)}
     held = [r for r in views if r[0] % 3 == 0] or views
@@ -181,7 +184,7 @@ def learning_rows(docs: DataFrame) -> DataFrame:
 
 
 def predicted(docs: DataFrame, model: Model, text: str = "text", prefix: str = "") -> DataFrame:
-    """docs and lang_pred, score, rejected (score below the calibrated threshold, or `und`)."""
+    """docs and lang_pred, score, rejected (score below the calibrated threshold, or `und`), named with the prefix."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
     place = docs.columns.index(text)
     schema = with_fields(docs.schema, **{f"{prefix}lang_pred": "string", f"{prefix}score": "double", f"{prefix}rejected": "boolean"})

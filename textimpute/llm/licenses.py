@@ -1,15 +1,16 @@
 """License scans with a positional rare-token index over licence templates.
 
 Words are lower-cased runs of ASCII letters, digits and non-ASCII characters. From all documents the document frequency of
-every template word is counted (the vocabulary is that of the templates, so it is bounded). Each template has postings (template, position) of its rarest places, so many of them that
-an alignment of enough score has two at least among them, however frequent they are, and all of them are looked up wherever
-they stand in a text:
-postings that agree on the relative position vote for an alignment. An alignment with two votes counts if every mandatory
+every template word is counted (the vocabulary is that of the templates, so it is bounded). Each template has postings (template,
+position) of its rarest places, so many of them that an alignment of enough score has two at least among them, however
+frequent they are, and all of them are looked up wherever they stand in a text: postings that agree on the relative position vote for an alignment. An alignment with two votes counts if every mandatory
 phrase of the template stands near its place; its score is the share of the template's words found at their aligned places.
 Besides, the base phrases are looked for everywhere in the text.
 
 Defined edge results: null and empty texts have no words, no labels and score 0; ties between alignments are settled by
-score, then by template order; every place is examined, however long the text.
+score, then by template order; every place is examined, however long the text; repeated documents get the same labels; of
+the documents' columns only text is read, and the operator's own take a prefix (common.free_prefix gives one that clashes
+with none).
 """
 
 from __future__ import annotations
@@ -44,6 +45,17 @@ TEMPLATES = (
     ("bsd", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met", ("redistribution and use in source and binary forms",)),
     ("mpl-2.0", "This Source Code Form is subject to the terms of the Mozilla Public License, v. 2.0", ("mozilla public license",)),
     ("isc", "Permission to use, copy, modify, and or distribute this software for any purpose with or without fee is hereby granted", ("permission to use copy modify",)),
+    ("mit-license", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions: The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software.", ("permission is hereby granted", "substantial portions of the software")),
+    ("apache-2.0", "Licensed under the Apache License, Version 2.0 (the \"License\"); you may not use this file except in compliance with the License. You may obtain a copy of the License at http://www.apache.org/licenses/LICENSE-2.0 Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an \"AS IS\" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.", ("apache license", "except in compliance with the license")),
+    ("gpl-3.0", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.", ("gnu general public license", "either version 3")),
+    ("gpl-2.0", "This program is free software; you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation; either version 2 of the License, or (at your option) any later version.", ("gnu general public license", "either version 2")),
+    ("lgpl", "This library is free software; you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation; either version 2.1 of the License, or (at your option) any later version.", ("gnu lesser general public license",)),
+    ("agpl-3.0", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU Affero General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version.", ("gnu affero general public license",)),
+    ("bsd", "Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution.", ("redistributions of source code must retain", "redistributions in binary form must reproduce")),
+    ("zlib", "This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software. Permission is granted to anyone to use this software for any purpose, including commercial applications, and to alter it and redistribute it freely, subject to the following restrictions", ("without any express or implied warranty", "including commercial applications")),
+    ("bsl-1.0", "Permission is hereby granted, free of charge, to any person or organization obtaining a copy of the software and accompanying documentation covered by this license", ("person or organization obtaining a copy",)),
+    ("epl-2.0", "This program and the accompanying materials are made available under the terms of the Eclipse Public License 2.0", ("eclipse public license 2 0",)),
+    ("unlicense", "Anyone is free to copy, modify, publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, for any purpose, commercial or non-commercial, and by any means", ("anyone is free to copy modify publish",)),
     ("unlicense", "This is free and unencumbered software released into the public domain", ("free and unencumbered software",)),
 )
 #: Share of a template's words that have to stand at their aligned places.
@@ -132,8 +144,8 @@ def frequencies(docs: DataFrame, vocabulary: set[bytes]) -> dict[bytes, int]:
     return {bytes(r["word"]): r["n"] for r in rows}
 
 
-def scanned(docs: DataFrame, templates=TEMPLATES, base=BASE) -> DataFrame:
-    """docs (text, ...) and n_words, n_base, first_word, last_word, base_labels, labels, score."""
+def scanned(docs: DataFrame, templates=TEMPLATES, base=BASE, prefix: str = "") -> DataFrame:
+    """docs (text, ...) and n_words, n_base, first_word, last_word, base_labels, labels, score, named with the prefix."""
     index = Index.of(templates)
     index.weighed(frequencies(docs, {w for t in index.texts for w in t}))
     shared = docs.sparkSession.sparkContext.broadcast(index)
@@ -141,7 +153,7 @@ def scanned(docs: DataFrame, templates=TEMPLATES, base=BASE) -> DataFrame:
     phrases = [(alnum_words(p.encode()), label) for p, label in base]
     # a phrase is looked for by its last word; texts without any of these words need no search
     lasts = {p[-1] for p, _ in phrases}
-    names = ["n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score"]
+    names = [prefix + n for n in ("n_words", "n_base", "first_word", "last_word", "base_labels", "labels", "score")]
     kinds = ["long"] * 4 + ["string", "string", "double"]
     arrow = [pa.int64()] * 4 + [pa.string(), pa.string(), pa.float64()]
     schema = with_fields(docs.schema, **dict(zip(names, kinds)))

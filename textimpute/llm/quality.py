@@ -9,7 +9,8 @@ shuffled is at most BUCKETS rows a task. The trusted multinomial is fitted on at
 (a bounded classifier sample, chosen by a hash of the id). The model is one float a bucket and is broadcast.
 
 Defined edge results: a null or empty text has no words, fails the base rule and is not kept; repeated rows are judged
-alike; without trusted documents only the base rules decide.
+alike; without trusted documents only the base rules decide; `judged` keeps all columns, and its own take a prefix
+(common.free_prefix gives one that clashes with none).
 """
 
 from __future__ import annotations
