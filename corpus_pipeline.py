@@ -15,36 +15,39 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from textimpute.llm import decontam, langid, packing, quality, simhash
-from textimpute.llm.common import read_table, ship, written
+from textimpute.llm.common import free_prefix, read_table, ship, written
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose language the calibrated model accepts."""
     ship(spark)
     model = langid.fit(langid.learning_rows(docs))
-    return langid.predicted(docs, model, prefix="__").filter(~F.col("__rejected")).select(*docs.columns)
+    p = free_prefix(docs, ["lang_pred", "score", "rejected"])
+    return langid.predicted(docs, model, prefix=p).filter(~F.col(f"{p}rejected")).select(*docs.columns)
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that pass the base rules and the likelihood ratio."""
     ratio = quality.fit(docs, read_table(spark, sf_dir, "labels"))
-    return quality.judged(docs, ratio, prefix="__").filter("__kept").select(*docs.columns)
+    p = free_prefix(docs, ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "score", "kept"])
+    return quality.judged(docs, ratio, prefix=p).filter(F.col(f"{p}kept")).select(*docs.columns)
 
 
 def simhash_near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near-duplicates (five-word shingles, similarity 0.8 or more): that with the smallest
-    doc_id. Rows without a doc_id cannot be named and stay."""
+    doc_id. A row is known by its doc_id and text; rows without a doc_id cannot be named and stay."""
     groups = simhash.near_duplicates(docs.select("doc_id", "text"))
     return simhash.one_of_each(docs, groups)
 
 
 def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts without the spans they share with benchmark items; documents that are mostly such spans go."""
-    checked = decontam.scan_documents(docs, read_table(spark, sf_dir, "benchmark"))
-    clean = checked.filter(~F.col("over_coverage"))
-    changed = F.col("contaminated")
-    columns = [F.when(changed, F.col("clean_text")).otherwise(F.col("text")).alias("text") if c == "text"
-               else F.when(changed, F.length("clean_text").cast(docs.schema[c].dataType)).otherwise(F.col(c)).alias(c) if c == "n_chars"
+    p = free_prefix(docs, ["n_words", "n_hit", "n_items", "items_sha256", "contaminated", "clean_text", "over_coverage"])
+    checked = decontam.scan_documents(docs, read_table(spark, sf_dir, "benchmark"), prefix=p)
+    clean = checked.filter(~F.col(f"{p}over_coverage"))
+    changed, text = F.col(f"{p}contaminated"), F.col(f"{p}clean_text")
+    columns = [F.when(changed, text).otherwise(F.col("text")).alias("text") if c == "text"
+               else F.when(changed, F.length(text).cast(docs.schema[c].dataType)).otherwise(F.col(c)).alias(c) if c == "n_chars"
                else F.col(c) for c in docs.columns]
     return clean.select(*columns)
 
