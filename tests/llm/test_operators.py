@@ -321,6 +321,55 @@ def test_scores_against_plain_counts(spark):
     assert all(r["score"] < 0 for r in got)
 
 
+def test_scores_against_a_plain_walk_and_alike_for_every_broadcast_bound(spark, monkeypatch):
+    rng = random.Random(9)
+    texts = [(i, speak(rng, rng.randint(0, 60))) for i in range(250)] + ODD
+    monkeypatch.setattr(lm, "train_units", lambda *a, f=lm.train_units: f(*a, steps=300))
+    monkeypatch.setattr(lm, "train", lambda *a, f=lm.train: f(*a, steps=200))
+    docs = docs_of(spark, texts).select("doc_id", "text")
+    by_bound = [sorted((str(r["doc_id"]), r["n_tokens"], r["n_known"], round(r["base_score"], 6), round(r["score"], 6)) for r in lm.scored(docs, hot=h).collect()) for h in (1, 40, 100_000)]
+    assert by_bound[0] == by_bound[1] == by_bound[2]
+
+    kept = [t for i, t in texts if i is not None and zlib.crc32(str(i).encode()) % 10]
+    walk = lambda t: [*(t or "").lower().encode().split(), b""]
+    counts = Counter(w for t in kept for w in walk(t))
+    own = {w: 1 + k for k, (_, w) in enumerate(sorted((-n, w) for w, n in counts.items() if w)[:lm.OWN])}
+    unit_of = lambda w: 0 if not w else own.get(w) or lm.TAIL + zlib.crc32(w[-3:]) % 64
+    class_of = lambda w: 0 if not w else own[w] if own.get(w, 99) <= lm.SINGLE else 32 + zlib.crc32(w[-3:]) % 32
+    trigrams, pairs, classes = np.zeros((64,) * 3, np.int64), np.zeros((1024,) * 2, np.int64), np.zeros(1024, np.int64)
+    for u in range(lm.TAIL, 1024):
+        classes[u] = 32 + (u - lm.TAIL) % 32
+    for w, u in own.items():
+        classes[u] = class_of(w)
+    for t in kept:
+        older = near = before = 0
+        for w in walk(t):
+            trigrams[older, near, class_of(w)] += 1
+            pairs[before, unit_of(w)] += 1
+            older, near, before = near, class_of(w), unit_of(w)
+    table, units = lm.train(trigrams), lm.train_units(pairs, classes)
+    assert np.allclose((10.0**table).sum(-1), 1)
+    for c in set(classes.tolist()):
+        assert np.allclose((10.0**units[:, classes == c]).sum(1), 1)
+    total, distinct = Counter(), Counter()
+    for w, n in counts.items():
+        total[unit_of(w)] += n
+        distinct[unit_of(w)] += 1
+    want = []
+    for i, t in texts:
+        older = near = before = 0
+        score = 0.0
+        for w in walk(t):
+            u = unit_of(w)
+            score += table[older, near, class_of(w)] + units[before, u]
+            if u >= lm.TAIL:
+                score += math.log10((counts[w] + 0.1) / (total[u] + 0.1 * (distinct[u] + 1)))
+            older, near, before = near, class_of(w), u
+        want.append((str(i), score))
+    for (i, score), (j, *_, got) in zip(sorted(want), sorted((x[0], x[-1]) for x in by_bound[0])):
+        assert i == j and abs(score - got) < 1e-3 * max(1, abs(score) / 100)
+
+
 def test_model_is_normalised_and_better_than_unigrams():
     rng = np.random.default_rng(1)
     c = lm.CLASSES

@@ -39,3 +39,20 @@ def test_stages_stand_nulls_repeats_and_empty_tables(spark, sf):
         for name, stage in cp.STAGES:
             now = written(stage(spark, now, sf), name)
         assert now.count() >= 0
+
+
+CLASHING = ("n_words", "n_hit", "n_items", "items_sha256", "contaminated", "clean_text", "over_coverage", "__kept", "__rejected", "__score", "__spans", "__items",
+            "__doc", "__mark", "__gone", "lang_pred", "score", "rejected", "kept", "base_failed", "seq", "f0", "id", "mark", "component_id", "stays", "key", "sequence_id")
+
+
+def test_stages_pass_on_columns_that_clash_with_their_own(spark, sf):
+    from pyspark.sql import functions as F
+
+    docs = read_table(spark, sf, "documents")
+    plain, extra = docs, docs.withColumns({c: F.lit(k) for k, c in enumerate(CLASHING)})
+    for name, stage in cp.STAGES:
+        plain, extra = written(stage(spark, plain, sf), name), written(stage(spark, extra, sf), name)
+        if name != "best_fit_packing":
+            assert extra.columns == [*docs.columns, *CLASHING]
+            assert sorted(map(str, extra.select(docs.columns).collect())) == sorted(map(str, plain.collect()))
+    assert extra.count() == plain.count() > 0
