@@ -7,7 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .patterns import drop_contained, mine_frequent, unique_patterns, unpivot_sample
+from .patterns import PATTERN_SCHEMA, drop_contained, mine_frequent, mine_group, unique_for, unpivot_sample
 from .problem import Task
 from .sampling import draw
 
@@ -21,6 +21,57 @@ def evaluate(patterns: DataFrame, long: DataFrame, p: float) -> DataFrame:
             .select("attribute", "covered", "groups", F.round(share, 6).alias("fraction"), (share >= p).alias("holds")))
 
 
+#: Characters of a sample up to which it is mined on the driver: a sample has at most m * n rows.
+LOCAL_CHARS = 200_000
+
+
+def measure(pool: DataFrame, task: Task, mode: str = "maximal", local_chars: int = LOCAL_CHARS) -> tuple[DataFrame, DataFrame]:
+    """(evidence, unique patterns) of the task's sample of complete rows.
+
+    A bounded sample (m and n given) whose cells are short is fetched and mined on the driver, which saves several tiny
+    jobs: at most m * n rows of cells of local_chars / (m * n) characters. Otherwise each group is mined in a task.
+    """
+    if task.m is None or task.n is None:
+        long = unpivot_sample(draw(pool, task), task)
+        patterns = unique_for(mine_frequent(long, task.q, mode), long, task.q, mode)
+        return evaluate(patterns, long, task.p), patterns
+    sample = draw(pool, task)
+    cut = max(64, local_chars // (task.m * task.n))
+    rows = sample.select(task.row_id, task.target, *(F.substring(c, 1, cut + 1).alias(c) for c in task.candidates)).collect()  # at most m * n
+    if all(r[c] is None or len(r[c]) <= cut for r in rows for c in task.candidates):
+        return _measured_locally(pool.sparkSession, rows, task, mode)
+    long = unpivot_sample(sample, task)
+    patterns = unique_for(mine_frequent(long, task.q, mode), long, task.q, mode)
+    return evaluate(patterns, long, task.p), patterns
+
+
+def _measured_locally(spark, rows: list, task: Task, mode: str) -> tuple[DataFrame, DataFrame]:
+    evidence, unique = [], []
+    for a in task.candidates:
+        groups: dict[str, list] = {}
+        for r in sorted(rows, key=lambda r: str(r[task.row_id])):
+            groups.setdefault(r[task.target], []).append(r[a])
+        mined = {g: mine_group(v, task.q, mode) for g, v in groups.items()}
+        covered = 0
+        for g, found in mined.items():
+            others = [(o, v) for o, v in groups.items() if o != g]
+            alone = [(p, n) for p, n in found if not any(_frequent(p, v, mined[o], task.q, mode) for o, v in others)]
+            covered += bool(alone)
+            unique += [(a, g, p, n, len(groups[g])) for p, n in alone]
+        if groups:
+            share = covered / len(groups)
+            evidence.append((a, covered, len(groups), round(share, 6), share >= task.p))
+    return (spark.createDataFrame(evidence, "attribute string, covered long, groups long, fraction double, holds boolean"), spark.createDataFrame(unique, PATTERN_SCHEMA))
+
+
+def _frequent(pattern: str, values: list, mined: list[tuple[str, int]], q: float, mode: str) -> bool:
+    """Whether the pattern is frequent in a group: a maximal pattern of it says so, or its cells do."""
+    if mode in ("maximal", "all"):
+        return any(pattern in o for o, _ in mined)
+    n = sum(isinstance(v, str) and pattern in v for v in values)
+    return n > 0 and n >= q * len(values)
+
+
 @dataclass
 class Selection:
     """attributes: the names that phase 2 uses; evidence: one row per candidate; patterns: what justifies the choice."""
@@ -39,13 +90,9 @@ def select_attributes(df: DataFrame, task: Task, mode: str = "maximal", readable
     """
     if not task.p or not task.q:
         return Selection(sorted(task.candidates), note="no constraint")
-    pool = df.filter(F.col(task.target).isNotNull())
-    # the sample is small and read twice: by the miner and by the count of groups
-    long = unpivot_sample(draw(pool, task), task).persist()
-    patterns = unique_patterns(mine_frequent(long, task.q, mode).persist())
+    evidence, patterns = measure(df.filter(F.col(task.target).isNotNull()), task, mode)
     if readable:
         patterns = drop_contained(patterns)
-    evidence = evaluate(patterns, long, task.p)
     rows = evidence.collect()  # one row a candidate
     kept = sorted(r["attribute"] for r in rows if r["holds"])
     if kept or not rows:

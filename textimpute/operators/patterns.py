@@ -5,6 +5,7 @@ All work is on the sample in long form (attribute, target_value, row_id, value),
 
 from __future__ import annotations
 
+from itertools import count
 from typing import Any
 
 import pandas as pd
@@ -24,35 +25,42 @@ def unpivot_sample(sample: DataFrame, task: Task) -> DataFrame:
     return renamed.unpivot(["row_id", "target_value"], list(task.candidates), "attribute", "value")
 
 
+def mine_group(values: list, q: float, mode: str = "maximal", min_len: int = 1, max_len: int | None = None, min_support_rows: int = 1,
+               max_patterns: int | None = None) -> list[tuple[str, int]]:
+    """The patterns of one group's cells (in the order of their row ids) and their support; empty cells count as rows."""
+    texts = [v for v in values if isinstance(v, str) and v]
+    least = max(q * len(values), min_support_rows, 1e-9)
+    if not texts:
+        found = []
+    elif mode == "all":
+        found = SuffixAutomaton(*texts).frequent(least)
+    elif mode == "pairwise":
+        common = {lcs_string(a, b) for i, a in enumerate(texts) for b in texts[:i]} - {""}
+        counted = ((c, sum(c in t for t in texts)) for c in common)
+        found = sorted((c, n) for c, n in counted if n >= least)
+    else:
+        found = SuffixAutomaton(*texts).maximal(least)
+        if mode == "longest" and found:
+            longest = max(len(c) for c, _ in found)
+            found = [x for x in found if len(x[0]) == longest]
+    return [(c, n) for c, n in found if len(c) >= min_len and (max_len is None or len(c) <= max_len)][:max_patterns]
+
+
 def mine_frequent(long: DataFrame, q: float, mode: str = "maximal", min_len: int = 1, max_len: int | None = None,
                   min_support_rows: int = 1, max_patterns: int | None = None) -> DataFrame:
     """Substrings in at least a share q of a group's rows.
 
     mode `maximal`: those that no other such substring extends (complete for the dependency test); `longest`: only the
     longest of them; `all`: every one; `pairwise`: longest common substrings of pairs of rows that are frequent (may miss
-    a shorter unique one). q = 1 gives the substrings common to all rows. max_len and max_patterns keep a positive answer
-    sound but may lose one; both are off by default.
+    a shorter unique one). q = 1 gives the substrings common to all rows. max_len and max_patterns may lose patterns; both
+    are off by default. What `longest`, `pairwise` or a limit leave out may still be frequent in another group, so
+    uniqueness has to be decided in the rows then (unique_in_rows).
     """
     if mode not in MODES:
         raise ValueError(f"mode is one of {MODES}")
 
     def mine(key: tuple[Any, ...], rows: pd.DataFrame) -> pd.DataFrame:
-        texts = [v for v in rows["value"] if isinstance(v, str) and v]
-        least = max(q * len(rows), min_support_rows, 1e-9)
-        if not texts:
-            found = []
-        elif mode == "all":
-            found = SuffixAutomaton(*texts).frequent(least)
-        elif mode == "pairwise":
-            common = {lcs_string(a, b) for i, a in enumerate(texts) for b in texts[:i]} - {""}
-            counted = ((c, sum(c in t for t in texts)) for c in common)
-            found = sorted((c, n) for c, n in counted if n >= least)
-        else:
-            found = SuffixAutomaton(*texts).maximal(least)
-            if mode == "longest" and found:
-                longest = max(len(c) for c, _ in found)
-                found = [x for x in found if len(x[0]) == longest]
-        found = [(c, n) for c, n in found if len(c) >= min_len and (max_len is None or len(c) <= max_len)][:max_patterns]
+        found = mine_group(rows.sort_values("row_id")["value"].tolist(), q, mode, min_len, max_len, min_support_rows, max_patterns)
         n = len(found)
         text = lambda values: pd.Series(values, dtype=object)
         return pd.DataFrame({"attribute": text([key[0]] * n), "target_value": text([key[1]] * n), "pattern": text([c for c, _ in found]),
@@ -61,14 +69,15 @@ def mine_frequent(long: DataFrame, q: float, mode: str = "maximal", min_len: int
     return long.groupBy("attribute", "target_value").applyInPandas(mine, PATTERN_SCHEMA)
 
 
-def mine_frequent_native(long: DataFrame, q: float, max_len: int = 64) -> DataFrame:
+def mine_frequent_native(long: DataFrame, q: float, max_len: int | None = None) -> DataFrame:
     """All frequent substrings level by level without Python: a longer one is counted only where both its parts that are
-    one character shorter were frequent (support cannot grow with length)."""
+    one character shorter were frequent (support cannot grow with length). Ends with the first length that has none, or
+    with max_len."""
     keys = ["attribute", "target_value"]
     sizes = long.groupBy(*keys).agg(F.count("*").alias("group_rows"))
     rows = long.filter(F.length("value") > 0).cache()
     levels, frequent = [], None
-    for n in range(1, max_len + 1):
+    for n in count(1) if max_len is None else range(1, max_len + 1):
         grams = F.array_distinct(F.transform(F.sequence(F.lit(1), F.length("value") - n + 1), lambda i: F.substring("value", i, n)))
         here = rows.filter(F.length("value") >= n).select(*keys, "row_id", F.explode(grams).alias("pattern")).dropDuplicates([*keys, "row_id", "pattern"])
         if frequent is not None:
@@ -85,8 +94,23 @@ def mine_frequent_native(long: DataFrame, q: float, max_len: int = 64) -> DataFr
     return out
 
 
+def unique_in_rows(frequent: DataFrame, long: DataFrame, q: float) -> DataFrame:
+    """Drops a pattern that is frequent in another group as well, counted in the rows: right for every mode and limit."""
+    wanted = frequent.select(F.col("attribute").alias("a"), "pattern").distinct()
+    hits = long.join(wanted, (F.col("attribute") == F.col("a")) & F.contains(F.col("value"), F.col("pattern"))).groupBy("attribute", "pattern", "target_value").agg(F.count("*").alias("n"))
+    sizes = long.groupBy(F.col("attribute").alias("a"), F.col("target_value").alias("t")).agg(F.count("*").alias("rows"))
+    often = hits.join(sizes, (F.col("attribute") == F.col("a")) & (F.col("target_value") == F.col("t"))).filter(F.col("n") >= q * F.col("rows"))
+    alone = often.groupBy("attribute", "pattern").agg(F.count("*").alias("groups")).filter("groups = 1")
+    return frequent.join(alone, ["attribute", "pattern"], "left_semi").select(frequent.columns)
+
+
+def unique_for(frequent: DataFrame, long: DataFrame, q: float, mode: str) -> DataFrame:
+    """Unique patterns the cheaper way that is right for the mode (mined without limits)."""
+    return unique_patterns(frequent) if mode in ("maximal", "all") else unique_in_rows(frequent, long, q)
+
+
 def unique_patterns(frequent: DataFrame) -> DataFrame:
-    """Drops a pattern that is frequent in another group as well.
+    """Drops a pattern that is frequent in another group as well; for `maximal` and `all` patterns mined without limits.
 
     A substring is frequent in a group exactly if a maximal frequent one of that group contains it, so the patterns alone
     decide and the rows need not be read again.

@@ -27,21 +27,23 @@ def shortfall_quota(sizes: dict[int, int], m: int, n: int) -> dict[int, int]:
 def sample_groups(pool: DataFrame, task: Task) -> DataFrame:
     """m groups of n rows each; if there are not enough groups of n rows, smaller whole groups fill the row budget.
 
-    The driver sees one number for each size up to n. Groups and rows are ranked by seeded hashes; the rank limits are
-    applied before each shuffle, so a very large group moves n rows per task at most.
+    The driver sees one number for each size up to n, and the at most m * n chosen values. Groups and rows are ranked by
+    seeded hashes; the rank limits are applied before each shuffle, so a very large group moves n rows per task at most.
     """
     seed = str(task.seed)
-    sizes = group_sizes(pool, task).withColumn("size", F.least(F.col("group_rows"), F.lit(task.n)).cast("int"))
+    sizes = group_sizes(pool, task).withColumn("size", F.least(F.col("group_rows"), F.lit(task.n)).cast("int")).persist()  # one row a target value, read twice
     histogram = {r["size"]: r["groups"] for r in sizes.groupBy("size").agg(F.count("*").alias("groups")).collect()}
     quota = shortfall_quota(histogram, task.m, task.n)
     if not quota:
+        sizes.unpersist()
         return pool.limit(0)
     of_size = F.create_map(*[F.lit(x) for kv in quota.items() for x in kv])
     by_group = Window.partitionBy("size").orderBy(hash32(F.col(task.target), seed), F.col(task.target))
     chosen = (sizes.filter(F.col("size").isin(*quota)).withColumn("place", F.row_number().over(by_group)).filter(F.col("place") <= task.m * task.n)
-              .filter(F.col("place") <= of_size[F.col("size")]).select(F.col(task.target).alias("chosen")))
+              .filter(F.col("place") <= of_size[F.col("size")]).select(task.target).collect())
+    sizes.unpersist()
     by_row = Window.partitionBy(task.target).orderBy(hash32(F.col(task.row_id), seed), F.col(task.row_id))
-    return (pool.join(F.broadcast(chosen), F.col(task.target) == F.col("chosen"), "left_semi")  # at most m * n values
+    return (pool.filter(F.col(task.target).isin([r[0] for r in chosen]))
             .withColumn("__place", F.row_number().over(by_row)).filter(F.col("__place") <= task.n).drop("__place"))
 
 

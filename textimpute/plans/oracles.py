@@ -119,6 +119,19 @@ oracle("phone_unique", f"{PHONE}, {mined(0.75)} SELECT * FROM uniq")
 oracle("phone_maximal", f"{PHONE}, {mined(0.75)} SELECT * FROM maxi")
 oracle("phone_longest", f"""{PHONE}, {mined(0.25)} SELECT attribute, target_value, pattern, support, group_rows FROM freq f
 WHERE length(pattern) = (SELECT max(length(pattern)) FROM freq o WHERE o.attribute=f.attribute AND o.target_value=f.target_value)""")
+_alone = lambda freq, q: f"(SELECT count(*) FROM (SELECT l.target_value, count(*) AS n, z.group_rows FROM long_ l JOIN sizes_ z USING (attribute, target_value) WHERE l.attribute={freq}.attribute AND contains(l.value, {freq}.pattern) GROUP BY ALL HAVING count(*) >= {q}::DOUBLE * z.group_rows)) = 1"
+_longest = f"""{PHONE}, {mined(0.25)}, lon AS (SELECT attribute, target_value, pattern, support, group_rows FROM freq f
+WHERE length(pattern) = (SELECT max(length(pattern)) FROM freq o WHERE o.attribute=f.attribute AND o.target_value=f.target_value))"""
+oracle("phone_longest_unique", f"{_longest} SELECT * FROM lon WHERE (attribute, pattern) IN (SELECT (attribute, pattern) FROM freq GROUP BY attribute, pattern HAVING count(*) = 1)")
+oracle("phone_short_unique", f"{PHONE}, {mined(0.75)} SELECT * FROM uniq WHERE length(pattern) <= 3")
+_pairwise = f"""WITH {SUPPLY}, {long_form('sup', 's_suppkey', 'n_name', ['s_phone'])}, sizes_ AS (SELECT attribute, target_value, count(*) AS group_rows FROM long_ GROUP BY 1,2),
+two AS (SELECT a.attribute, a.target_value, a.value AS x, b.value AS y FROM long_ a JOIN long_ b ON a.attribute=b.attribute AND a.target_value=b.target_value AND a.row_id > b.row_id),
+parts AS (SELECT attribute, target_value, x, y, s.i AS i, l.n AS n, substr(x, s.i, l.n) AS c FROM two, range(1, length(x)+1) s(i), range(1, length(x)-s.i+2) l(n) WHERE contains(y, substr(x, s.i, l.n))),
+best AS (SELECT DISTINCT attribute, target_value, c AS pattern FROM (SELECT * FROM parts QUALIFY row_number() OVER (PARTITION BY attribute, target_value, x, y ORDER BY n DESC, i) = 1)),
+pair AS (SELECT attribute, target_value, pattern, (SELECT count(*) FROM long_ l WHERE l.attribute=best.attribute AND l.target_value=best.target_value AND contains(l.value, best.pattern)) AS support, group_rows FROM best JOIN sizes_ USING (attribute, target_value)),
+pairwise_ AS (SELECT * FROM pair WHERE support >= 0.75::DOUBLE * group_rows)"""
+oracle("phone_pairwise", f"{_pairwise} SELECT * FROM pairwise_")
+oracle("phone_pairwise_unique", f"{_pairwise} SELECT * FROM pairwise_ WHERE {_alone('pairwise_', 0.75)}")
 oracle("phone_all_rows", f"{PHONE}, {mined(1.0)} SELECT * FROM freq")
 oracle("phone_recheck_full", f"""{PHONE}, {mined(0.75)}, sizes2 AS (SELECT n_name AS g, count(*) AS group_rows FROM geo GROUP BY 1)
 SELECT m.attribute, m.target_value AS of_value, m.pattern, l.target_value, count(*) AS support, s.group_rows, count(*) >= 0.75::DOUBLE * s.group_rows AS frequent
@@ -193,6 +206,36 @@ for _k in (1, 2, 3, 10):
     oracle(f"topk_diverse_k{_k}", f"WITH {topk(_k)} SELECT * FROM ex")
 oracle("topk_plain_k3", f"WITH {topk(3, diverse=False)} SELECT * FROM ex")
 ORACLES["topk_indexed_k3"] = ORACLES["topk_diverse_k3"]
+ORACLES["topk_blocks_k3"] = ORACLES["topk_diverse_k3"]
+oracle("retrieval_work", f"""WITH {MASKED}, a AS (SELECT count(DISTINCT c_phone) AS queries FROM masked WHERE n_name IS NULL), p AS (SELECT DISTINCT c_phone, n_name FROM masked WHERE n_name IS NOT NULL),
+b AS (SELECT count(*) AS pool_rows, (SELECT count(*) FROM (SELECT DISTINCT n_name, length(c_phone) FROM p)) AS automata FROM p)
+SELECT queries, pool_rows, queries * pool_rows AS pairs, queries * automata AS walks FROM a CROSS JOIN b""")
+
+
+def geo_near(percent: int = 10, seed: str = "1", tag: str = "") -> str:
+    """CTEs of the masked customers and near: the best similarity of each masked customer to each target value. A pair's
+    longest common substring is found by joining on substrings, longest first."""
+    subs = lambda name, rel, keep: f"{name}{tag} AS (SELECT DISTINCT {keep}, substr(c_phone, s.i, l.n) AS part, l.n AS n FROM {rel}, range(1, length(c_phone)+1) s(i), range(1, length(c_phone)-s.i+2) l(n))"
+    return f"""{masked(mcar(percent, seed=seed), name=f'm{tag}')}, q{tag} AS (SELECT * FROM m{tag} WHERE n_name IS NULL), p{tag} AS (SELECT c_custkey, n_name, c_phone, length(c_phone) AS size FROM m{tag} WHERE n_name IS NOT NULL),
+{subs('sq', f'q{tag}', 'c_custkey AS query_id, length(c_phone) AS qsize')}, {subs('sp', f'p{tag}', 'n_name, size, c_custkey')},
+held{tag} AS (SELECT n_name, size, part, min(c_custkey) AS example_id FROM sp{tag} GROUP BY ALL),
+meet{tag} AS (SELECT query_id, n_name AS target_value, round(max(n)::DOUBLE/greatest(qsize, size), 9) AS similarity, arg_min(example_id, (-n, example_id)) AS example_id FROM sq{tag} JOIN held{tag} USING (part) GROUP BY query_id, n_name, qsize, size),
+every{tag} AS (SELECT * FROM meet{tag} UNION ALL SELECT q.c_custkey, v.n_name, 0.0, v.e FROM q{tag} q CROSS JOIN (SELECT n_name, min(c_custkey) AS e FROM p{tag} GROUP BY 1) v),
+near{tag} AS (SELECT * FROM every{tag} QUALIFY row_number() OVER (PARTITION BY query_id, target_value ORDER BY similarity DESC, example_id) = 1)"""
+
+
+def nearest(tag: str = "") -> str:
+    return f"one{tag} AS (SELECT query_id, target_value AS answer FROM near{tag} QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY similarity DESC, example_id) = 1)"
+
+
+_right = lambda tag="": f"(SELECT count(*) AS cells, round(avg((coalesce(answer = truth, false))::INT::DOUBLE), 6) AS exact_match FROM q{tag} LEFT JOIN one{tag} ON query_id = c_custkey)"
+oracle("geo_topk_k10", f"""WITH {GEO}, {geo_near()} SELECT query_id, (row_number() OVER (PARTITION BY query_id ORDER BY similarity DESC, example_id))::INT AS rank, example_id, target_value, similarity
+FROM near QUALIFY rank <= 10""")
+_vote = f"""WITH {GEO}, {geo_near()}, {nearest()}, {group_sample('p_all', 'c_custkey', 'n_name', 10, 10)}, {long_form('sample', 'c_custkey', 'n_name', ['c_phone'])}, {mined(0.75)},
+found AS (SELECT c_custkey AS query_id, target_value AS found FROM q JOIN maxi ON contains(c_phone, pattern) QUALIFY row_number() OVER (PARTITION BY c_custkey ORDER BY length(pattern) DESC, target_value) = 1),
+vote AS (SELECT query_id, coalesce(found, answer) AS answer FROM one FULL JOIN found USING (query_id))""".replace("sizes AS (SELECT n_name AS g", "p_all AS (SELECT * FROM m WHERE n_name IS NOT NULL), sizes AS (SELECT n_name AS g")
+oracle("impute_pattern_vote", f"{_vote} SELECT query_id, answer FROM vote")
+oracle("geo_end_to_end", f"{_vote} SELECT c_custkey AS query_id, truth, answer, answer = truth AS right FROM q LEFT JOIN vote ON query_id = c_custkey")
 oracle("topk_all_attributes", f"WITH {topk(3, SIM2)} SELECT * FROM ex")
 _holes = SUPPLY.replace("queries AS (SELECT * FROM masked", f"holes AS (SELECT * REPLACE (CASE WHEN {h('s_suppkey', '1', 's_phone')} % 100 >= 30 THEN s_phone END AS s_phone) FROM masked), queries AS (SELECT * FROM holes").replace("pool AS (SELECT * FROM masked", "pool AS (SELECT * FROM holes")
 oracle("topk_null_cells", f"WITH {topk(3, SIM2, setup=_holes)} SELECT * FROM ex")
@@ -228,6 +271,12 @@ oracle("scripted_completion", f"WITH {topk(1)} SELECT query_id, target_value AS
 oracle("impute_nearest_vote", f"""WITH {topk(3)} SELECT m.s_suppkey, coalesce(m.n_name, e.target_value) AS n_name, m.s_phone, m.s_name, m.is_masked, m.n_name IS NULL AND e.target_value IS NOT NULL AS n_name_imputed
 FROM masked m LEFT JOIN ex e ON e.query_id = m.s_suppkey AND e.rank = 1""")
 VOTE = "vote AS (SELECT query_id, target_value AS answer FROM (SELECT query_id, target_value, round(sum({w}),6) AS weight, min(rank) AS first FROM ex GROUP BY 1,2) QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY weight DESC, first) = 1)"
+_cell_of = lambda side, key: f"(SELECT s_phone FROM sup WHERE s_suppkey = {side}.{key})"
+oracle("explain_rows", f"""WITH {topk(3)}, used AS (SELECT ex.*, (SELECT target_value FROM ex o WHERE o.query_id = ex.query_id AND o.rank = 1) AS answer, a.s_phone AS x, b.s_phone AS y
+ FROM ex JOIN sup a ON a.s_suppkey = ex.query_id JOIN sup b ON b.s_suppkey = ex.example_id),
+parts AS (SELECT query_id, example_id, substr(x, s.i, l.n) AS c, s.i AS i, l.n AS n FROM used, range(1, length(x)+1) s(i), range(1, length(x)-s.i+2) l(n) WHERE contains(y, substr(x, s.i, l.n))),
+lon AS (SELECT query_id, example_id, c FROM parts QUALIFY row_number() OVER (PARTITION BY query_id, example_id ORDER BY n DESC, i) = 1)
+SELECT query_id, answer, rank, example_id, target_value, similarity, 's_phone' AS attribute, coalesce(c, '') AS common FROM used LEFT JOIN lon USING (query_id, example_id)""")
 oracle("impute_weighted_vote", f"WITH {topk(3)}, {VOTE.format(w='similarity')} SELECT * FROM vote")
 
 # ------------------------------------------------------------------ baselines
@@ -255,11 +304,25 @@ _tok = lambda x: f"list_filter(regexp_split_to_array(lower({x}), '[^\\p{{L}}\\p{
 oracle("rouge1", f"""WITH b AS (SELECT item_id, {_tok("substr(text,1,100)||' '||substr(text,1,40)")} AS p, {_tok('text')} AS t FROM benchmark),
 c AS (SELECT item_id, len(p) AS np, len(t) AS nt, (SELECT coalesce(sum(least(len(list_filter(p, lambda x: x = w.u)), len(list_filter(t, lambda x: x = w.u)))),0) FROM (SELECT unnest(list_distinct(p)) AS u) w) AS both_ FROM b)
 SELECT round(avg(CASE WHEN np>0 THEN both_/np ELSE 0 END),6) AS rouge1_precision, round(avg(CASE WHEN nt>0 THEN both_/nt ELSE 0 END),6) AS rouge1_recall, round(avg(CASE WHEN both_>0 THEN 2*both_/(np+nt) ELSE 0 END),6) AS rouge1_f1 FROM c""")
-oracle("gain_table", "WITH c AS (SELECT l_returnflag, count(*) AS n FROM lineitem GROUP BY 1) SELECT l_returnflag, n, lag(n) OVER (ORDER BY l_returnflag) AS before, round((n/lag(n) OVER (ORDER BY l_returnflag)-1)*100,1) AS gain FROM c")
-oracle("mean_std", "SELECT l_returnflag, count(*) AS runs, round(avg(l_quantity),6) AS mean, round(stddev_samp(l_quantity),6) AS std FROM lineitem GROUP BY 1")
+def arm(name: str, k: int, sim: str | None) -> str:
+    """One row per masked supplier of an arm: whether the weighted vote over its k examples is right."""
+    ex = f"{topk(k, sim)}" if sim else f"{SUPPLY}, {cards(k)}, ex AS (SELECT q.s_suppkey AS query_id, (place+1)::INT AS rank, example_id, target_value FROM queries q CROSS JOIN cards)"
+    return f"(WITH {ex}, {VOTE.format(w='similarity' if sim else '1.0')} SELECT '{name}' AS arm, {k} AS k, coalesce((answer = truth)::INT, 0) AS exact FROM queries LEFT JOIN vote ON query_id = s_suppkey)"
+
+
+ONE = similar([("q.s_phone", "p.s_phone")])
+_arms = lambda k: [arm("all_random", k, None), arm("selected_random", k, None), arm("all_diverse", k, SIM2), arm("selected_diverse", k, ONE)]
+oracle("ablation_cube", f"WITH arms AS ({' UNION ALL '.join(_arms(3))}) SELECT arm, k, count(*) AS cells, round(avg(exact), 6) AS exact_match FROM arms GROUP BY CUBE (arm, k)")
+oracle("gain_table", f"""WITH arms AS ({' UNION ALL '.join(_arms(3) + _arms(10))}), per AS (SELECT k, round(avg(exact) FILTER (arm = 'selected_random'), 6) AS selected_random, round(avg(exact) FILTER (arm = 'selected_diverse'), 6) AS selected_diverse FROM arms GROUP BY k)
+SELECT k, selected_random, selected_diverse, CASE WHEN selected_random > 0 THEN round((selected_diverse / selected_random - 1) * 100, 1) END AS gain FROM per""")
+_runs = ", ".join(f"{geo_near(10, str(x), f'_s{x}')}, {nearest(f'_s{x}')}" for x in range(1, 6))
+oracle("mean_std", f"WITH {GEO}, {_runs}, runs AS ({' UNION ALL '.join(f'SELECT * FROM {_right(f'_s{x}')}' for x in range(1, 6))}) SELECT 'nearest_vote' AS method, count(*) AS runs, round(avg(exact_match), 6) AS mean, round(stddev_samp(exact_match), 6) AS std FROM runs")
 oracle("counters", f"WITH {MASKED} SELECT count(*) AS rows, round(avg((length(c_phone)+length(c_name))/2),4) AS mean_length, count(*) FILTER (n_name IS NOT NULL) AS complete_rows, 2 AS candidates, 1 AS selected FROM masked")
-_rates = " UNION ALL ".join(f"SELECT {r} AS rate, count(*) AS cells, round(avg((coalesce(answer=truth,false))::INT::DOUBLE),6) AS exact_match FROM m{r} LEFT JOIN {_mode_by('r_name', f'm{r}')} USING (r_name) WHERE m{r}.n_name IS NULL" for r in (10, 20, 30, 40, 50))
-oracle("missing_rate_sweep", f"WITH {GEO}, {', '.join(masked(mcar(r), name=f'm{r}') for r in (10, 20, 30, 40, 50))} {_rates}")
+_sweep = ", ".join(f"{geo_near(r, tag=f'_r{r}')}, {nearest(f'_r{r}')}" for r in (10, 20, 30, 40, 50))
+oracle("missing_rate_sweep", f"WITH {GEO}, {_sweep} {' UNION ALL '.join(f'SELECT {r} AS rate, cells, exact_match FROM {_right(f'_r{r}')}' for r in (10, 20, 30, 40, 50))}")
+oracle("rouge1_answers", f"""WITH {GEO}, {geo_near()}, {nearest()}, t AS (SELECT list_filter(regexp_split_to_array(lower(coalesce(answer,'')), '[^\\p{{L}}\\p{{N}}]+'), lambda w: w <> '') AS a, list_filter(regexp_split_to_array(lower(truth), '[^\\p{{L}}\\p{{N}}]+'), lambda w: w <> '') AS b FROM q LEFT JOIN one ON query_id = c_custkey),
+c AS (SELECT len(a) AS na, len(b) AS nb, len(list_intersect(a, b)) AS n FROM t)
+SELECT round(avg(CASE WHEN na > 0 THEN n / na ELSE 0 END), 6) AS rouge1_precision, round(avg(CASE WHEN nb > 0 THEN n / nb ELSE 0 END), 6) AS rouge1_recall, round(avg(CASE WHEN n > 0 THEN 2 * n / (na + nb) ELSE 0 END), 6) AS rouge1_f1 FROM c""")
 oracle("stream_window_counts", "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d') AS window_start, event_type, count(*) AS events, count(*) FILTER (value IS NULL) AS missing FROM events GROUP BY 1,2")
 oracle("stream_session_counts", """WITH g AS (SELECT user_id, ts, CASE WHEN ts >= lag(ts) OVER w + INTERVAL 30 MINUTE THEN 1 ELSE 0 END AS cut FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
 s AS (SELECT user_id, ts, sum(cut) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS n FROM g)

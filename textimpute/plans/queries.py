@@ -10,11 +10,12 @@ from pyspark.sql import functions as F
 
 from ..functions.lcs import lcs_len_arrow, lcs_len_expr, lcs_str
 from ..functions.text import hash32
-from ..operators import backends, baselines, dependency, metrics, missingness, patterns, problem, prompting, retrieval, sampling
+from ..operators import backends, baselines, blocks, dependency, metrics, missingness, patterns, problem, prompting, retrieval, sampling
 from ..operators.impute import explain, impute
 from ..operators.problem import Task
 from ..sources import tables
 from ..streaming import stream
+from .planner import retrieve_planned
 
 GEO = Task("n_name", "c_custkey", ("c_phone", "c_reviews", "c_name", "r_name", "c_mktsegment", "c_acctbal"))
 SHORT_GEO = GEO.but(candidates=("c_phone", "c_name", "c_mktsegment", "c_acctbal", "r_name"))
@@ -126,8 +127,7 @@ def _(spark, d):
 
 # ------------------------------------------------------------------ patterns and dependencies
 def _fractions(df: DataFrame, task: Task, mode: str = "maximal") -> DataFrame:
-    long = patterns.unpivot_sample(sampling.draw(problem.checked(df, task).filter(F.col(task.target).isNotNull()), task), task)
-    return dependency.evaluate(patterns.unique_patterns(patterns.mine_frequent(long, task.q, mode)), long, task.p)
+    return dependency.measure(problem.checked(df, task).filter(F.col(task.target).isNotNull()), task, mode)[0]
 
 
 def _nation(spark, d) -> DataFrame:
@@ -186,6 +186,25 @@ def _(spark, d):
     return patterns.mine_frequent(_phone_long(spark, d), 0.25, "longest")
 
 
+@query("phone_longest_unique")
+def _(spark, d):
+    long = _phone_long(spark, d)
+    return patterns.unique_for(patterns.mine_frequent(long, 0.25, "longest"), long, 0.25, "longest")
+
+
+@query("phone_pairwise_unique")
+def _(spark, d):
+    long = patterns.unpivot_sample(suppliers(spark, d), SUPPLY.but(candidates=("s_phone",)))
+    return patterns.unique_for(patterns.mine_frequent(long, 0.75, "pairwise"), long, 0.75, "pairwise")
+
+
+@query("phone_short_unique")
+def _(spark, d):
+    """Patterns of at most three characters: the limit makes the rows decide on uniqueness."""
+    long = _phone_long(spark, d)
+    return patterns.unique_in_rows(patterns.mine_frequent(long, 0.75, "all", max_len=3), long, 0.75)
+
+
 @query("phone_all_rows")
 def _(spark, d):
     return patterns.mine_frequent(_phone_long(spark, d), 1.0, "all")
@@ -364,6 +383,25 @@ def _(spark, d):
     return retrieval.retrieve_indexed(queries, pool, SUPPLY, ["s_phone"], 3, g=3)
 
 
+@query("topk_blocks_k3")
+def _(spark, d):
+    _, queries, pool, _ = supply_parts(spark, d)
+    return blocks.retrieve_blocks(queries, pool, SUPPLY, "s_phone", 3)
+
+
+@query("geo_topk_k10")
+def _(spark, d):
+    """All masked customers against all others, by the planner's way."""
+    queries, pool = problem.split(geo_masked(spark, d)[0], GEO)
+    return retrieve_planned(queries, pool, GEO, ["c_phone"])
+
+
+@query("retrieval_work")
+def _(spark, d):
+    queries, pool = problem.split(geo_masked(spark, d)[0], GEO)
+    return blocks.work(queries, pool, GEO, "c_phone")
+
+
 @query("topk_all_attributes")
 def _(spark, d):
     _, queries, pool, _ = supply_parts(spark, d)
@@ -581,17 +619,25 @@ def _(spark, d):
     return metrics.rouge1(pairs)
 
 
+def _geo_right(spark, d, rate: float = 0.1, seed: int = 1) -> DataFrame:
+    """(query_id, truth, answer) of the nearest example's vote on c_phone."""
+    masked, truth = geo_masked(spark, d, rate, seed)
+    queries, pool = problem.split(masked, GEO)
+    return metrics.judged(backends.nearest_vote(retrieve_planned(queries, pool, GEO.but(k=1), ["c_phone"])), truth, "c_custkey")
+
+
 @query("gain_table")
 def _(spark, d):
-    counts = tables.load(spark, d, "lineitem").groupBy("l_returnflag").agg(F.count("*").alias("n"))
-    w = Window.orderBy("l_returnflag")  # three rows
-    return counts.withColumn("before", F.lag("n").over(w)).withColumn("gain", metrics.gain(F.col("before"), F.col("n")))
+    """Exact match of the random and the diverse-similar examples and the gain, for k = 3 and 10 (weighted vote)."""
+    per = arms(spark, d).groupBy("k").pivot("arm", ["selected_random", "selected_diverse"]).agg(F.round(F.avg("exact"), 6))
+    return per.withColumn("gain", F.when(F.col("selected_random") > 0, metrics.gain(F.col("selected_random"), F.col("selected_diverse"))))
 
 
 @query("mean_std")
 def _(spark, d):
-    runs = tables.load(spark, d, "lineitem").select("l_returnflag", F.col("l_quantity").alias("x"))
-    return metrics.mean_std(runs, ["l_returnflag"], "x")
+    """Mean and deviation of the exact match over five seeded runs."""
+    runs = [metrics.exact_match(_geo_right(spark, d, seed=seed)).select(F.lit(seed).alias("seed"), "exact_match") for seed in range(1, 6)]
+    return metrics.mean_std(reduce(DataFrame.unionByName, runs).withColumn("method", F.lit("nearest_vote")), ["method"], "exact_match")
 
 
 @query("counters")
@@ -623,14 +669,16 @@ def _(spark, d):
 
 @query("missing_rate_sweep")
 def _(spark, d):
-    parts = []
-    for rate in (10, 20, 30, 40, 50):
-        masked, truth = geo_masked(spark, d, rate / 100)
-        pairs = metrics.judged(baselines.fill_mode(masked, GEO, ["r_name"]), truth, "c_custkey")
-        parts.append(metrics.exact_match(pairs).select(F.lit(rate).alias("rate"), "cells", "exact_match"))
+    """Exact match of the method's nearest vote at 10 to 50 % missing."""
+    parts = [metrics.exact_match(_geo_right(spark, d, rate / 100)).select(F.lit(rate).alias("rate"), "cells", "exact_match") for rate in (10, 20, 30, 40, 50)]
     return reduce(DataFrame.unionByName, parts)
 
 
+@query("rouge1_answers")
+def _(spark, d):
+    return metrics.rouge1(_geo_right(spark, d))
+
+
 @query("synthetic_runtime_shape")
 def _(spark, d):
     parts = []
