@@ -763,6 +763,22 @@ def test_pairs_among_many_siblings_of_one_template(spark):
     assert len(set(part.values())) >= 119
 
 
+def test_prefix_pairs_hold_every_similar_pair(spark):
+    rng = random.Random(17)
+    stem = rng.sample(range(10**6), 90)
+    sets = {}
+    for k in range(150):
+        base = set(rng.sample(stem, rng.randint(70, 90))) | set(rng.sample(range(10**6, 2 * 10**6), rng.randint(0, 25))) if k % 3 or not k else set(rng.sample(sorted(sets[k - 1]), len(sets[k - 1]) - rng.randint(0, 12)))
+        sets[k] = base
+    sets[150], sets[151] = set(), {5}
+    component = {k: k // 4 for k in sets}
+    rows = [(k, sorted(x), component[k]) for k, x in sets.items()]
+    got = {(r["u"], r["v"]) for r in simhash.prefix_pairs(spark.createDataFrame(rows, "id long, shingles array<int>, component long"), 0.8).collect()}
+    want = {(a, b) for a in sets for b in sets if a > b and component[a] != component[b] and sets[a] and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])}
+    every = sum(1 for a in sets for b in sets if a > b and component[a] != component[b])
+    assert want and want <= got and len(got) < 0.8 * every
+
+
 def test_copies_that_differ_in_how_often_a_passage_repeats(spark):
     rng = random.Random(14)
     rows = []

@@ -17,8 +17,8 @@ capped. A shard reports a spanning forest, never all pairs of a dense group.
 
 `near_duplicates`: the radius there (47 of 192 bits) is wider than the spread of distances, so hardly an edge can be left
 out and nodes of LEAF rows or fewer are compared directly. Its links need a check, so a shard first reports a few pairs of
-each row of a dense group; then all pairs of such groups that the verified links have not joined are reported and verified
-too, so no pair is left out.
+each row of a dense group; then an exact prefix-filter join over the shingle sets of all rows of such groups finds the pairs
+that the verified links have not joined, so no pair is left out.
 
 Components come from a distributed iteration over written tables; driver memory holds nothing that grows with documents.
 
@@ -135,7 +135,7 @@ def sampled_keys(bits: int, rows: int, differs: float, recall: float, least_bits
 
 
 def keyed(nodes: DataFrame, keys: list[np.ndarray], width: int) -> DataFrame:
-    """nodes (id, f0..; maybe component) -> a row of them and `key` for each shard key. The key holds the number of its table."""
+    """nodes (id, f0..) -> a row of them and `key` for each shard key. The key holds the number of its table."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in small(batches):
             f = [b.column(1 + w).to_numpy(zero_copy_only=False).view(np.uint64) for w in range(width)]
@@ -146,7 +146,7 @@ def keyed(nodes: DataFrame, keys: list[np.ndarray], width: int) -> DataFrame:
                 key = key * np.uint64(len(keys)) + np.uint64(t)
                 yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), *b.columns], ["key", *b.schema.names])
 
-    names = [*(f"f{w}" for w in range(width)), *(["component"] if "component" in nodes.columns else [])]
+    names = [f"f{w}" for w in range(width)]
     return nodes.select("id", *names).mapInArrow(run, "key long, id long, " + ", ".join(f"{n} long" for n in names))
 
 
@@ -291,13 +291,11 @@ def witnesses(f: np.ndarray, radius: int, small: int = 16) -> tuple[np.ndarray,
 def shard_edges(nodes: DataFrame, keys: list[np.ndarray], radius: int, width: int, pairs: bool, chunk: int = CHUNK) -> DataFrame:
     """nodes (id, f0..; ids unique) -> distinct edges (u, v) of linked ids.
 
-    Without `pairs` the edges are a spanning forest of each shard. With them they are pairs to be verified: if the nodes
-    have a `component`, all pairs of different components; else those of witnesses(), and a row (u, null) for each u of
-    which a shard left out pairs.
+    Without `pairs` the edges are a spanning forest of each shard. With them they are pairs to be verified, those of
+    witnesses(), and a row (u, null) for each u of which a shard left out pairs.
     """
     entries = keyed(nodes, keys, width)
-    apart = "component" in nodes.columns
-    names = ["id", *(f"f{w}" for w in range(width)), *(["component"] if apart else [])]
+    names = ["id", *(f"f{w}" for w in range(width))]
     hot = written(entries.groupBy("key").count().filter(F.col("count") > chunk)
                   .select(F.col("key").alias("hot_key"), F.ceil(F.col("count") / chunk).cast("int").alias("chunks")), "hot-shards")
     n_hot = hot.count()
@@ -312,12 +310,6 @@ def shard_edges(nodes: DataFrame, keys: list[np.ndarray], radius: int, width: in
         entries = entries.select("key", F.lit(0).alias("part"), *names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def found(f):
-            if apart:
-                yield from ((i, j, i[:0]) for i, j in close_pairs(f, radius))
-            else:
-                yield witnesses(f, radius)
-
         no = np.empty(0, np.int64)
 
         def batch(us, vs, dense):
@@ -326,7 +318,7 @@ def shard_edges(nodes: DataFrame, keys: list[np.ndarray], radius: int, width: in
             v = pa.array(np.r_[both[:, 1], some], mask=np.arange(len(both) + len(some)) >= len(both))
             return pa.RecordBatch.from_arrays([pa.array(np.r_[both[:, 0], some]), v], ["u", "v"])
 
-        def linked_edges(key, ids, f, _):
+        def linked_edges(key, ids, f):
             """Spanning stars of whole shards, one after the other in sorted arrays."""
             new = np.r_[True, (key[1:] != key[:-1]).any(1)]
             starts = np.flatnonzero(new)
@@ -340,15 +332,14 @@ def shard_edges(nodes: DataFrame, keys: list[np.ndarray], radius: int, width: in
                 yield batch([np.maximum(u, v)], [np.minimum(u, v)], [ids[:0]])
                 at = end
 
-        def edges(key, ids, f, part):
+        def edges(key, ids, f):
             """Of whole shards, one after the other in sorted arrays."""
             starts = np.flatnonzero(np.r_[True, (key[1:] != key[:-1]).any(1)])
             sizes = np.diff(np.r_[starts, len(key)])
             us, vs, dense, held = [], [], [ids[:0]], 0
 
             def add(i, j):
-                differ = part[i] != part[j]
-                u, v = ids[i[differ]], ids[j[differ]]
+                u, v = ids[i], ids[j]
                 us.append(np.maximum(u, v)), vs.append(np.minimum(u, v))
                 return len(u)
 
@@ -358,14 +349,12 @@ def shard_edges(nodes: DataFrame, keys: list[np.ndarray], radius: int, width: in
                 i = i[distances(f[i], f[i + s]) <= radius]
                 held += add(i, i + s)
             for at, n in zip(starts[sizes > 8].tolist(), sizes[sizes > 8].tolist()):
-                if apart and (part[at:at + n] == part[at]).all():
-                    continue
-                for i, j, some in found(np.ascontiguousarray(f[at:at + n])):
-                    held += add(at + i, at + j)
-                    dense.append(ids[at + some])
-                    if held > 1 << 20:
-                        yield batch(us, vs, dense)
-                        us[:], vs[:], dense[:], held = [], [], [ids[:0]], 0
+                i, j, some = witnesses(np.ascontiguousarray(f[at:at + n]), radius)
+                held += add(at + i, at + j)
+                dense.append(ids[at + some])
+                if held > 1 << 20:
+                    yield batch(us, vs, dense)
+                    us[:], vs[:], dense[:], held = [], [], [ids[:0]], 0
             yield batch(us, vs, dense)
 
         rest, of_shards = None, edges if pairs else linked_edges
@@ -375,7 +364,7 @@ def shard_edges(nodes: DataFrame, keys: list[np.ndarray], radius: int, width: in
             key = np.stack([b.column(0).to_numpy(), b.column(1).to_numpy().astype(np.int64)], 1)
             ids = b.column(2).to_numpy()
             f = np.stack([b.column(3 + w).to_numpy() for w in range(width)], 1).view(np.uint64)
-            now = key, ids, f, b.column(3 + width).to_numpy() if apart else ids
+            now = key, ids, f
             if rest:
                 now = tuple(np.concatenate(x) for x in zip(rest, now))
                 key = now[0]
@@ -414,22 +403,77 @@ def expected_difference(similarity: float) -> float:
     return math.acos(min(1.0, 2 * similarity / (1 + similarity))) / math.pi
 
 
-def verified(docs: DataFrame, nodes: DataFrame, proposed: DataFrame, words: int, similarity: float) -> DataFrame:
-    """The pairs (u, v) of node ids whose texts' shingle sets have that Jaccard similarity, written. docs has doc_id and
-    text, nodes has id (the hash of the word sequence) and first (doc_id and mark of one of its rows)."""
-    ends = proposed.select(F.explode(F.array("u", "v")).alias("end")).distinct()
+def shingle_sets(docs: DataFrame, nodes: DataFrame, ids: DataFrame, words: int) -> DataFrame:
+    """(id, shingles) of the nodes in ids (id), written. docs has doc_id and text, nodes has id (the hash of the word
+    sequence) and first (doc_id and mark of one of its rows)."""
+    ends = ids.select(F.col("id").alias("end")).distinct()
     ends = written(nodes.join(ends, nodes["id"] == ends["end"], "left_semi").select(F.col("first.doc_id").alias("d"), F.col("first.mark").alias("m")).distinct(), "proposed-rows")
     side = F.broadcast(ends) if ends.count() <= BROADCAST_IDS else ends
-    # shingle sets are made for the proposed texts only; one row stands for a node
+    # shingle sets are made for these texts only; one row stands for a node
     some = docs.join(side, (docs["doc_id"] == F.col("d")) & (F.xxhash64(docs["text"]) == F.col("m")), "left_semi")
     sets = written(fingerprints(some, words, 64, shingles=True).select(F.col("seq").alias("id"), "shingles").dropDuplicates(["id"]), "shingle-sets")
+    removed(docs.sparkSession, ends)
+    return sets
+
+
+def verified(sets: DataFrame, proposed: DataFrame, similarity: float) -> DataFrame:
+    """The pairs (u, v) of node ids whose shingle sets have that Jaccard similarity, written."""
     left, right = sets.toDF("lu", "ls"), sets.toDF("rv", "rs")
     common = F.size(F.array_intersect("ls", "rs"))
-    links = written(proposed.join(left, F.col("u") == F.col("lu")).select("u", "v", "ls").join(right, F.col("v") == F.col("rv"))
-                    .filter(common >= similarity * (F.size("ls") + F.size("rs") - common)).select("u", "v"), "links")
-    for table in (ends, sets):
-        removed(docs.sparkSession, table)
-    return links
+    return written(proposed.join(left, F.col("u") == F.col("lu")).select("u", "v", "ls").join(right, F.col("v") == F.col("rv"))
+                   .filter(common >= similarity * (F.size("ls") + F.size("rs") - common)).select("u", "v"), "links")
+
+
+def prefix_pairs(sets: DataFrame, similarity: float, buckets: int = 1 << 20) -> DataFrame:
+    """sets (id, shingles, component) -> distinct (u, v) of different components, among which are all pairs of that Jaccard
+    similarity, written.
+
+    Prefix filter: with shingles in one order for all (here: rarest first, by hashed counts), two sets that overlap so much
+    share a shingle among the first 1 - similarity of the larger set and the first 1 - 2 similarity / (1 + similarity) of
+    the smaller one. Texts that share a template but less than that meet nowhere: the template's shingles, being frequent,
+    stand behind their own. Shingles that only one component has are left out before the join; sizes and places bound the
+    overlap of the others.
+    """
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(buckets, np.int64)
+        for b in small(batches):
+            total += np.bincount(b.column(0).flatten().to_numpy().view(np.uint32) % buckets, minlength=buckets)
+        at = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(total[at])], ["bucket", "n"])
+
+    got = sets.select("shingles").mapInArrow(count, "bucket int, n long").groupBy("bucket").agg(F.sum("n").alias("n")).toArrow()
+    often = np.zeros(buckets, np.int64)
+    often[got["bucket"].to_numpy()] = got["n"].to_numpy()
+    shared = sets.sparkSession.sparkContext.broadcast(often)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in small(batches):
+            shingle, which, size, place, indexed = [], [], [], [], []
+            for k, x in enumerate(b.column(1).to_pylist()):
+                x = np.array(x, np.int32)
+                n = len(x)
+                if not n:
+                    continue
+                probe = n - math.ceil(similarity * n - 1e-9) + 1
+                index = n - math.ceil(2 * similarity / (1 + similarity) * n - 1e-9) + 1
+                first = x[np.lexsort((x, shared.value[x.view(np.uint32) % buckets]))][:probe]
+                shingle.append(first), which.append(np.full(len(first), k)), size.append(np.full(len(first), n))
+                place.append(np.arange(len(first))), indexed.append(np.arange(len(first)) < index)
+            if shingle:
+                k = pa.array(np.concatenate(which))
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(shingle)), b.column(0).take(k), b.column(2).take(k), pa.array(np.concatenate(size).astype(np.int32)),
+                                                  pa.array(np.concatenate(place).astype(np.int32)), pa.array(np.concatenate(indexed))], ["shingle", "id", "component", "size", "place", "indexed"])
+
+    rows = written(sets.select("id", "shingles", "component").mapInArrow(run, "shingle int, id long, component long, size int, place int, indexed boolean"), "prefixes")
+    met = rows.groupBy("shingle").agg(F.min("component").alias("a"), F.max("component").alias("b")).filter("a <> b").select(F.col("shingle").alias("met"))
+    rows = rows.join(met, F.col("shingle") == F.col("met"), "left_semi")
+    larger = rows.select(*(F.col(c).alias(f"a_{c}") for c in rows.columns))
+    smaller = rows.filter("indexed").select(*(F.col(c).alias(f"b_{c}") for c in rows.columns))
+    overlap = F.least(F.col("a_size") - F.col("a_place"), F.col("b_size") - F.col("b_place"))
+    able = ((F.col("a_component") != F.col("b_component")) & (F.struct("b_size", "b_id") < F.struct("a_size", "a_id"))
+            & (F.col("b_size") >= similarity * F.col("a_size") - 1e-6) & (overlap >= similarity / (1 + similarity) * (F.col("a_size") + F.col("b_size")) - 1e-6))
+    return written(larger.join(smaller, (F.col("a_shingle") == F.col("b_shingle")) & able).select(
+        F.greatest("a_id", "b_id").alias("u"), F.least("a_id", "b_id").alias("v")).distinct(), "undecided")
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, bits: int = 192, recall: float = 0.999) -> DataFrame:
@@ -455,16 +499,18 @@ def near_duplicates(docs: DataFrame, words: int = 5, similarity: float = 0.8, bi
     n = nodes.count()
     keys = sampled_keys(bits, n, differs + deviation, recall)
     proposed = written(shard_edges(nodes.select("id", *f), keys, radius, width, pairs=True), "proposed")
-    links = verified(docs, nodes, proposed.filter("v is not null"), words, similarity)
+    ends = proposed.filter("v is not null").select(F.explode(F.array("u", "v")).alias("id"))
+    sets = shingle_sets(docs, nodes, ends, words)
+    links = verified(sets, proposed.filter("v is not null"), similarity)
     parts = connected_components(links)
     dense = written(proposed.filter("v is null").select(F.col("u").alias("dense_id")), "dense-ids")
-    tables = [prints, nodes, proposed, links, dense]
+    tables = [prints, nodes, proposed, links, dense, sets]
     if (many := dense.count()):
-        side = F.broadcast(dense) if many <= BROADCAST_IDS else dense
-        some = nodes.join(side, nodes["id"] == F.col("dense_id"), "left_semi")
-        some = written(some.join(parts, some["id"] == parts["node"], "left").select("id", *f, F.coalesce("component", "id").alias("component")), "dense-texts")
-        undecided = written(shard_edges(some, keys, radius, width, pairs=True), "undecided")
-        more = verified(docs, nodes, undecided, words, similarity)
+        # each row of a dense group has a proposed pair, so its set is there
+        some = sets.join(F.broadcast(dense) if many <= BROADCAST_IDS else dense, sets["id"] == F.col("dense_id"), "left_semi")
+        some = written(some.join(parts, some["id"] == parts["node"], "left").select("id", "shingles", F.coalesce("component", "id").alias("component")), "dense-texts")
+        undecided = prefix_pairs(some, similarity)
+        more = verified(sets, undecided, similarity)
         parts = connected_components(links.unionAll(more))
         tables += [some, undecided, more]
     named = _named(nodes.select("id", "first", "n"), parts, n)
