@@ -254,3 +254,63 @@ def test_deterministic_under_repartitioning(spark, sf):
     task = Task("n_name", "c_custkey", ("c_phone",), m=4, n=5)
     a, b = (sorted(r[0] for r in sampling.sample_groups(geo.repartition(n), task).select("c_custkey").collect()) for n in (1, 7))
     assert a == b
+
+
+# ---------------------------------------------------------------- blocks and uniqueness
+def test_blocks_equal_the_nested_comparison(spark):
+    import random
+
+    from textimpute.operators.blocks import Block, retrieve_blocks
+    from textimpute.operators.problem import Task, split
+    from textimpute.operators.retrieval import retrieve
+
+    rng = random.Random(5)
+    cell = lambda: rng.choice([None, "", "".join(rng.choice("abc-") for _ in range(rng.randint(1, 9)))])
+    df = spark.createDataFrame([(k, None if k % 5 == 0 else f"t{rng.randint(0, 6)}", cell()) for k in range(150)], "id long, t string, c string")
+    task = Task("t", "id", ("c",), k=4)
+    queries, pool = split(df, task)
+    want = sorted(map(str, retrieve(queries, pool, task, ["c"]).collect()))
+    for chars, size in ((100_000, 16_000_000), (20, 300)):
+        assert sorted(map(str, retrieve_blocks(queries, pool, task, "c", block_chars=chars, slice_chars=size).collect())) == want
+    block = Block(["abab", "xabx", None], [9, 4, 2])
+    assert block.best("ab") == (0.5, 4) and block.best("zz") == (0.0, 2) and block.best(None) == (0.0, 2)
+
+
+def test_uniqueness_in_rows_for_every_mode(spark):
+    import random
+
+    from textimpute.operators.patterns import MODES, mine_frequent, unique_for, unique_in_rows
+
+    rng = random.Random(6)
+    rows = [("a", "A", "1", "ab1"), ("a", "A", "2", "ab2"), ("a", "B", "3", "ab-longest"), ("a", "B", "4", "longest=ab")]
+    rows += [("b", f"G{k % 4}", str(10 + k), "".join(rng.choice("xyz") for _ in range(rng.randint(2, 7)))) for k in range(24)]
+    long = spark.createDataFrame(rows, "attribute string, target_value string, row_id string, value string")
+    groups = {}
+    for a, t, _, v in rows:
+        groups.setdefault((a, t), []).append(v)
+
+    def frequent_in(a, p, q):
+        return [t for (b, t), v in groups.items() if a == b and sum(p in x for x in v) >= q * len(v)]
+
+    for mode in MODES:
+        for q, limit in ((1.0, None), (0.5, None), (0.5, 2)):
+            mined = mine_frequent(long, q, mode, max_len=limit)
+            kept = (unique_for(mined, long, q, mode) if limit is None else unique_in_rows(mined, long, q)).collect()
+            want = {(r["attribute"], r["target_value"], r["pattern"]) for r in mined.collect() if frequent_in(r["attribute"], r["pattern"], q) == [r["target_value"]]}
+            assert {(r["attribute"], r["target_value"], r["pattern"]) for r in kept} == want
+            assert not any(r["pattern"] == "ab" for r in kept)
+
+
+def test_driver_and_cluster_mine_alike(spark):
+    import random
+
+    from textimpute.operators.dependency import measure
+    from textimpute.operators.problem import Task
+
+    rng = random.Random(7)
+    df = spark.createDataFrame([(k, f"t{k % 5}", f"code{k % 5}-{rng.randint(0, 99)}", rng.choice(["red", "blue", None])) for k in range(200)], "id long, t string, c string, d string")
+    for mode in ("maximal", "longest", "pairwise"):
+        task = Task("t", "id", ("c", "d"), m=4, n=6)
+        near, far = measure(df, task, mode), measure(df, task, mode, local_chars=0)
+        for a, b in zip(near, far):
+            assert sorted(map(str, a.collect())) == sorted(map(str, b.collect()))

@@ -36,7 +36,7 @@ def measure(pool: DataFrame, task: Task, mode: str = "maximal", local_chars: int
         patterns = unique_for(mine_frequent(long, task.q, mode), long, task.q, mode)
         return evaluate(patterns, long, task.p), patterns
     sample = draw(pool, task)
-    cut = max(64, local_chars // (task.m * task.n))
+    cut = local_chars // (task.m * task.n)
     rows = sample.select(task.row_id, task.target, *(F.substring(c, 1, cut + 1).alias(c) for c in task.candidates)).collect()  # at most m * n
     if all(r[c] is None or len(r[c]) <= cut for r in rows for c in task.candidates):
         return _measured_locally(pool.sparkSession, rows, task, mode)
