@@ -1,6 +1,9 @@
 """Worked examples, properties and differential tests of the imputation engine."""
 
+import json
 import random
+import threading
+from http.server import BaseHTTPRequestHandler, ThreadingHTTPServer
 
 import pytest
 from hypothesis import given, settings
@@ -182,6 +185,124 @@ def test_prompts_and_backends(spark, tmp_path):
     assert {r["k"] for r in zero.collect()} == {0} and not asked
 
 
+def prompts_of(spark, n):
+    return spark.range(n).select(F.col("id").alias("query_id"), F.concat(F.lit("h"), F.col("id") % 6).alias("prompt_hash"), F.concat(F.lit("what is "), F.col("id") % 6).alias("prompt"))
+
+
+def test_hosted_backend_asks_each_prompt_once_and_again_after_an_error(spark, tmp_path):
+    seen, failed = [], set()
+
+    class Stub(BaseHTTPRequestHandler):
+        def do_POST(self):
+            asked = json.loads(self.rfile.read(int(self.headers["Content-Length"])))
+            prompt = asked["messages"][0]["content"]
+            if prompt.endswith("3") and prompt not in failed:
+                failed.add(prompt)
+                return self.send_error(503)
+            seen.append((prompt, asked["model"], self.headers["Authorization"]))
+            body = json.dumps({"choices": [{"message": {"content": prompt[-1] * 2}}]}).encode()
+            self.send_response(200)
+            self.end_headers()
+            self.wfile.write(body)
+
+        def log_message(self, *_):
+            pass
+
+    server = ThreadingHTTPServer(("127.0.0.1", 0), Stub)
+    threading.Thread(target=server.serve_forever, daemon=True).start()
+    try:
+        backend = backends.HttpChatBackend(f"http://127.0.0.1:{server.server_port}/", "stub", key="k", per_second=1000)
+        answers = backends.complete(prompts_of(spark, 12), backend, wave=2)
+        for _ in range(2):  # every action reads what was written
+            assert {(r["query_id"], r["answer"]) for r in answers.collect()} == {(i, str(i % 6) * 2) for i in range(12)}
+        assert sorted(seen) == [(f"what is {i}", "stub", "Bearer k") for i in range(6)] and failed == {"what is 3"}
+    finally:
+        server.shutdown()
+
+
+def test_failed_waves_keep_the_answers_before_them(spark, tmp_path):
+    log, marks = str(tmp_path / "log"), tmp_path / "asked"
+    marks.mkdir()
+
+    def answer(prompt, broken):
+        if broken and prompt.endswith("5"):
+            raise ValueError("no answer")
+        with open(marks / prompt[-1], "a") as f:
+            f.write("x")
+        return prompt[-1]
+
+    with pytest.raises(Exception, match="no answer"):
+        backends.complete(prompts_of(spark, 6), backends.ScriptedBackend(lambda p: answer(p, True)), log, wave=1)
+    kept = {r["prompt_hash"] for r in spark.read.schema("prompt_hash string, answer string").parquet(log).collect()}
+    out = backends.complete(prompts_of(spark, 12), backends.ScriptedBackend(lambda p: answer(p, False)), log, wave=1)
+    assert {(r["query_id"], r["answer"]) for r in out.collect()} == {(i, str(i % 6)) for i in range(12)}
+    assert all((marks / h[-1]).read_text() == "x" for h in kept)  # an answer that was written is not asked for again
+
+
+def test_local_model_is_loaded_in_the_worker(spark):
+    backend = backends.LocalModelBackend(lambda: lambda prompts: [p.upper() for p in prompts])
+    out = backends.complete(prompts_of(spark, 3), backend)
+    assert {r["answer"] for r in out.collect()} == {"WHAT IS 0", "WHAT IS 1", "WHAT IS 2"}
+    assert backends.complete(prompts_of(spark, 3).filter("false"), backend).count() == 0
+
+
+def test_random_examples_come_from_all_decks(spark):
+    rows = [(str(i), f"{i:04d}", f"v{i}" if i % 2 else None) for i in range(600)]
+    queries, pool = problem.split(frame(spark, rows), TASK)
+    out = retrieval.retrieve_random(queries, pool, TASK, 4, deck=20).collect()
+    by_query = {}
+    for r in out:
+        by_query.setdefault(r["query_id"], []).append((r["rank"], r["example_id"], r["target_value"]))
+    assert len(by_query) == 300 and all(sorted(x[0] for x in v) == [1, 2, 3, 4] and len({x[1] for x in v}) == 4 for v in by_query.values())
+    assert all(x[2] == f"v{x[1]}" for v in by_query.values() for x in v) and len({x[1] for v in by_query.values() for x in v}) > 250
+    again = retrieval.retrieve_random(queries.repartition(3), pool.repartition(5), TASK, 4, deck=20).collect()
+    assert sorted(map(tuple, out)) == sorted(map(tuple, again))
+
+
+def test_backfill_and_thinned_pool(spark):
+    df = frame(spark, [*PHONES, ("q", QUERY, None)])
+    queries, pool = problem.split(df, TASK)
+    plain = retrieval.retrieve(queries, pool, TASK, ["phone"], 4).collect()
+    filled = sorted(retrieval.retrieve(queries, pool, TASK, ["phone"], 4, backfill=True).collect(), key=lambda r: r["rank"])
+    assert len(plain) == 2 and [r["rank"] for r in filled] == [1, 2, 3, 4]
+    assert {tuple(r) for r in plain} == {tuple(r) for r in filled[:2]}
+    assert filled[2]["similarity"] >= filled[3]["similarity"] and len({r["example_id"] for r in filled}) == 4
+    thin = retrieval.thinned_pool(pool, TASK, 1)
+    assert {r["city"] for r in thin.collect()} == {"New York", "Las Vegas"} and thin.count() == 2
+    exact = retrieval.retrieve(queries, pool, TASK, ["phone"], 2)
+    assert retrieval.recall(exact, exact).first()["recall"] == 1.0
+    with pytest.raises(ValueError):
+        retrieval.guarded(10, 10, 99)
+
+
+def test_shared_passages_equal_brute_force(spark):
+    rng = random.Random(3)
+    word = lambda n: "".join(rng.choice("abc") for _ in range(n))
+    items = [(i, word(rng.randrange(0, 60))) for i in range(12)] + [(12, None)]
+    docs = [(i, word(30) + (items[i % 12][1] or "")[: rng.randrange(0, 50)] + word(rng.randrange(0, 40))) for i in range(40)] + [(40, None), (41, "")]
+    want = {(i, d, lcs_length(a, b)) for i, a in items for d, b in docs if a and b and lcs_length(a, b) >= 13}
+    schema = "id long, text string"
+    for most in (0, 1000):
+        got = retrieval.shared_passages(spark.createDataFrame(items, schema), spark.createDataFrame(docs, schema), "id", "id", least=13, most_blocks=most)
+        assert {tuple(r) for r in got.collect()} == want and want
+
+
+def test_repeated_row_ids_do_not_multiply_rows(spark):
+    df = frame(spark, [*PHONES, ("q", QUERY, None), ("q", QUERY, None)])
+    assert impute.impute(df, TASK.but(k=1), "nearest_vote", attributes=["phone"]).table.count() == df.count()
+
+
+def test_thresholds_measured_on_one_sample(spark, sf):
+    geo = problem.checked(tables.geo_customer(spark, sf), Task("n_name", "c_custkey", ("c_phone", "c_mktsegment")))
+    task = Task("n_name", "c_custkey", ("c_phone", "c_mktsegment"), m=5, n=6)
+    for sized in (task, task.but(m=None, n=None)):
+        each = dependency.measure_each(geo, [sized.but(q=q) for q in (0.25, 0.75)])
+        for q, (evidence, _) in zip((0.25, 0.75), each):
+            assert sorted(map(tuple, evidence.collect())) == sorted(map(tuple, dependency.measure(geo, sized.but(q=q))[0].collect()))
+    with pytest.raises(ValueError):
+        dependency.measure_each(geo, [task, task.but(m=6)])
+
+
 def test_votes_and_arms(spark):
     df = frame(spark, [*PHONES, ("q", QUERY, None)])
     for name in ("nearest_vote", "weighted_vote", "pattern_vote"):

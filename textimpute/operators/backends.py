@@ -7,6 +7,7 @@ figures are not those of a model.
 from __future__ import annotations
 
 import json
+import math
 import time
 import urllib.request
 from collections.abc import Callable, Iterator
@@ -14,9 +15,11 @@ from dataclasses import dataclass, field
 from typing import Protocol
 
 import pandas as pd
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..sources.tables import shared_folder
+
 
 class Backend(Protocol):
     def complete(self, prompts: list[str]) -> list[str]: ...
@@ -81,23 +84,24 @@ class LocalModelBackend:
         return {"load": self.load}
 
 
-def complete(prompts: DataFrame, backend: Backend, log: str | None = None, batch: int = 32) -> DataFrame:
-    """(query_id, prompt_hash, answer). Equal prompts are asked once; with a log folder answers are kept there by hash, so
-    a rerun (or a retried task's successor) asks only what is not answered yet."""
+def complete(prompts: DataFrame, backend: Backend, log: str | None = None, batch: int = 32, wave: int = 4096) -> DataFrame:
+    """(query_id, prompt_hash, answer). Equal prompts are asked once, in waves of about `wave` prompts.
+
+    A wave's answers are written, by hash, before the next wave is asked: a job that fails loses one wave at most, and a
+    rerun with the same log folder asks only what has no answer yet. Without a log the answers go to the shared folder, so
+    later actions read them and ask nothing. Within a wave a task that Spark runs again asks its own prompts again.
+    """
     spark = prompts.sparkSession
-    asked = prompts.select("prompt_hash", "prompt").dropDuplicates(["prompt_hash"])
     schema = "prompt_hash string, answer string"
-    known = None
-    if log is not None:
-        try:
-            known = spark.read.schema(schema).parquet(log)
-            known.isEmpty()
-        except Exception as e:  # the log does not exist yet
-            if "PATH_NOT_FOUND" not in str(e):
-                raise
-            known = None
-        if known is not None:
-            asked = asked.join(known, "prompt_hash", "left_anti")
+    asked = prompts.select("prompt_hash", "prompt").dropDuplicates(["prompt_hash"])
+    if log is None:
+        log = shared_folder(spark, "answers")
+    elif _exists(spark, log):
+        asked = asked.join(spark.read.schema(schema).parquet(log), "prompt_hash", "left_anti")
+    queue = shared_folder(spark, "prompts")
+    asked.write.parquet(queue)
+    waiting = spark.read.schema("prompt_hash string, prompt string").parquet(queue)
+    waves = max(1, math.ceil(waiting.count() / wave))
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
@@ -106,11 +110,16 @@ def complete(prompts: DataFrame, backend: Backend, log: str | None = None, batch
                 answers += backend.complete(f["prompt"].iloc[at:at + batch].tolist())
             yield pd.DataFrame({"prompt_hash": f["prompt_hash"], "answer": answers})
 
-    answers = asked.mapInPandas(run, schema)
-    if log is not None:
-        answers.write.mode("append").parquet(log)
-        answers = spark.read.schema(schema).parquet(log).dropDuplicates(["prompt_hash"])
-    return prompts.select("query_id", "prompt_hash").join(answers, "prompt_hash")
+    for w in range(waves):
+        part = waiting.filter(F.pmod(F.xxhash64("prompt_hash"), F.lit(waves)) == w)
+        part.mapInPandas(run, schema).write.mode("append").parquet(log)
+    known = spark.read.schema(schema).parquet(log).groupBy("prompt_hash").agg(F.min("answer").alias("answer"))
+    return prompts.select("query_id", "prompt_hash").join(known, "prompt_hash")
+
+
+def _exists(spark: SparkSession, folder: str) -> bool:
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+    return path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(path)
 
 
 def normalise_answer(answer: Column, target: str) -> Column:

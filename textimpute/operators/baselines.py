@@ -18,6 +18,10 @@ from .dependency import top_value
 from .problem import Task, checked, split
 
 
+#: Target values up to which their table is broadcast.
+MOST_VALUES = 100_000
+
+
 def _parts(df: DataFrame, task: Task) -> tuple[DataFrame, DataFrame]:
     return split(checked(df, task), task)
 
@@ -134,8 +138,9 @@ def probabilistic_repair(df: DataFrame, task: Task, alpha: float = 0.1) -> DataF
     return _best(_naive_bayes(queries, pool, task, alpha))
 
 
-def relational_regression(df: DataFrame, task: Task, max_iter: int = 3, alpha: float = 1.0) -> DataFrame:
-    """A conditional model of the target given the other attributes, refitted with the filled rows until nothing changes.
+def relational_regression(df: DataFrame, task: Task, max_iter: int = 10, alpha: float = 1.0) -> DataFrame:
+    """A conditional model of the target given the other attributes, refitted with the filled rows until nothing changes
+    or max_iter rounds are done.
 
     Each round's answers are checkpointed, so plans do not grow."""
     queries, pool = _parts(df, task)
@@ -176,13 +181,13 @@ def _char_grams(text: str, features: int):
     return grams, HashingTF(inputCol="grams", outputCol="features", numFeatures=features)
 
 
-def finetuned_lm(df: DataFrame, task: Task, mode: str = "multi", features: int = 4096, max_iter: int = 20, max_chars: int = 400) -> DataFrame:
+def finetuned_lm(df: DataFrame, task: Task, mode: str = "multi", features: int = 4096, max_iter: int = 20) -> DataFrame:
     """A light stand-in for a fine-tuned language model: logistic regression on character trigrams.
 
     `multi`: one class per target value. `binary`: scores (row, candidate) pairs and ranks the candidates; its training
     pairs are each complete row with its own value and with one other.
     """
-    text = checked(df, task).withColumn("__t", F.substring(F.concat_ws(" | ", *task.candidates), 1, max_chars))
+    text = checked(df, task).withColumn("__t", F.concat_ws(" | ", *task.candidates))
     grams, tf = _char_grams("__t", features)
     queries, pool = split(text, task)
     if mode == "multi":
@@ -194,8 +199,9 @@ def finetuned_lm(df: DataFrame, task: Task, mode: str = "multi", features: int =
     values = pool.select(F.col(task.target).alias("value")).distinct()
     numbered = values.withColumn("v", F.row_number().over(Window.orderBy("value")) - 1).persist()  # the vocabulary, not the rows
     n = numbered.count()
-    own = pool.join(F.broadcast(numbered), pool[task.target] == F.col("value"))
-    other = own.drop("value").withColumn("v", (F.col("v") + 1 + hash32(F.col(task.row_id), "other") % F.lit(max(1, n - 1))) % n).join(F.broadcast(numbered), "v")
+    side = F.broadcast(numbered) if n <= MOST_VALUES else numbered
+    own = pool.join(side, pool[task.target] == F.col("value"))
+    other = own.drop("value").withColumn("v", (F.col("v") + 1 + hash32(F.col(task.row_id), "other") % F.lit(max(1, n - 1))) % n).join(side, "v")
 
     def crossed(frame: DataFrame) -> DataFrame:
         """Trigrams that a row shares with the candidate, and trigrams marked with the candidate."""
@@ -203,7 +209,7 @@ def finetuned_lm(df: DataFrame, task: Task, mode: str = "multi", features: int =
 
     training = crossed(own.select(task.row_id, "__t", "value", F.lit(1.0).alias("label")).unionByName(other.select(task.row_id, "__t", "value", F.lit(0.0).alias("label"))))
     model = LogisticRegression(maxIter=max_iter, regParam=0.001).fit(training)
-    scored = model.transform(crossed(queries.crossJoin(F.broadcast(numbered)))).select(
+    scored = model.transform(crossed(queries.crossJoin(side))).select(
         F.col(task.row_id).alias("query_id"), "value", F.round(F.get(vector_to_array("probability"), F.lit(1)), 9).alias("score"))
     return _best(scored)
 

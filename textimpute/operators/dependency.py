@@ -31,18 +31,23 @@ def measure(pool: DataFrame, task: Task, mode: str = "maximal", local_chars: int
     A bounded sample (m and n given) whose cells are short is fetched and mined on the driver, which saves several tiny
     jobs: at most m * n rows of cells of local_chars / (m * n) characters. Otherwise each group is mined in a task.
     """
-    if task.m is None or task.n is None:
-        long = unpivot_sample(draw(pool, task), task)
-        patterns = unique_for(mine_frequent(long, task.q, mode), long, task.q, mode)
-        return evaluate(patterns, long, task.p), patterns
+    return measure_each(pool, [task], mode, local_chars)[0]
+
+
+def measure_each(pool: DataFrame, tasks: list[Task], mode: str = "maximal", local_chars: int = LOCAL_CHARS) -> list[tuple[DataFrame, DataFrame]]:
+    """measure() of tasks that differ in p and q only, on one sample."""
+    task = tasks[0]
+    if any(t.but(p=task.p, q=task.q) != task for t in tasks):
+        raise ValueError("tasks may differ in p and q only")
     sample = draw(pool, task)
-    cut = local_chars // (task.m * task.n)
-    rows = sample.select(task.row_id, task.target, *(F.substring(c, 1, cut + 1).alias(c) for c in task.candidates)).collect()  # at most m * n
-    if all(r[c] is None or len(r[c]) <= cut for r in rows for c in task.candidates):
-        return _measured_locally(pool.sparkSession, rows, task, mode)
+    if task.m is not None and task.n is not None:
+        cut = local_chars // (task.m * task.n)
+        rows = sample.select(task.row_id, task.target, *(F.substring(c, 1, cut + 1).alias(c) for c in task.candidates)).collect()  # at most m * n
+        if all(r[c] is None or len(r[c]) <= cut for r in rows for c in task.candidates):
+            return [_measured_locally(pool.sparkSession, rows, t, mode) for t in tasks]
     long = unpivot_sample(sample, task)
-    patterns = unique_for(mine_frequent(long, task.q, mode), long, task.q, mode)
-    return evaluate(patterns, long, task.p), patterns
+    found = [unique_for(mine_frequent(long, t.q, mode), long, t.q, mode) for t in tasks]
+    return [(evaluate(patterns, long, t.p), patterns) for t, patterns in zip(tasks, found)]
 
 
 def _measured_locally(spark, rows: list, task: Task, mode: str) -> tuple[DataFrame, DataFrame]:

@@ -28,9 +28,9 @@ class Imputed:
 
 
 def assemble(df: DataFrame, answers: DataFrame, task: Task) -> DataFrame:
-    """Fills empty target cells only; every other cell stays as it is."""
+    """Fills empty target cells only; every other cell stays as it is. Rows that share a row id get the same answer."""
     flag = f"{task.target}_imputed"
-    found = answers.select(F.col("query_id").alias("__q"), F.col("answer").alias("__a"))
+    found = answers.groupBy(F.col("query_id").alias("__q")).agg(F.min("answer").alias("__a"))
     joined = df.join(found, df[task.row_id] == F.col("__q"), "left")
     empty = F.col(task.target).isNull()
     columns = [F.when(empty, F.col("__a").cast(df.schema[task.target].dataType)).otherwise(F.col(c)).alias(c) if c == task.target else F.col(c) for c in df.columns]

@@ -9,12 +9,32 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.lcs import cell_similarity
+from ..functions.lcs import cell_similarity, lcs_len_arrow
 from ..functions.text import hash32
 from .problem import Task
 
 #: Pairs times characters that a nested-loop comparison may cost before the planner asks for the index.
 PAIR_BUDGET = 1e8
+#: Pairs beyond which a nested loop is refused.
+PAIR_LIMIT = 1e11
+
+
+def guarded(queries: int, rows: int, limit: float = PAIR_LIMIT) -> None:
+    if queries * rows > limit:
+        raise ValueError(f"{queries} queries against {rows} rows are {queries * rows:.3g} pairs, more than {limit:.3g}")
+
+
+def thinned_pool(pool: DataFrame, task: Task, most: int) -> DataFrame:
+    """Approximate mode: at most `most` complete rows of each target value, by hash. To be reported with recall()."""
+    w = Window.partitionBy(task.target).orderBy(hash32(F.col(task.row_id), str(task.seed)), task.row_id)
+    return pool.filter(F.col(task.target).isNotNull()).withColumn("__place", F.row_number().over(w)).filter(F.col("__place") <= most).drop("__place")
+
+
+def recall(found: DataFrame, exact: DataFrame) -> DataFrame:
+    """One row: exact examples, those found with the same similarity or a higher one at the same rank, and their share."""
+    both = exact.select("query_id", "rank", F.col("similarity").alias("of_exact")).join(found.select("query_id", "rank", "similarity"), ["query_id", "rank"], "left")
+    hit = F.coalesce(F.col("similarity") >= F.col("of_exact"), F.lit(False)).cast("long")
+    return both.agg(F.count("*").alias("examples"), F.coalesce(F.sum(hit), F.lit(0)).alias("found"), F.round(F.avg(hit), 6).alias("recall"))
 
 
 def collapse_pool(pool: DataFrame, task: Task, attributes: list[str]) -> DataFrame:
@@ -62,11 +82,18 @@ def longest_cell(df: DataFrame, attributes: list[str]) -> int:
     return max([0, *(x for x in row if x is not None)])
 
 
-def _ranked(scored: DataFrame, k: int, diverse: bool) -> DataFrame:
+def _ranked(scored: DataFrame, k: int, diverse: bool, backfill: bool = False) -> DataFrame:
     """The k best examples of each cells_id; with `diverse` only the best of each target value. Ties: smaller row id.
+    backfill: where there are fewer than k target values, the best of the other rows follow.
 
     Both limits are applied before their shuffles (window group limits)."""
     best_first = [F.desc("similarity"), F.col("example_id")]
+    if diverse and backfill:
+        per_value = Window.partitionBy("cells_id", "target_value").orderBy(*best_first)
+        # of one value at most k rows can be wanted
+        scored = scored.withColumn("__v", F.row_number().over(per_value)).filter(F.col("__v") <= k)
+        per_query = Window.partitionBy("cells_id").orderBy(F.col("__v") > 1, *best_first)
+        return scored.withColumn("rank", F.row_number().over(per_query)).filter(F.col("rank") <= k).drop("__v")
     if diverse:
         per_value = Window.partitionBy("cells_id", "target_value").orderBy(*best_first)
         scored = scored.withColumn("__v", F.row_number().over(per_value)).filter("__v = 1").drop("__v")
@@ -80,14 +107,16 @@ def _for_queries(ranked: DataFrame, queries: DataFrame, task: Task, attributes:
     return keyed.join(ranked, "cells_id").select("query_id", "rank", "example_id", "target_value", "similarity")
 
 
-def retrieve(queries: DataFrame, pool: DataFrame, task: Task, attributes: list[str], k: int | None = None, diverse: bool = True, longest: int | None = None) -> DataFrame:
-    """Compares every distinct query with every distinct pool row (nested loop, the smaller side broadcast)."""
+def retrieve(queries: DataFrame, pool: DataFrame, task: Task, attributes: list[str], k: int | None = None, diverse: bool = True, longest: int | None = None,
+             backfill: bool = False) -> DataFrame:
+    """Compares every distinct query with every distinct pool row (nested loop, the smaller side broadcast).
+    backfill: see _ranked; every complete row then counts, also equal ones."""
     k, attributes = k or task.k, sorted(attributes)
     if longest is None:
         longest = max(longest_cell(queries, attributes), longest_cell(pool, attributes))
-    left, right = collapse_queries(queries, attributes), collapse_pool(pool, task, attributes) if diverse else plain_pool(pool, task, attributes)
+    left, right = collapse_queries(queries, attributes), collapse_pool(pool, task, attributes) if diverse and not backfill else plain_pool(pool, task, attributes)
     scored = left.crossJoin(spread(right)).select("cells_id", "target_value", "example_id", similarity(attributes, longest).alias("similarity"))
-    return _for_queries(_ranked(scored, k, diverse), queries, task, attributes)
+    return _for_queries(_ranked(scored, k, diverse, backfill), queries, task, attributes)
 
 
 def spread(rows: DataFrame) -> DataFrame:
@@ -145,6 +174,7 @@ def retrieve_indexed(queries: DataFrame, pool: DataFrame, task: Task, attributes
     sure = bounds.join(last, "cells_id").filter((F.col("n") >= k) & (F.col("least") > F.col("bound"))).select("cells_id")
     if max_posting is None:
         rest = left.join(sure, "cells_id", "left_anti")
+        guarded(rest.count(), right.count())
         again = _ranked(rest.crossJoin(spread(right)).select("cells_id", "target_value", "example_id", similarity(attributes, longest).alias("similarity")), k, True)
         found = found.join(sure, "cells_id", "left_semi").unionByName(again)
     out = _for_queries(found, queries, task, attributes)
@@ -156,20 +186,32 @@ def retrieve_indexed(queries: DataFrame, pool: DataFrame, task: Task, attributes
 
 
 def retrieve_random(queries: DataFrame, pool: DataFrame, task: Task, k: int | None = None, per: str = "query", deck: int = 1000) -> DataFrame:
-    """Random complete rows: the same k for all queries (per = `run`), or for each query k neighbours in a shuffled deck
-    of the first `deck` rows by hash (the deck is bounded and broadcast). Similarity is null."""
+    """Random complete rows. Similarity is null.
+
+    per = `run`: the same k rows, the first by hash, for all queries (broadcast). per = `query`: all complete rows are dealt
+    by hash into shuffled decks of about `deck` rows; a query draws one deck by its own hash and k neighbours in it, so
+    every row can be drawn and a query meets its deck by an equi-join.
+    """
     k = k or task.k
     seed = str(task.seed)
     known = pool.filter(F.col(task.target).isNotNull()).select(F.col(task.row_id).alias("example_id"), F.col(task.target).alias("target_value"))
-    size = k if per == "run" else deck
-    top = known.withColumn("h", hash32(F.col("example_id"), seed)).orderBy("h", "example_id").limit(size)
-    cards = top.select("example_id", "target_value", (F.row_number().over(Window.orderBy("h", "example_id")) - 1).alias("place"))  # bounded by the deck
-    n = cards.agg(F.count("*").alias("cards"))
-    start = hash32(F.col("query_id"), seed) if per == "query" else F.lit(0).cast("bigint")
-    asked = queries.select(F.col(task.row_id).alias("query_id")).crossJoin(F.broadcast(n)).select(
-        "query_id", "cards", F.explode(F.sequence(F.lit(1), F.least(F.lit(k), F.col("cards")).cast("int"))).alias("rank"), start.alias("start")).filter("cards > 0")
-    return asked.join(F.broadcast(cards), (F.col("start") + F.col("rank") - 1) % F.col("cards") == F.col("place")).select(
-        "query_id", "rank", "example_id", "target_value", F.lit(None).cast("double").alias("similarity"))
+    order = [hash32(F.col("example_id"), seed), F.col("example_id")]
+    asked = queries.select(F.col(task.row_id).alias("query_id"))
+    empty = F.lit(None).cast("double").alias("similarity")
+    if per == "run":
+        top = known.orderBy(*order).limit(k)
+        cards = top.select("example_id", "target_value", F.row_number().over(Window.orderBy(*order)).alias("rank"))  # k rows
+        return asked.crossJoin(F.broadcast(cards)).select("query_id", "rank", "example_id", "target_value", empty)
+    decks = known.agg(F.greatest(F.lit(1), F.floor(F.count("*") / deck)).alias("decks"))  # one row
+    in_deck = lambda key: (hash32(F.col(key), seed, "deck") % F.col("decks")).alias("deck")
+    dealt = known.crossJoin(F.broadcast(decks)).select("example_id", "target_value", in_deck("example_id"))
+    cards = dealt.select("*", (F.row_number().over(Window.partitionBy("deck").orderBy(*order)) - 1).alias("place"))
+    sizes = dealt.groupBy("deck").agg(F.count("*").alias("cards"))
+    drawn = asked.crossJoin(F.broadcast(decks)).select("query_id", in_deck("query_id")).join(sizes, "deck")
+    start = hash32(F.col("query_id"), seed)
+    places = drawn.select("query_id", "deck", "cards", F.explode(F.sequence(F.lit(1), F.least(F.lit(k), F.col("cards")).cast("int"))).alias("rank")).withColumn(
+        "place", (start + F.col("rank") - 1) % F.col("cards"))
+    return places.join(cards, ["deck", "place"]).select("query_id", "rank", "example_id", "target_value", empty)
 
 
 def retrieve_fixed(queries: DataFrame, pool: DataFrame, task: Task, example_ids: list) -> DataFrame:
@@ -182,10 +224,31 @@ def retrieve_fixed(queries: DataFrame, pool: DataFrame, task: Task, example_ids:
 
 
 def retrieve_embedding(queries: DataFrame, pool: DataFrame, row_id: str, vector: str, target: str, k: int, diverse: bool = False) -> DataFrame:
-    """The contrast: cosine similarity of vectors."""
+    """The contrast: cosine similarity of vectors, all pairs; refused beyond PAIR_LIMIT."""
+    guarded(queries.count(), pool.count())
     dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
     norm = lambda a: F.sqrt(dot(a, a))
     left = queries.select(F.col(row_id).alias("cells_id"), F.col(vector).alias("a"), norm(F.col(vector)).alias("na"))
     right = pool.select(F.col(row_id).alias("example_id"), F.col(target).cast("string").alias("target_value"), F.col(vector).alias("b"), norm(F.col(vector)).alias("nb"))
     scored = left.crossJoin(right).select("cells_id", "target_value", "example_id", F.round(dot(F.col("a"), F.col("b")) / (F.col("na") * F.col("nb")), 6).alias("similarity"))
     return _ranked(scored, k, diverse).select(F.col("cells_id").alias("query_id"), "rank", "example_id", "target_value", "similarity")
+
+
+def shared_passages(queries: DataFrame, pool: DataFrame, query_id: str, row_id: str, text: str = "text", least: int = 100, most_blocks: int = 1_000_000) -> DataFrame:
+    """Long cells: (query_id, row_id, length) of all pairs whose longest common substring has at least `least` characters.
+
+    A common substring of that length holds a whole block of the query's text, cut every half of `least` characters. The
+    blocks' hashes meet those of every window of the other texts: a broadcast while there are at most most_blocks, else a
+    shuffle. Surviving pairs are measured exactly. Null texts share nothing.
+    """
+    width = (least + 1) // 2
+    blocks = queries.filter(F.length(text) >= width).select(
+        F.col(query_id).alias("query_id"), F.explode(F.sequence(F.lit(1), F.length(text) - width + 1, F.lit(width))).alias("at"), F.col(text).alias("t")).select(
+        "query_id", F.xxhash64(F.substring("t", F.col("at"), F.lit(width))).alias("window"))
+    n = blocks.count()
+    windows = F.transform(F.sequence(F.lit(1), F.length(text) - width + 1), lambda i: F.xxhash64(F.substring(text, i, F.lit(width))))
+    there = pool.filter(F.length(text) >= width).select(F.col(row_id).alias("row_id"), F.explode(F.array_distinct(windows)).alias("window"))
+    pairs = there.join(F.broadcast(blocks) if n <= most_blocks else blocks, "window").select("query_id", "row_id").distinct()
+    cells = pairs.join(queries.select(F.col(query_id).alias("query_id"), F.col(text).alias("a")), "query_id").join(
+        pool.select(F.col(row_id).alias("row_id"), F.col(text).alias("b")), "row_id")
+    return spread(cells).select("query_id", "row_id", lcs_len_arrow("a", "b").cast("long").alias("length")).filter(F.col("length") >= least)

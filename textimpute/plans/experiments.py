@@ -149,7 +149,7 @@ if __name__ == "__main__":
     session = SparkSession.builder.master("local[*]").config("spark.sql.shuffle.partitions", "8").config("spark.driver.memory", "8g").config("spark.ui.enabled", "false").config("spark.ui.showConsoleProgress", "false").getOrCreate()
     session.sparkContext.setLogLevel("ERROR")
     tables.ship(session)
-    Q._checkpoints(session)
+    tables.shared_folder(session, "experiments")  # sets the checkpoint folder
     text = report(session, sys.argv[1])
     if len(sys.argv) > 2:
         with open(sys.argv[2], "w") as f:

@@ -166,9 +166,18 @@ _grid = [f"g{i} AS ({verdict(0.5).replace('uniq', f'uniq{i}')})" for i in range(
 _freq = ", ".join(f"""freq{i} AS (SELECT attribute, target_value, pattern FROM counts WHERE support >= {q}::DOUBLE * group_rows),
 uniq{i} AS (SELECT * FROM freq{i} WHERE (attribute, pattern) IN (SELECT (attribute, pattern) FROM freq{i} GROUP BY attribute, pattern HAVING count(*) = 1))""" for i, q in enumerate((0.25, 0.5, 0.75)))
 _cells = " UNION ALL ".join(f"SELECT {p}::DOUBLE AS p, {q}::DOUBLE AS q, count(*) FILTER (covered/groups >= {p}) AS kept FROM g{i}" for i, q in enumerate((0.25, 0.5, 0.75)) for p in (0.25, 0.5, 0.75))
-_zero = " UNION ALL ".join(f"SELECT {p}::DOUBLE, {q}::DOUBLE, 5" for p, q in [(0, 0), (0, 0.25), (0, 0.5), (0, 0.75), (0.25, 0), (0.5, 0), (0.75, 0)])
-oracle("pq_grid_attribute_counts", f"""WITH {GEO}, {long_form('geo', 'c_custkey', 'n_name', SHORT)}, {mined(0.75).split('freq AS')[0]}
-counts AS (SELECT attribute, target_value, pattern, count(*) AS support, group_rows FROM grams JOIN sizes_ USING (attribute, target_value) GROUP BY ALL), {_freq}, {', '.join(_grid)} {_cells} UNION ALL {_zero}""")
+_zero = lambda n: " UNION ALL ".join(f"SELECT {p}::DOUBLE, {q}::DOUBLE, {n}" for p, q in [(0, 0), (0, 0.25), (0, 0.5), (0, 0.75), (0.25, 0), (0.5, 0), (0.75, 0)])
+
+
+def grid(table: str, key: str, columns: list[str]) -> str:
+    """CTEs and rows (p, q, kept) of the grid."""
+    return f"""{long_form(table, key, 'n_name', columns)}, {mined(0.75).split('freq AS')[0]}
+counts AS (SELECT attribute, target_value, pattern, count(*) AS support, group_rows FROM grams JOIN sizes_ USING (attribute, target_value) GROUP BY ALL), {_freq}, {', '.join(_grid)} {_cells} UNION ALL {_zero(len(columns))}"""
+
+
+oracle("pq_grid_attribute_counts", f"WITH {GEO}, {grid('geo', 'c_custkey', SHORT)}")
+_five = " UNION ALL ".join(f"(WITH {group_sample('wide', 'row_id', 'n_name', 10, 10, str(x))}, {grid('sample', 'row_id', WIDE_COLUMNS)})" for x in range(1, 6))
+oracle("wide_pq_grid", f"WITH {WIDE}, runs AS ({_five}) SELECT p, " + ", ".join(f"round(avg(kept) FILTER (q = {x / 100}), 6) AS q_{x}" for x in (0, 25, 50, 75)) + " FROM runs GROUP BY p")
 _fd = lambda a: f"SELECT count(*) AS values, count(*) FILTER (n > 1) AS violating_values, max(n) <= 1 AS holds, '{a}' AS attribute FROM (SELECT {a}, count(DISTINCT n_name) AS n FROM geo GROUP BY 1)"
 oracle("fd_strict", f"WITH {GEO} {_fd('c_phone')} UNION ALL {_fd('c_mktsegment')}")
 _fv = lambda a: f"SELECT sum(r)::BIGINT AS rows, round(1 - sum(k)/sum(r), 6) AS violation_rate, '{a}' AS attribute FROM (SELECT {a}, sum(n) AS r, max(n) AS k FROM (SELECT {a}, p_brand, count(*) AS n FROM part GROUP BY 1,2) GROUP BY 1)"
@@ -207,6 +216,20 @@ for _k in (1, 2, 3, 10):
 oracle("topk_plain_k3", f"WITH {topk(3, diverse=False)} SELECT * FROM ex")
 ORACLES["topk_indexed_k3"] = ORACLES["topk_diverse_k3"]
 ORACLES["topk_blocks_k3"] = ORACLES["topk_diverse_k3"]
+_ONE = similar([("q.s_phone", "p.s_phone")])
+REGION = f"""reg AS (SELECT s_suppkey, r_name AS n_name, {phone('s_suppkey', 's_nationkey')} AS s_phone, s_name FROM supplier JOIN nation ON s_nationkey=n_nationkey JOIN region ON n_regionkey=r_regionkey),
+{masked(mcar(10, 's_suppkey'), 'reg')}, queries AS (SELECT * FROM masked WHERE n_name IS NULL), pool AS (SELECT * FROM masked WHERE n_name IS NOT NULL)"""
+oracle("topk_backfill_k10", f"""WITH {REGION}, scored AS (SELECT q.s_suppkey AS query_id, p.s_suppkey AS example_id, p.n_name AS target_value, {_ONE} AS similarity FROM queries q CROSS JOIN pool p),
+best AS (SELECT *, row_number() OVER (PARTITION BY query_id, target_value ORDER BY similarity DESC, example_id) > 1 AS again FROM scored)
+SELECT query_id, (row_number() OVER (PARTITION BY query_id ORDER BY again, similarity DESC, example_id))::INT AS rank, example_id, target_value, similarity FROM best QUALIFY rank <= 10""")
+_thin = SUPPLY.replace("pool AS (SELECT * FROM masked WHERE n_name IS NOT NULL)", f"pool AS (SELECT * FROM masked WHERE n_name IS NOT NULL QUALIFY row_number() OVER (PARTITION BY n_name ORDER BY {h('s_suppkey', '1')}, s_suppkey) <= 2)")
+oracle("topk_thinned_recall", f"""WITH e AS (WITH {topk(3)} SELECT * FROM ex), f AS (WITH {topk(3, setup=_thin)} SELECT * FROM ex),
+j AS (SELECT coalesce(f.similarity >= e.similarity, false)::INT AS hit FROM e LEFT JOIN f USING (query_id, rank)) SELECT count(*) AS examples, sum(hit)::BIGINT AS found, round(avg(hit), 6) AS recall FROM j""")
+_first = lambda setup: f"(WITH {topk(1, setup=setup)} SELECT m.s_suppkey, coalesce(n_name, target_value) AS v, n_name IS NULL AND target_value IS NOT NULL AS filled, s_phone, s_name FROM masked m LEFT JOIN ex ON query_id = s_suppkey)"
+oracle("impute_two_targets", f"SELECT s_suppkey, a.v AS n_name, a.s_phone, a.s_name, b.v AS r_name, a.filled AS n_name_imputed, b.filled AS r_name_imputed FROM {_first(SUPPLY)} a JOIN {_first(REGION)} b USING (s_suppkey)")
+oracle("long_cell_passages", """WITH near AS (SELECT item_id, doc_id, b.text AS a, d.text AS t FROM benchmark b CROSS JOIN documents d
+WHERE EXISTS (SELECT 1 FROM range(1, length(b.text) - 98) s(i) WHERE contains(d.text, substr(b.text, s.i, 100))))
+SELECT item_id, doc_id, (SELECT max(l.n) FROM range(100, length(a)+1) l(n), range(1, length(a)+1) s(i) WHERE s.i + l.n - 1 <= length(a) AND contains(t, substr(a, s.i, l.n))) AS length FROM near""")
 oracle("retrieval_work", f"""WITH {MASKED}, a AS (SELECT count(DISTINCT c_phone) AS queries FROM masked WHERE n_name IS NULL), p AS (SELECT DISTINCT c_phone, n_name FROM masked WHERE n_name IS NOT NULL),
 b AS (SELECT count(*) AS pool_rows, (SELECT count(*) FROM (SELECT DISTINCT n_name, length(c_phone) FROM p)) AS automata FROM p)
 SELECT queries, pool_rows, queries * pool_rows AS pairs, queries * automata AS walks FROM a CROSS JOIN b""")
@@ -241,12 +264,20 @@ _holes = SUPPLY.replace("queries AS (SELECT * FROM masked", f"holes AS (SELECT *
 oracle("topk_null_cells", f"WITH {topk(3, SIM2, setup=_holes)} SELECT * FROM ex")
 
 
+def drawn(k: int, deck: int = 1000) -> str:
+    """CTE ex: k neighbours in the shuffled deck that a query draws."""
+    return f"""decks AS (SELECT greatest(1, count(*) // {deck}) AS d FROM pool),
+cards AS (SELECT s_suppkey AS example_id, n_name AS target_value, {h('s_suppkey', '1', 'deck')} % d AS deck, {h('s_suppkey', '1')} AS x FROM pool CROSS JOIN decks),
+placed AS (SELECT *, row_number() OVER (PARTITION BY deck ORDER BY x, example_id) - 1 AS place, count(*) OVER (PARTITION BY deck) AS c FROM cards),
+ex AS (SELECT q.s_suppkey AS query_id, r.i::INT AS rank, example_id, target_value FROM queries q CROSS JOIN decks CROSS JOIN range(1, {k} + 1) r(i)
+JOIN placed ON deck = {h('q.s_suppkey', '1', 'deck')} % d AND ({h('q.s_suppkey', '1')} + r.i - 1) % c = place AND r.i <= c)"""
+
+
 def cards(n: int) -> str:
     return f"cards AS (SELECT s_suppkey AS example_id, n_name AS target_value, row_number() OVER (ORDER BY {h('s_suppkey', '1')}, s_suppkey) - 1 AS place FROM pool QUALIFY place < {n}), many AS (SELECT count(*) AS c FROM cards)"
 
 
-oracle("topk_random", f"""WITH {SUPPLY}, {cards(1000)} SELECT q.s_suppkey AS query_id, r.i::INT AS rank, example_id, target_value
-FROM queries q CROSS JOIN range(1,4) r(i) CROSS JOIN many JOIN cards ON ({h('q.s_suppkey', '1')} + r.i - 1) % many.c = place""")
+oracle("topk_random", f"WITH {SUPPLY}, {drawn(3)} SELECT * FROM ex")
 RUN3 = f"{SUPPLY}, {cards(3)}, ex AS (SELECT q.s_suppkey AS query_id, (place+1)::INT AS rank, example_id, target_value FROM queries q CROSS JOIN cards)"
 oracle("topk_random_run", f"WITH {RUN3} SELECT * FROM ex")
 oracle("topk_fixed", f"WITH {SUPPLY} SELECT q.s_suppkey AS query_id, CASE p.s_suppkey WHEN 2 THEN 1 WHEN 3 THEN 2 ELSE 3 END AS rank, p.s_suppkey AS example_id, p.n_name AS target_value FROM queries q JOIN pool p ON p.s_suppkey IN (2,3,5)")
@@ -301,7 +332,7 @@ oracle("allattr_prompt", f"WITH {RUN3}, {VOTE.format(w='1.0')} SELECT * FROM vot
 # ------------------------------------------------------------------ measures and workloads
 oracle("exact_match", f"WITH {topk(1)} SELECT count(*) AS cells, round(avg((coalesce(e.target_value = q.truth,false))::INT::DOUBLE),6) AS exact_match, round(avg((coalesce(lower(trim(e.target_value)) = lower(trim(q.truth)),false))::INT::DOUBLE),6) AS normalised FROM queries q LEFT JOIN ex e ON e.query_id=q.s_suppkey")
 _tok = lambda x: f"list_filter(regexp_split_to_array(lower({x}), '[^\\p{{L}}\\p{{N}}]+'), lambda w: w <> '')"
-oracle("rouge1", f"""WITH b AS (SELECT item_id, {_tok("substr(text,1,100)||' '||substr(text,1,40)")} AS p, {_tok('text')} AS t FROM benchmark),
+oracle("rouge1", f"""WITH b AS (SELECT t.item_id, {_tok("coalesce(a.text, '')")} AS p, {_tok('t.text')} AS t FROM benchmark t LEFT JOIN benchmark a ON a.item_id + 1 = t.item_id),
 c AS (SELECT item_id, len(p) AS np, len(t) AS nt, (SELECT coalesce(sum(least(len(list_filter(p, lambda x: x = w.u)), len(list_filter(t, lambda x: x = w.u)))),0) FROM (SELECT unnest(list_distinct(p)) AS u) w) AS both_ FROM b)
 SELECT round(avg(CASE WHEN np>0 THEN both_/np ELSE 0 END),6) AS rouge1_precision, round(avg(CASE WHEN nt>0 THEN both_/nt ELSE 0 END),6) AS rouge1_recall, round(avg(CASE WHEN both_>0 THEN 2*both_/(np+nt) ELSE 0 END),6) AS rouge1_f1 FROM c""")
 def arm(name: str, k: int, sim: str | None) -> str:
@@ -327,3 +358,20 @@ oracle("stream_window_counts", "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d
 oracle("stream_session_counts", """WITH g AS (SELECT user_id, ts, CASE WHEN ts >= lag(ts) OVER w + INTERVAL 30 MINUTE THEN 1 ELSE 0 END AS cut FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
 s AS (SELECT user_id, ts, sum(cut) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS n FROM g)
 SELECT user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S') AS session_start, count(*) AS events FROM s GROUP BY user_id, n""")
+_deal = f"cards AS (SELECT n_name AS target_value, row_number() OVER (ORDER BY {h('c_custkey', '1')}, c_custkey) AS rank FROM p QUALIFY rank <= 10)"
+_one_answer = lambda pick: f"(SELECT count(*) AS cells, round(avg((truth = a)::INT::DOUBLE), 6) AS exact_match FROM q CROSS JOIN ({pick}))"
+_em = "(SELECT count(*) AS cells, round(avg((coalesce(answer = truth, false))::INT::DOUBLE), 6) AS exact_match FROM q LEFT JOIN {} ON query_id = c_custkey)"
+oracle("small_model_comparison", f"""{_vote}, {_deal}
+SELECT 'all attributes, random' AS method, 'weak' AS backend, * FROM {_one_answer('SELECT target_value AS a FROM cards WHERE rank = 1')}
+UNION ALL SELECT 'all attributes, random', 'strong', * FROM {_one_answer('SELECT target_value AS a FROM cards GROUP BY 1 ORDER BY count(*) DESC, min(rank) LIMIT 1')}
+UNION ALL SELECT 'localized', 'weak', * FROM {_em.format('one')} UNION ALL SELECT 'localized', 'strong', * FROM {_em.format('vote')}""")
+oracle("order_ranks", """SELECT o_orderkey, o_custkey, row_number() OVER w AS place, ntile(4) OVER w AS quarter, rank() OVER s AS status_rank, dense_rank() OVER s AS status_dense_rank FROM orders
+WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey), s AS (PARTITION BY o_custkey ORDER BY o_orderstatus)""")
+oracle("order_windows", """SELECT o_orderkey, lag(o_orderkey) OVER w AS before, lead(o_orderkey) OVER w AS after, first_value(o_orderkey) OVER w AS first,
+round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS UNBOUNDED PRECEDING), 2) AS running FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)""")
+oracle("segment_rollup", f"WITH {GEO} SELECT r_name, c_mktsegment, count(*) AS customers FROM geo GROUP BY ROLLUP (r_name, c_mktsegment)")
+oracle("segment_grouping_sets", f"WITH {GEO} SELECT r_name, c_mktsegment, count(*) AS customers, count(DISTINCT n_name) AS nations FROM geo GROUP BY GROUPING SETS ((r_name), (c_mktsegment), ())")
+oracle("distinct_values", f"WITH {GEO} " + " UNION ALL ".join(f"SELECT '{c}' AS attribute, count(DISTINCT {c}) AS exact, true AS within FROM geo" for c in ("c_phone", "c_name", "n_name")))
+oracle("event_properties", "SELECT event_type, count(*) AS events, sum((props::JSON->>'k')::BIGINT)::BIGINT AS sum_k, max((props::JSON->>'k')::BIGINT) AS max_k FROM events GROUP BY 1")
+_pair_of = lambda x: f"(WITH {group_sample('geo', 'c_custkey', 'n_name', 10, 10, x)} SELECT DISTINCT n_name, c_mktsegment FROM sample)"
+oracle("pool_set_operations", f"WITH {GEO}, a AS {_pair_of('1')}, b AS {_pair_of('2')} SELECT *, 'both' AS part FROM (SELECT * FROM a INTERSECT SELECT * FROM b) UNION ALL SELECT *, 'first' FROM (SELECT * FROM a EXCEPT SELECT * FROM b)")

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from ..operators.blocks import retrieve_blocks
 from ..operators.problem import Task
-from ..operators.retrieval import PAIR_BUDGET, retrieve, retrieve_indexed
+from ..operators.retrieval import PAIR_BUDGET, PAIR_LIMIT, retrieve, retrieve_indexed
 
 
 #: Pairs up to which a nested loop is quicker than building automata.
@@ -22,6 +22,7 @@ class RetrievalPlan:
     longest: int
     g: int
     reason: str
+    cost: float = 0.0  # pairs times characters
 
 
 def choose_retrieval(queries: DataFrame, pool: DataFrame, attributes: list[str], budget: float = PAIR_BUDGET) -> RetrievalPlan:
@@ -38,10 +39,10 @@ def choose_retrieval(queries: DataFrame, pool: DataFrame, attributes: list[str],
     cost = a["n"] * b["n"] * max(1.0, mean)
     g = max(3, min(12, int(mean / max(1, n) / 3)))
     if n == 1 and a["n"] * b["n"] > FEW_PAIRS:
-        return RetrievalPlan("blocks", longest, g, f"one attribute and {a['n'] * b['n']:.3g} pairs")
+        return RetrievalPlan("blocks", longest, g, f"one attribute and {a['n'] * b['n']:.3g} pairs", cost)
     if cost <= budget:
-        return RetrievalPlan("nested", longest, g, f"{cost:.3g} character pairs are within {budget:.3g}")
-    return RetrievalPlan("indexed", longest, g, f"{cost:.3g} character pairs exceed {budget:.3g}")
+        return RetrievalPlan("nested", longest, g, f"{cost:.3g} character pairs are within {budget:.3g}", cost)
+    return RetrievalPlan("indexed", longest, g, f"{cost:.3g} character pairs exceed {budget:.3g}", cost)
 
 
 def retrieve_planned(queries: DataFrame, pool: DataFrame, task: Task, attributes: list[str], diverse: bool = True) -> DataFrame:
@@ -50,4 +51,6 @@ def retrieve_planned(queries: DataFrame, pool: DataFrame, task: Task, attributes
         return retrieve_blocks(queries, pool, task, attributes[0])
     if plan.way == "indexed" and diverse:
         return retrieve_indexed(queries, pool, task, attributes, g=plan.g, longest=plan.longest)
+    if plan.cost > PAIR_LIMIT:
+        raise ValueError(f"a nested comparison would cost {plan.cost:.3g} character pairs, more than {PAIR_LIMIT:.3g}")
     return retrieve(queries, pool, task, attributes, diverse=diverse, longest=plan.longest)

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from ..functions.lcs import lcs_len_arrow, lcs_len_expr, lcs_str
 from ..functions.text import hash32
 from ..operators import backends, baselines, blocks, dependency, metrics, missingness, patterns, problem, prompting, retrieval, sampling
-from ..operators.impute import explain, impute
+from ..operators.impute import explain, impute, impute_many
 from ..operators.problem import Task
 from ..sources import tables
 from ..streaming import stream
@@ -48,6 +48,18 @@ def supply_parts(spark: SparkSession, sf_dir: str, seed: int = 1, rate: float =
     return masked, queries, pool, truth
 
 
+REGIONS = Task("r_name", "s_suppkey", ("s_phone",), m=None, n=None)
+
+
+def _regions(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(suppliers with their regions, a tenth of them missing; queries; pool)."""
+    nation, region = tables.load(spark, sf_dir, "nation"), tables.load(spark, sf_dir, "region")
+    of_nation = nation.join(region, F.col("n_regionkey") == F.col("r_regionkey")).select(F.col("n_name").alias("nation"), "r_name")
+    table = suppliers(spark, sf_dir).join(of_nation, F.col("n_name") == F.col("nation")).drop("nation", "n_name")
+    masked, _ = missingness.mask_mcar(table, REGIONS, 0.1, 1)
+    return masked, *problem.split(masked, REGIONS)
+
+
 def geo_masked(spark: SparkSession, sf_dir: str, rate: float = 0.1, seed: int = 1) -> tuple[DataFrame, DataFrame]:
     return missingness.mask_mcar(tables.geo_customer(spark, sf_dir), GEO, rate, seed)
 
@@ -306,8 +318,8 @@ def _(spark, d):
 def pq_grid(df: DataFrame, task: Task) -> DataFrame:
     """(p, q, kept): number of attributes kept in each cell of the grid; a row or column of 0 keeps all."""
     parts = []
-    for q in GRID:
-        f = _fractions(df, task.but(q=q))
+    measured = dependency.measure_each(problem.checked(df, task).filter(F.col(task.target).isNotNull()), [task.but(q=q) for q in GRID])
+    for q, (f, _) in zip(GRID, measured):
         for p in GRID:
             parts.append(f.agg(F.sum((F.col("covered") / F.col("groups") >= p).cast("long")).alias("kept")).select(F.lit(p).alias("p"), F.lit(q).alias("q"), "kept"))
     spark, n = df.sparkSession, len(task.candidates)
@@ -321,6 +333,15 @@ def _(spark, d):
     return pq_grid(tables.geo_customer(spark, d), SHORT_GEO.but(m=None, n=None))
 
 
+@query("wide_pq_grid")
+def _(spark, d):
+    """Mean number of the 16 attributes kept over five seeded samples: a row for each p, a column for each q."""
+    wide = tables.wide_orders(spark, d)
+    runs = reduce(DataFrame.unionByName, [pq_grid(wide, Task("n_name", "row_id", tables.WIDE_CANDIDATES, seed=seed)) for seed in range(1, 6)])
+    per = runs.coalesce(8).withColumn("q", F.concat(F.lit("q_"), (F.col("q") * 100).cast("int")))
+    return per.groupBy("p").pivot("q", ["q_0", "q_25", "q_50", "q_75"]).agg(F.round(F.avg("kept"), 6))
+
+
 @query("fd_strict")
 def _(spark, d):
     geo = tables.geo_customer(spark, d)
@@ -377,6 +398,21 @@ def _(spark, d):
     return _topk(spark, d, 3, diverse=False)
 
 
+@query("topk_backfill_k10")
+def _(spark, d):
+    """Ten examples although there are fewer regions: the best of each region first, then the best other rows."""
+    _, queries, pool = _regions(spark, d)
+    return retrieval.retrieve(queries, pool, REGIONS, ["s_phone"], 10, backfill=True)
+
+
+@query("topk_thinned_recall")
+def _(spark, d):
+    """The approximate mode (at most two rows of each target value) against the exact examples."""
+    _, queries, pool, _ = supply_parts(spark, d)
+    exact = retrieval.retrieve(queries, pool, SUPPLY, ["s_phone"], 3)
+    return retrieval.recall(retrieval.retrieve(queries, retrieval.thinned_pool(pool, SUPPLY, 2), SUPPLY, ["s_phone"], 3), exact)
+
+
 @query("topk_indexed_k3")
 def _(spark, d):
     _, queries, pool, _ = supply_parts(spark, d)
@@ -509,6 +545,21 @@ def _(spark, d):
     return result.answers
 
 
+@query("impute_two_targets")
+def _(spark, d):
+    """Nations and regions missing in the same rows, filled one after the other by the nearest example."""
+    masked, _, _, _ = supply_parts(spark, d)
+    both = masked.drop("is_masked").join(_regions(spark, d)[0].select("s_suppkey", "r_name"), "s_suppkey")
+    return impute_many(both, [SUPPLY.but(k=1), REGIONS.but(k=1)], backend="nearest_vote", attributes=["s_phone"])
+
+
+@query("long_cell_passages")
+def _(spark, d):
+    """Benchmark items and documents that share a passage of 100 characters or more, with its length."""
+    items, docs = tables.load(spark, d, "benchmark"), tables.load(spark, d, "documents")
+    return retrieval.shared_passages(items, docs, "item_id", "doc_id").select(F.col("query_id").alias("item_id"), F.col("row_id").alias("doc_id"), "length")
+
+
 @query("explain_rows")
 def _(spark, d):
     masked, _, _, _ = supply_parts(spark, d)
@@ -564,18 +615,10 @@ def _(spark, d):
 
 @query("relational_regression")
 def _(spark, d):
-    _checkpoints(spark)
+    tables.shared_folder(spark, "regression")  # rounds are checkpointed
     return baselines.relational_regression(geo_masked(spark, d)[0], GEO.but(candidates=("r_name", "c_mktsegment", "c_phone")))
 
 
-def _checkpoints(spark: SparkSession) -> None:
-    """Uses the session's checkpoint folder; sets one only where there is none (tests)."""
-    if not spark.sparkContext.getCheckpointDir():
-        import tempfile
-
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="textimpute-"))
-
-
 @query("few_label_corrector")
 def _(spark, d):
     return baselines.few_label_corrector(geo_masked(spark, d)[0], GEO)
@@ -613,10 +656,10 @@ def _(spark, d):
 
 @query("rouge1")
 def _(spark, d):
-    docs = tables.load(spark, d, "benchmark")
-    pairs = docs.select(F.col("item_id").alias("query_id"), F.col("text").alias("truth"),
-                        F.concat(F.substring("text", 1, 100), F.lit(" "), F.substring("text", 1, 40)).alias("answer"))
-    return metrics.rouge1(pairs)
+    """Long answers: each benchmark item judged by the item before it."""
+    items = tables.load(spark, d, "benchmark").select(F.col("item_id").alias("query_id"), F.col("text").alias("truth"))
+    before = items.select((F.col("query_id") + 1).alias("query_id"), F.col("truth").alias("answer"))
+    return metrics.rouge1(items.join(before, "query_id", "left"))
 
 
 def _geo_right(spark, d, rate: float = 0.1, seed: int = 1) -> DataFrame:
@@ -674,6 +717,18 @@ def _(spark, d):
     return reduce(DataFrame.unionByName, parts)
 
 
+@query("small_model_comparison")
+def _(spark, d):
+    """All attributes with random examples against the method, each with a weak and a strong evidence backend."""
+    masked, truth = geo_masked(spark, d)
+    arms_of = (("all attributes, random", "weak", dict(backend="nearest_vote", examples="random_run", attributes=list(GEO.candidates))),
+               ("all attributes, random", "strong", dict(backend="weighted_vote", examples="random_run", attributes=list(GEO.candidates))),
+               ("localized", "weak", dict(backend="nearest_vote")), ("localized", "strong", dict(backend="pattern_vote")))
+    parts = [metrics.exact_match(metrics.judged(impute(masked, GEO, **options).answers, truth, "c_custkey")).select(
+        F.lit(method).alias("method"), F.lit(backend).alias("backend"), "cells", "exact_match") for method, backend, options in arms_of]
+    return reduce(DataFrame.unionByName, parts)
+
+
 @query("rouge1_answers")
 def _(spark, d):
     return metrics.rouge1(_geo_right(spark, d))
@@ -688,6 +743,58 @@ def _(spark, d):
     return reduce(DataFrame.unionByName, parts)
 
 
+# ------------------------------------------------------------------ summaries that users of the tables need
+@query("order_ranks")
+def _(spark, d):
+    w = Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")
+    per_status = Window.partitionBy("o_custkey").orderBy("o_orderstatus")
+    return tables.load(spark, d, "orders").select("o_orderkey", "o_custkey", F.row_number().over(w).alias("place"), F.ntile(4).over(w).alias("quarter"),
+                                                  F.rank().over(per_status).alias("status_rank"), F.dense_rank().over(per_status).alias("status_dense_rank"))
+
+
+@query("order_windows")
+def _(spark, d):
+    w = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+    so_far = w.rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    return tables.load(spark, d, "orders").select("o_orderkey", F.lag("o_orderkey").over(w).alias("before"), F.lead("o_orderkey").over(w).alias("after"),
+                                                  F.first_value("o_orderkey").over(w).alias("first"), F.round(F.sum("o_totalprice").over(so_far), 2).alias("running"))
+
+
+@query("segment_rollup")
+def _(spark, d):
+    return tables.geo_customer(spark, d).rollup("r_name", "c_mktsegment").agg(F.count("*").alias("customers"))
+
+
+@query("segment_grouping_sets")
+def _(spark, d):
+    return spark.sql("""SELECT r_name, c_mktsegment, count(*) AS customers, count(DISTINCT n_name) AS nations FROM {geo}
+                        GROUP BY GROUPING SETS ((r_name), (c_mktsegment), ())""", geo=tables.geo_customer(spark, d))
+
+
+@query("distinct_values")
+def _(spark, d):
+    """Exact numbers of distinct values, and whether the sketches with a deviation of 1 % come within 5 % of them."""
+    geo, parts = tables.geo_customer(spark, d), []
+    for c in ("c_phone", "c_name", "n_name"):
+        parts.append(geo.agg(F.countDistinct(c).alias("exact"), F.approx_count_distinct(c, 0.01).alias("sketch")).select(
+            F.lit(c).alias("attribute"), "exact", (F.abs(F.col("sketch") - F.col("exact")) <= 0.05 * F.col("exact")).alias("within")))
+    return reduce(DataFrame.unionByName, parts)
+
+
+@query("event_properties")
+def _(spark, d):
+    props = F.from_json("props", "map<string,long>")
+    return tables.load(spark, d, "events").groupBy("event_type").agg(F.count("*").alias("events"), F.sum(props["k"]).alias("sum_k"), F.max(F.get_json_object("props", "$.k").cast("long")).alias("max_k"))
+
+
+@query("pool_set_operations")
+def _(spark, d):
+    """Phone codes' texts of two samples: in both, and in the first only."""
+    geo = tables.geo_customer(spark, d)
+    a, b = (sampling.sample_groups(geo, GEO.but(seed=seed)).select("n_name", "c_mktsegment") for seed in (1, 2))
+    return a.intersect(b).withColumn("part", F.lit("both")).unionByName(a.distinct().exceptAll(b.distinct()).withColumn("part", F.lit("first")))
+
+
 @query("stream_window_counts")
 def _(spark, d):
     events = tables.load(spark, d, "events")

@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 import os
+import re
 import tempfile
+import uuid
 import zipfile
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -21,6 +23,19 @@ def load_typed(spark: SparkSession, path: str, schema: str, fmt: str = "csv", **
     return spark.read.format(fmt).schema(schema).options(**({"header": True} if fmt == "csv" else {}) | options).load(path)
 
 
+def shared_folder(spark: SparkSession, label: str) -> str:
+    """A fresh path in the folder that driver and executors share: that of spark.checkpoint.dir. Only where driver and
+    executors are one process may it be unset; then an own folder is set."""
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    if not base:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+        base = tempfile.mkdtemp(prefix="textimpute-shared-")
+    if not spark.sparkContext.getCheckpointDir():
+        spark.sparkContext.setCheckpointDir(base)
+    return f"{base.rstrip('/')}/{label}-{uuid.uuid4().hex}"
+
+
 def save_evidence(patterns: DataFrame, path: str) -> None:
     """Patterns as Parquet, one folder an attribute, so that a later read prunes to the attributes it needs."""
     patterns.write.mode("overwrite").partitionBy("attribute").parquet(path)
