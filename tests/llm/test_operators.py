@@ -89,6 +89,18 @@ def test_language_edges(spark):
     assert langid.predicted(docs_of(spark, ODD).limit(0), model).count() == 0
 
 
+def test_language_learns_where_a_passage_is_common_to_all_languages(spark):
+    rng = random.Random(4)
+    line = speak(rng, 6)
+    rows = [(k, " ".join([line] * 5) + " " + speak(rng, 3, stem="qxwz"[k % 4]), f"l{k % 4}") for k in range(800)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = langid.fit(docs)
+    got = langid.predicted(docs, model).collect()
+    assert np.isfinite(model.table).all() and math.isfinite(model.threshold)
+    assert all(0 <= r["score"] <= 1 for r in got)
+    assert sum(r["lang_pred"] == r["lang"] for r in got) > 0.95 * len(got)
+
+
 # ---------------------------------------------------------------- packing
 def test_encoder_equals_the_tokenizer_file():
     e = packing.Encoder()

@@ -33,6 +33,9 @@ DIM = 12
 MAX_TRAIN = 2000
 LEAST_EACH = 20
 BLOCK = 1 << 19
+#: Greatest norm of one training step of the embeddings or of the layer. Batches are summed, so that many copies of one
+#: passage in a batch, under different languages, would else make steps that overshoot and grow without bound.
+MAX_STEP = 1.0
 
 _letters: list[np.ndarray] = []
 
@@ -88,6 +91,11 @@ class Model:
         return langs, scores
 
 
+def bounded(step: np.ndarray) -> np.ndarray:
+    """The step, shortened to a norm of MAX_STEP if it is longer."""
+    return step * np.float32(min(1.0, MAX_STEP / max(float(np.linalg.norm(step)), 1e-12)))
+
+
 def _views(text: bytes, key: int) -> list[np.ndarray]:
     """The whole text and three windows of it whose place follows from key."""
     c = code_points(text)
@@ -155,11 +163,11 @@ def fit(labelled: DataFrame, max_train: int = MAX_TRAIN, epochs: int = 12, rate:
             p /= p.sum(1, keepdims=True)
             p[np.arange(len(some)), [at[r[2]] for r in some]] -= 1
             back = np.repeat(p @ out.T, [len(r[3]) for r in some], axis=0) * w
-            out -= lr * hidden.T @ p
+            out -= bounded(lr * hidden.T @ p)
             bias -= lr * 0.1 * p.mean(0)
             order_i = np.argsort(i, kind="stable")
             first = np.flatnonzero(np.r_[True, np.diff(i[order_i]) != 0])
-            emb[i[order_i][first]] -= lr * 20 * np.add.reduceat(back[order_i], first)
+            emb[i[order_i][first]] -= bounded(lr * 20 * np.add.reduceat(back[order_i], first))
             steps += 1
     table = (emb @ out).astype(np.float32)
     raw = np.array([(table[r[3]] * r[4][:, None]).sum(0) + bias for r in held])
