@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions.lcs import cell_similarity, lcs_len_arrow
 from ..functions.text import hash32
+from .compare import candidates
 from .problem import Task
 
 #: Pairs times characters that a nested-loop comparison may cost before the planner asks for the index.
@@ -109,13 +110,11 @@ def _for_queries(ranked: DataFrame, queries: DataFrame, task: Task, attributes:
 
 def retrieve(queries: DataFrame, pool: DataFrame, task: Task, attributes: list[str], k: int | None = None, diverse: bool = True, longest: int | None = None,
              backfill: bool = False) -> DataFrame:
-    """Compares every distinct query with every distinct pool row (nested loop, the smaller side broadcast).
+    """Compares every distinct query with every distinct pool row, block by block (see compare); `longest` is not needed.
     backfill: see _ranked; every complete row then counts, also equal ones."""
     k, attributes = k or task.k, sorted(attributes)
-    if longest is None:
-        longest = max(longest_cell(queries, attributes), longest_cell(pool, attributes))
     left, right = collapse_queries(queries, attributes), collapse_pool(pool, task, attributes) if diverse and not backfill else plain_pool(pool, task, attributes)
-    scored = left.crossJoin(spread(right)).select("cells_id", "target_value", "example_id", similarity(attributes, longest).alias("similarity"))
+    scored = candidates(left, spread(right), len(attributes), k, diverse, backfill)
     return _for_queries(_ranked(scored, k, diverse, backfill), queries, task, attributes)
 
 
