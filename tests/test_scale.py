@@ -69,3 +69,10 @@ def test_candidates_do_not_depend_on_the_cut(spark, rows):
     for options in (dict(), dict(diverse=False), dict(backfill=True)):
         ranked = lambda **cut: sorted(map(tuple, retrieval._ranked(compare.candidates(left, right, 2, 7, **options, **cut), 7, options.get("diverse", True), options.get("backfill", False)).collect()))
         assert ranked(block_rows=rows, slice_chars=100) == ranked()
+
+
+def test_gram_index_shuffles_no_pairs(spark):
+    queries, pool = spark.createDataFrame(random_rows(6, 9, 1000), SCHEMA), spark.createDataFrame(random_rows(7, 40), SCHEMA)
+    got = retrieval.retrieve_indexed(queries, pool, TASK, ["a", "b"], 3, g=2)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, retrieval.retrieve(queries, pool, TASK, ["a", "b"], 3).collect()))
+    assert "Generate" not in plan_of(got) and "NestedLoop" not in plan_of(got)

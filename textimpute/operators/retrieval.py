@@ -135,7 +135,8 @@ def grams(cell: Column, g: int) -> Column:
 
 def retrieve_indexed(queries: DataFrame, pool: DataFrame, task: Task, attributes: list[str], k: int | None = None, g: int = 3,
                      longest: int | None = None, max_posting: int | None = None, report: bool = False) -> DataFrame:
-    """The same result as retrieve() from pairs that share a g-gram in some attribute, certified query by query.
+    """The same result as retrieve() from pairs that share a g-gram in some attribute, certified query by query. Each block
+    of the pool has its own posting lists, so pairs are not shuffled.
 
     A pair without a common g-gram has LCS lengths below g, so its similarity is at most the mean of (g - 1) / query cell
     length. If a query's k-th example lies above that, the pairs that were not compared cannot matter; the other queries,
@@ -143,26 +144,12 @@ def retrieve_indexed(queries: DataFrame, pool: DataFrame, task: Task, attributes
     nothing is certified and recall is to be reported). report: adds `certified`.
     """
     k, attributes = k or task.k, sorted(attributes)
-    if longest is None:
-        longest = max(longest_cell(queries, attributes), longest_cell(pool, attributes))
     left, right = collapse_queries(queries, attributes), collapse_pool(pool, task, attributes)
     index = list(range(len(attributes)))
-
-    def postings(frame: DataFrame, side: str, key: str) -> DataFrame:
-        out = None
-        for i in index:
-            part = frame.select(key, F.lit(i).alias("attribute"), F.explode(grams(F.col(f"{side}{i}"), g)).alias("gram"))
-            out = part if out is None else out.unionAll(part)
-        return out
-
-    numbered = right.withColumn("pool_key", F.xxhash64("example_id", "target_value", *[f"p{i}" for i in index]))
-    of_pool = postings(numbered, "p", "pool_key")
-    if max_posting is not None:
-        rare = of_pool.groupBy("attribute", "gram").count().filter(F.col("count") <= max_posting)
-        of_pool = of_pool.join(rare, ["attribute", "gram"], "left_semi")
-    pairs = postings(left, "q", "cells_id").join(of_pool, ["attribute", "gram"]).select("cells_id", "pool_key").distinct()
-    scored = (spread(pairs).join(left, "cells_id").join(numbered, "pool_key")
-              .select("cells_id", "target_value", "example_id", similarity(attributes, longest).alias("similarity")))
+    if max_posting is None:
+        scored = candidates(left, spread(right), len(index), k, g=g)
+    else:
+        scored = _from_short_postings(left, right, attributes, g, longest or max(longest_cell(queries, attributes), longest_cell(pool, attributes)), max_posting)
     found = _ranked(scored, k, True).persist()  # k rows a query, read three times
     bound = F.lit(0.0)
     for i in index:
@@ -174,7 +161,7 @@ def retrieve_indexed(queries: DataFrame, pool: DataFrame, task: Task, attributes
     if max_posting is None:
         rest = left.join(sure, "cells_id", "left_anti")
         guarded(rest.count(), right.count())
-        again = _ranked(rest.crossJoin(spread(right)).select("cells_id", "target_value", "example_id", similarity(attributes, longest).alias("similarity")), k, True)
+        again = _ranked(candidates(rest, spread(right), len(index), k), k, True)
         found = found.join(sure, "cells_id", "left_semi").unionByName(again)
     out = _for_queries(found, queries, task, attributes)
     if report:
@@ -184,6 +171,24 @@ def retrieve_indexed(queries: DataFrame, pool: DataFrame, task: Task, attributes
     return out
 
 
+def _from_short_postings(left: DataFrame, right: DataFrame, attributes: list[str], g: int, longest: int, max_posting: int) -> DataFrame:
+    """Pairs that share a gram which at most max_posting pool rows have, with their similarity."""
+    def postings(frame: DataFrame, side: str, key: str) -> DataFrame:
+        out = None
+        for i in range(len(attributes)):
+            part = frame.select(key, F.lit(i).alias("attribute"), F.explode(grams(F.col(f"{side}{i}"), g)).alias("gram"))
+            out = part if out is None else out.unionAll(part)
+        return out
+
+    numbered = right.withColumn("pool_key", F.xxhash64("example_id", "target_value", *[f"p{i}" for i in range(len(attributes))]))
+    of_pool = postings(numbered, "p", "pool_key")
+    rare = of_pool.groupBy("attribute", "gram").count().filter(F.col("count") <= max_posting)
+    of_pool = of_pool.join(rare, ["attribute", "gram"], "left_semi")
+    pairs = postings(left, "q", "cells_id").join(of_pool, ["attribute", "gram"]).select("cells_id", "pool_key").distinct()
+    return (spread(pairs).join(left, "cells_id").join(numbered, "pool_key")
+            .select("cells_id", "target_value", "example_id", similarity(attributes, longest).alias("similarity")))
+
+
 def retrieve_random(queries: DataFrame, pool: DataFrame, task: Task, k: int | None = None, per: str = "query", deck: int = 1000) -> DataFrame:
     """Random complete rows. Similarity is null.
 
