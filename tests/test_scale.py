@@ -76,3 +76,14 @@ def test_gram_index_shuffles_no_pairs(spark):
     got = retrieval.retrieve_indexed(queries, pool, TASK, ["a", "b"], 3, g=2)
     assert sorted(map(tuple, got.collect())) == sorted(map(tuple, retrieval.retrieve(queries, pool, TASK, ["a", "b"], 3).collect()))
     assert "Generate" not in plan_of(got) and "NestedLoop" not in plan_of(got)
+
+
+def test_all_pairs_with_their_bounds(spark):
+    from pyspark.sql import functions as F
+
+    queries, pool = spark.createDataFrame(random_rows(8, 9, 1000), SCHEMA), spark.createDataFrame(random_rows(9, 40), SCHEMA)
+    left, right = retrieval.collapse_queries(queries, ["a", "b"]), retrieval.collapse_pool(pool, TASK, ["a", "b"])
+    got = compare.all_pairs(left, right, 2, block_rows=7)
+    want = left.crossJoin(right).select("q0", "q1", "p0", "p1", F.round(retrieval.similarity(["a", "b"], None), 9), retrieval.upper_bound(["a", "b"]))
+    assert sorted(map(repr, map(tuple, got.collect()))) == sorted(map(repr, map(tuple, want.collect())))
+    assert "NestedLoop" not in plan_of(got)

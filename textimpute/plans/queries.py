@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions.lcs import lcs_len_arrow, lcs_len_expr, lcs_str
 from ..functions.text import hash32
-from ..operators import backends, baselines, blocks, dependency, metrics, missingness, patterns, problem, prompting, retrieval, sampling
+from ..operators import backends, baselines, blocks, compare, dependency, metrics, missingness, patterns, problem, prompting, retrieval, sampling
 from ..operators.impute import explain, impute, impute_many
 from ..operators.problem import Task
 from ..sources import tables
@@ -380,8 +380,7 @@ def _(spark, d):
 def _(spark, d):
     _, queries, pool, _ = supply_parts(spark, d)
     left, right = retrieval.collapse_queries(queries, ["s_name", "s_phone"]), retrieval.collapse_pool(pool, SUPPLY, ["s_name", "s_phone"])
-    return left.crossJoin(right).select(F.col("q0").alias("q_name"), F.col("p0").alias("p_name"),
-                                        retrieval.similarity(["s_name", "s_phone"], None).alias("similarity"), retrieval.upper_bound(["s_name", "s_phone"]).alias("bound"))
+    return compare.all_pairs(left, retrieval.spread(right), 2).select(F.col("q0").alias("q_name"), F.col("p0").alias("p_name"), "similarity", "bound")
 
 
 def _topk(spark, d, k: int, **options) -> DataFrame:
