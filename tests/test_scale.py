@@ -87,3 +87,25 @@ def test_all_pairs_with_their_bounds(spark):
     want = left.crossJoin(right).select("q0", "q1", "p0", "p1", F.round(retrieval.similarity(["a", "b"], None), 9), retrieval.upper_bound(["a", "b"]))
     assert sorted(map(repr, map(tuple, got.collect()))) == sorted(map(repr, map(tuple, want.collect())))
     assert "NestedLoop" not in plan_of(got)
+
+
+def test_pairwise_patterns_equal_all_pairs():
+    from textimpute.operators.patterns import mine_group
+
+    r = random.Random(5)
+    for n in (2, 3, 30):
+        texts = ["".join(r.choice("ab") for _ in range(r.randint(1, 7))) for _ in range(n)]
+        common = {lcs_string(a, b) for i, a in enumerate(texts) for b in texts[:i]} - {""}
+        for q in (0.01, 0.4):
+            want = sorted((c, sum(c in t for t in texts)) for c in common if sum(c in t for t in texts) >= q * n)
+            assert mine_group(texts, q, "pairwise") == want
+
+
+def test_pairwise_patterns_build_no_automaton_a_pair(monkeypatch):
+    from textimpute.functions import automaton
+    from textimpute.operators.patterns import mine_group
+
+    built, plain = [], automaton.SuffixAutomaton.__init__
+    monkeypatch.setattr(automaton.SuffixAutomaton, "__init__", lambda self, *texts: built.append(1) or plain(self, *texts))
+    assert ("231-", 200) in mine_group([f"231-{i:03}" for i in range(200)], 0.9, "pairwise")
+    assert len(built) == 1

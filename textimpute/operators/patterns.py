@@ -8,11 +8,13 @@ from __future__ import annotations
 from itertools import count
 from typing import Any
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.automaton import SuffixAutomaton, lcs_string
+from ..functions.automaton import SuffixAutomaton
+from ..functions.lcstable import LcsTable
 from .problem import Task
 
 PATTERN_SCHEMA = "attribute string, target_value string, pattern string, support long, group_rows long"
@@ -25,6 +27,21 @@ def unpivot_sample(sample: DataFrame, task: Task) -> DataFrame:
     return renamed.unpivot(["row_id", "target_value"], list(task.candidates), "attribute", "value")
 
 
+def pairwise_common(texts: list[str]) -> set[str]:
+    """The longest common substring of each text with each one before it (the place that comes first in the later text)."""
+    first, last = {}, {}
+    for i, t in enumerate(texts):
+        first.setdefault(t, i)
+        last[t] = i
+    table, starts, common = LcsTable(list(first)), np.array(list(first.values())), set()
+    for t, i in last.items():
+        n, end = table.longest(t)
+        before = (starts < i) & (n > 0)
+        for e, k in zip(*divmod(np.unique(end[before].astype("int64") * (len(t) + 1) + n[before]), len(t) + 1)):
+            common.add(t[e - k:e])
+    return common
+
+
 def mine_group(values: list, q: float, mode: str = "maximal", min_len: int = 1, max_len: int | None = None, min_support_rows: int = 1,
                max_patterns: int | None = None) -> list[tuple[str, int]]:
     """The patterns of one group's cells (in the order of their row ids) and their support; empty cells count as rows."""
@@ -35,9 +52,7 @@ def mine_group(values: list, q: float, mode: str = "maximal", min_len: int = 1,
     elif mode == "all":
         found = SuffixAutomaton(*texts).frequent(least)
     elif mode == "pairwise":
-        common = {lcs_string(a, b) for i, a in enumerate(texts) for b in texts[:i]} - {""}
-        counted = ((c, sum(c in t for t in texts)) for c in common)
-        found = sorted((c, n) for c, n in counted if n >= least)
+        found = SuffixAutomaton(*texts).supported(pairwise_common(texts), least)
     else:
         found = SuffixAutomaton(*texts).maximal(least)
         if mode == "longest" and found:
@@ -66,6 +81,8 @@ def mine_frequent(long: DataFrame, q: float, mode: str = "maximal", min_len: int
         return pd.DataFrame({"attribute": text([key[0]] * n), "target_value": text([key[1]] * n), "pattern": text([c for c, _ in found]),
                              "support": pd.Series([s for _, s in found], dtype="int64"), "group_rows": pd.Series([len(rows)] * n, dtype="int64")})
 
+    if mode == "pairwise":  # few bytes, much work: groups by size would go to one task
+        long = long.repartition(2 * long.sparkSession.sparkContext.defaultParallelism, "attribute", "target_value")
     return long.groupBy("attribute", "target_value").applyInPandas(mine, PATTERN_SCHEMA)
 
 
