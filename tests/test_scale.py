@@ -109,3 +109,33 @@ def test_pairwise_patterns_build_no_automaton_a_pair(monkeypatch):
     monkeypatch.setattr(automaton.SuffixAutomaton, "__init__", lambda self, *texts: built.append(1) or plain(self, *texts))
     assert ("231-", 200) in mine_group([f"231-{i:03}" for i in range(200)], 0.9, "pairwise")
     assert len(built) == 1
+
+
+def test_cosines_by_blocks_equal_pair_by_pair(spark):
+    import math
+
+    r = random.Random(8)
+    vec = lambda: r.choice([None, [0.0] * 5, [1.0, 2.0], [1.0, None, 3.0, 4.0, 5.0], *([float(r.randint(-2, 2)) for _ in range(5)] for _ in range(12))])
+    rows = [(i, r.randint(0, 3), vec()) for i in range(50)]
+    df = spark.createDataFrame(rows, "id long, label int, v array<float>")
+
+    def cosine(a, b):
+        if a is None or b is None or len(a) != len(b) or None in a or None in b or not any(a) or not any(b):
+            return None
+        return compare.rounded(np.array([sum(x * y for x, y in zip(a, b)) / (math.sqrt(sum(x * x for x in a)) * math.sqrt(sum(x * x for x in b)))]), 6)[0] / 1e6
+
+    for diverse in (False, True):
+        for k in (3, 45):
+            got = retrieval.retrieve_embedding(df.filter("id < 10"), df.filter("id >= 10"), "id", "v", "label", k, diverse)
+            want = []
+            for i, _, a in rows[:10]:
+                best = sorted((s is None, -(s or 0), e, str(label)) for e, label, b in rows[10:] for s in [cosine(a, b)])
+                seen = set()
+                if diverse:
+                    best = [x for x in best if not (x[3] in seen or seen.add(x[3]))]
+                want += [(i, n + 1, e, label, None if none else -s) for n, (none, s, e, label) in enumerate(best[:k])]
+            assert sorted(map(tuple, got.collect())) == want
+            assert "NestedLoop" not in plan_of(got) and "Cartesian" not in plan_of(got)
+    left, right = (df.selectExpr("id as cells_id", "v as vector"), df.selectExpr("id as example_id", "cast(label as string) as target_value", "v as vector"))
+    ranked = lambda **cut: sorted(map(tuple, retrieval._ranked(compare.vector_candidates(left, right, 4, **cut), 4, False).collect()))
+    assert ranked(block_rows=3, slice_numbers=100) == ranked()

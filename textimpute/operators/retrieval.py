@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions.lcs import cell_similarity, lcs_len_arrow
 from ..functions.text import hash32
-from .compare import candidates
+from .compare import candidates, vector_candidates
 from .problem import Task
 
 #: Pairs times characters that a nested-loop comparison may cost before the planner asks for the index.
@@ -228,13 +228,11 @@ def retrieve_fixed(queries: DataFrame, pool: DataFrame, task: Task, example_ids:
 
 
 def retrieve_embedding(queries: DataFrame, pool: DataFrame, row_id: str, vector: str, target: str, k: int, diverse: bool = False) -> DataFrame:
-    """The contrast: cosine similarity of vectors, all pairs; refused beyond PAIR_LIMIT."""
+    """The contrast: cosine similarity of vectors, all pairs by products of blocks; refused beyond PAIR_LIMIT."""
     guarded(queries.count(), pool.count())
-    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda s, x: s + x)
-    norm = lambda a: F.sqrt(dot(a, a))
-    left = queries.select(F.col(row_id).alias("cells_id"), F.col(vector).alias("a"), norm(F.col(vector)).alias("na"))
-    right = pool.select(F.col(row_id).alias("example_id"), F.col(target).cast("string").alias("target_value"), F.col(vector).alias("b"), norm(F.col(vector)).alias("nb"))
-    scored = left.crossJoin(right).select("cells_id", "target_value", "example_id", F.round(dot(F.col("a"), F.col("b")) / (F.col("na") * F.col("nb")), 6).alias("similarity"))
+    left = queries.select(F.col(row_id).alias("cells_id"), F.col(vector).alias("vector"))
+    right = pool.select(F.col(row_id).alias("example_id"), F.col(target).cast("string").alias("target_value"), F.col(vector).alias("vector"))
+    scored = vector_candidates(left, spread(right), k, diverse)
     return _ranked(scored, k, diverse).select(F.col("cells_id").alias("query_id"), "rank", "example_id", "target_value", "similarity")
 
 
