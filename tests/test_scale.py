@@ -139,3 +139,20 @@ def test_cosines_by_blocks_equal_pair_by_pair(spark):
     left, right = (df.selectExpr("id as cells_id", "v as vector"), df.selectExpr("id as example_id", "cast(label as string) as target_value", "v as vector"))
     ranked = lambda **cut: sorted(map(tuple, retrieval._ranked(compare.vector_candidates(left, right, 4, **cut), 4, False).collect()))
     assert ranked(block_rows=3, slice_numbers=100) == ranked()
+
+
+def test_window_hashes_tell_windows(spark):
+    from textimpute.functions.windows import WindowSet, window_hashes
+
+    r = random.Random(4)
+    text = "".join(r.choice("ab\U0001f600") for _ in range(9000))
+    hashes = window_hashes(text, 12)
+    assert len({(text[i:i + 12], int(h)) for i, h in enumerate(hashes)}) == len({text[i:i + 12] for i in range(len(hashes))}) == len(set(hashes.tolist()))
+    assert window_hashes("x" + text, 12)[1:].tolist() == hashes.tolist() and len(window_hashes("short", 12)) == 0
+    assert WindowSet(hashes[:5]).found(hashes[3:]).tolist() == sorted(set(hashes[:5].tolist()) & set(hashes[3:].tolist()))
+
+
+def test_passages_take_no_window_as_a_row(spark):
+    df = spark.createDataFrame([(1, "x" * 30 + "a long passage that both hold" + "y" * 20), (2, None)], "id long, text string")
+    got = retrieval.shared_passages(df, df, "id", "id", least=20)
+    assert [tuple(x) for x in got.collect()] == [(1, 1, 79)] and "Generate" not in plan_of(got)

@@ -6,16 +6,22 @@ All functions take queries and pool with the columns of a Task and return
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.automaton import SuffixAutomaton
 from ..functions.lcs import cell_similarity, lcs_len_arrow
 from ..functions.text import hash32
+from ..functions.windows import WindowSet, window_hashes
 from .compare import candidates, vector_candidates
 from .problem import Task
 
 #: Pairs times characters that a nested-loop comparison may cost before the planner asks for the index.
 PAIR_BUDGET = 1e8
+#: Characters of long cells whose automata a task keeps.
+AUTOMATA_CHARS = 200_000
 #: Pairs beyond which a nested loop is refused.
 PAIR_LIMIT = 1e11
 
@@ -240,17 +246,61 @@ def shared_passages(queries: DataFrame, pool: DataFrame, query_id: str, row_id:
     """Long cells: (query_id, row_id, length) of all pairs whose longest common substring has at least `least` characters.
 
     A common substring of that length holds a whole block of the query's text, cut every half of `least` characters. The
-    blocks' hashes meet those of every window of the other texts: a broadcast while there are at most most_blocks, else a
-    shuffle. Surviving pairs are measured exactly. Null texts share nothing.
+    blocks' hashes meet those of every window of the other texts: while there are at most most_blocks, the queries are
+    broadcast and met in one scan of the pool, else hashes meet by a shuffle. Surviving pairs are measured exactly. Null
+    texts share nothing.
     """
     width = (least + 1) // 2
-    blocks = queries.filter(F.length(text) >= width).select(
-        F.col(query_id).alias("query_id"), F.explode(F.sequence(F.lit(1), F.length(text) - width + 1, F.lit(width))).alias("at"), F.col(text).alias("t")).select(
-        "query_id", F.xxhash64(F.substring("t", F.col("at"), F.lit(width))).alias("window"))
-    n = blocks.count()
-    windows = F.transform(F.sequence(F.lit(1), F.length(text) - width + 1), lambda i: F.xxhash64(F.substring(text, i, F.lit(width))))
-    there = pool.filter(F.length(text) >= width).select(F.col(row_id).alias("row_id"), F.explode(F.array_distinct(windows)).alias("window"))
-    pairs = there.join(F.broadcast(blocks) if n <= most_blocks else blocks, "window").select("query_id", "row_id").distinct()
-    cells = pairs.join(queries.select(F.col(query_id).alias("query_id"), F.col(text).alias("a")), "query_id").join(
-        pool.select(F.col(row_id).alias("row_id"), F.col(text).alias("b")), "row_id")
+    asked = queries.filter(F.length(text) >= width).select(F.col(query_id).alias("query_id"), F.col(text).alias("t"))
+    there = pool.filter(F.length(text) >= width).select(F.col(row_id).alias("row_id"), F.col(text).alias("t"))
+    kinds = dict(asked.dtypes)["query_id"], dict(there.dtypes)["row_id"]
+    n = asked.agg(F.sum(F.floor(F.length("t") / width))).first()[0] or 0
+    if n <= most_blocks:
+        shared = pool.sparkSession.sparkContext.broadcast([tuple(r) for r in asked.toLocalIterator()])
+        return there.mapInArrow(_passages(shared, width, least), f"query_id {kinds[0]}, row_id {kinds[1]}, length long")
+    blocks = asked.mapInArrow(_windows("query_id", width, width), f"query_id {kinds[0]}, window long")
+    windows = there.mapInArrow(_windows("row_id", width, 1), f"row_id {kinds[1]}, window long")
+    pairs = windows.join(blocks, "window").select("query_id", "row_id").distinct()
+    cells = pairs.join(asked.withColumnRenamed("t", "a"), "query_id").join(there.withColumnRenamed("t", "b"), "row_id")
     return spread(cells).select("query_id", "row_id", lcs_len_arrow("a", "b").cast("long").alias("length")).filter(F.col("length") >= least)
+
+
+def _windows(key: str, width: int, step: int):
+    """The distinct hashes of the windows that begin at every step-th character."""
+    def run(batches):
+        for batch in batches:
+            for i, t in zip(batch.column(key), batch.column("t")):
+                hashes = np.unique(window_hashes(t.as_py(), width)[::step]).view(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.repeat(i, len(hashes)), pa.array(hashes)], [key, "window"])
+
+    return run
+
+
+def _passages(shared, width: int, least: int):
+    def run(batches):
+        of_block: dict[int, list[int]] = {}
+        for i, (_, t) in enumerate(shared.value):
+            for x in np.unique(window_hashes(t, width)[::width]).tolist():
+                of_block.setdefault(x, []).append(i)
+        known = WindowSet(np.array(list(of_block), dtype=np.uint64))
+        automata: dict[int, SuffixAutomaton] = {}
+        held = 0
+        for batch in batches:
+            found = []
+            for row, t in zip(batch.column("row_id").to_pylist(), batch.column("t")):
+                t = t.as_py()
+                for i in sorted({i for x in known.found(window_hashes(t, width)).tolist() for i in of_block[x]}):
+                    key, item = shared.value[i]
+                    if i not in automata:
+                        if held > AUTOMATA_CHARS:
+                            automata, held = {}, 0
+                        automata[i] = SuffixAutomaton(item)
+                        held += len(item)
+                    length = automata[i].longest_in(t)[0]
+                    if length >= least:
+                        found.append((key, row, length))
+            if found:
+                keys, rows, lengths = zip(*found)
+                yield pa.RecordBatch.from_arrays([pa.array(keys), pa.array(rows), pa.array(lengths, pa.int64())], ["query_id", "row_id", "length"])
+
+    return run
